@@ -2,12 +2,17 @@
 
 from __future__ import annotations
 
-from . import mixing, url_rules
+from . import mixing, token_files, url_rules, winnow
 
 
 def queries():
-    return {"op1_url_filter": url_rules.op1_url_filter, "op9_mix": mixing.op9_mix}
+    return {
+        "op1_url_filter": url_rules.op1_url_filter,
+        "op4_tokens": token_files.op4_tokens,
+        "op5_decontaminate": winnow.op5_decontaminate,
+        "op9_mix": mixing.op9_mix,
+    }
 
 
 def oracle_sql():
-    return {"op1_url_filter": url_rules.OP1_SQL, "op9_mix": mixing.OP9_SQL}
+    return {"op1_url_filter": url_rules.OP1_SQL, "op5_decontaminate": winnow.OP5_SQL, "op9_mix": mixing.OP9_SQL}
