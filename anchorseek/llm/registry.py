@@ -2,14 +2,16 @@
 
 from __future__ import annotations
 
-from . import mixing, token_files, url_rules, winnow
+from . import licenses, mixing, quality, token_files, url_rules, winnow
 
 
 def queries():
     return {
         "op1_url_filter": url_rules.op1_url_filter,
+        "op2_quality": quality.op2_quality,
         "op4_tokens": token_files.op4_tokens,
         "op5_decontaminate": winnow.op5_decontaminate,
+        "op7_licenses": licenses.op7_licenses,
         "op9_mix": mixing.op9_mix,
     }
 
