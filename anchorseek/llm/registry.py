@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import licenses, mixing, quality, token_files, url_rules, winnow
+from . import langid, licenses, mixing, quality, token_files, url_rules, winnow
 
 
 def queries():
@@ -13,6 +13,7 @@ def queries():
         "op5_decontaminate": winnow.op5_decontaminate,
         "op7_licenses": licenses.op7_licenses,
         "op9_mix": mixing.op9_mix,
+        "op10_language": langid.op10_language,
     }
 
 
