@@ -63,18 +63,24 @@ def source_targets(sized: DataFrame, weights, share: float, cap: float) -> DataF
     return per.select("_src", "source_size", "n_rows", target.alias("target"))
 
 
+def _small(per_source: DataFrame) -> DataFrame:
+    """Broadcast a settled table of one row a source, if it is small."""
+    return F.broadcast(per_source) if per_source.limit(BROADCAST_SOURCES + 1).count() <= BROADCAST_SOURCES else per_source
+
+
 def _cutoffs(sized: DataFrame, targets: DataFrame) -> DataFrame:
     """One row per source: full passes, the key at which the last pass ends, and each key holder's share there."""
     budget = F.floor(F.col("target") + 1e-6).cast("long")
     full = F.when(F.col("source_size") > 0, ((budget - budget % F.col("source_size")) / F.col("source_size"))).otherwise(0).cast("long")
-    plan = (
+    plan = settled(
         targets.withColumn("_full", full)
         .withColumn("_rest", F.greatest(budget - F.col("_full") * F.col("source_size"), F.lit(0)).cast("long"))
-        .withColumn("_ranges", F.ceil(F.col("n_rows") / ROWS_PER_RANGE).cast("long"))
+        .withColumn("_ranges", F.ceil(F.col("n_rows") / ROWS_PER_RANGE).cast("long")),
+        "mix-plan",
     )
     grouped = sized.groupBy("_src", "_key").agg(F.sum("_size").alias("_size"), F.count(F.lit(1)).alias("_same"))
     place = F.floor(F.conv(F.substring("_key", 1, 8), 16, 10).cast("double") / float(1 << 32) * F.col("_ranges"))
-    ranged = grouped.join(plan, "_src").withColumn("_range", place.cast("long"))
+    ranged = grouped.join(_small(plan), "_src").withColumn("_range", place.cast("long"))
     sums = ranged.groupBy("_src", "_range").agg(F.sum("_size").alias("_range_size"))
     running = Window.partitionBy("_src").orderBy("_range").rowsBetween(Window.unboundedPreceding, -1)
     starts = sums.withColumn("_start", F.coalesce(F.sum("_range_size").over(running), F.lit(0)))
@@ -107,12 +113,10 @@ def with_taken(docs: DataFrame, doc_id="doc_id", text="text", source="source", w
         "mix-sizes",
     )
     cutoffs = settled(_cutoffs(narrow.select("_source", *parts), source_targets(narrow, weights, share, cap)), "mix-cutoffs")
-    if cutoffs.limit(BROADCAST_SOURCES + 1).count() <= BROADCAST_SOURCES:
-        cutoffs = F.broadcast(cutoffs)
     rows = narrow.select(*parts, *[F.col(f"_c_{c}").alias(c) for c in carry]) if carry is not None else docs.select("*", *[c.alias(n) for n, c in parts.items()])
     last = F.when(F.col("_cut").isNull() | (F.col("_key") > F.col("_cut")), F.lit(0)).when(F.col("_key") == F.col("_cut"), F.least(F.col("_part"), F.col("_size"))).otherwise(F.col("_size"))
     kept = carry if carry is not None else docs.columns
-    return rows.join(cutoffs, "_src").select(
+    return rows.join(_small(cutoffs), "_src").select(
         *kept,
         F.col("_size").alias("size"),
         "source_size",
