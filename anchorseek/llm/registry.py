@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from . import langid, licenses, mixing, quality, token_files, url_rules, winnow
+from . import langid, licenses, lsh_forest, mixing, quality, token_files, url_rules, winnow
 
 
 def queries():
     return {
         "op1_url_filter": url_rules.op1_url_filter,
         "op2_quality": quality.op2_quality,
+        "op3_near_duplicates": lsh_forest.op3_near_duplicates,
         "op4_tokens": token_files.op4_tokens,
         "op5_decontaminate": winnow.op5_decontaminate,
         "op7_licenses": licenses.op7_licenses,
@@ -18,4 +19,4 @@ def queries():
 
 
 def oracle_sql():
-    return {"op1_url_filter": url_rules.OP1_SQL, "op5_decontaminate": winnow.OP5_SQL, "op9_mix": mixing.OP9_SQL}
+    return {"op1_url_filter": url_rules.OP1_SQL, "op3_near_duplicates": lsh_forest.OP3_SQL, "op5_decontaminate": winnow.OP5_SQL, "op9_mix": mixing.OP9_SQL}
