@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import langid, licenses, lsh_forest, mixing, quality, token_files, url_rules, winnow
+from . import langid, licenses, lsh_forest, mixing, quality, secrets, token_files, toxicity, url_rules, winnow
 
 
 def queries():
@@ -12,7 +12,9 @@ def queries():
         "op3_near_duplicates": lsh_forest.op3_near_duplicates,
         "op4_tokens": token_files.op4_tokens,
         "op5_decontaminate": winnow.op5_decontaminate,
+        "op6_toxicity": toxicity.op6_toxicity,
         "op7_licenses": licenses.op7_licenses,
+        "op8_secrets": secrets.op8_secrets,
         "op9_mix": mixing.op9_mix,
         "op10_language": langid.op10_language,
     }
