@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+from . import workloads
+from .workloads import flagship  # noqa: F401
+
 
 def queries():
-    return {}
+    return dict(workloads.QUERIES)
 
 
 def oracle_sql():
-    return {}
+    return dict(workloads.SQL)
