@@ -35,7 +35,8 @@ TRAIN_ROWS = 12_000
 SCRIPT_SHARE = 0.02
 #: Words of one language are distinguished in memory up to this number, then forgotten; words walked at once.
 MEMORY_WORDS = 300_000
-SLICE_WORDS = 400_000
+SLICE_WORDS = 1_000_000
+LEARN_WORDS = 50_000
 LETTERS = re.compile(r"[^\W\d_]+")
 #: Script ranges by code point (first, last, script).
 SCRIPTS = [
@@ -60,32 +61,39 @@ def words_of_text(text: str | None) -> list[str]:
     return LETTERS.findall((text or "").lower())
 
 
-def bins_of(word: str) -> np.ndarray:
-    """N-gram bins of a word with its ends marked."""
-    raw = np.frombuffer(f"^{word[:64]}$".encode("utf-32-le"), np.uint32).astype(np.uint64)
-    out = []
+def bins_of(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    """(n-gram bins of all words with their ends marked, number of the word of each)."""
+    marked = [f"^{w[:64]}$" for w in words]
+    sizes = np.fromiter(map(len, marked), np.int64, len(marked))
+    raw = np.frombuffer("".join(marked).encode("utf-32-le"), np.uint32).astype(np.uint64)
+    owner = np.repeat(np.arange(len(marked)), sizes)
+    left = np.repeat(np.cumsum(sizes), sizes) - np.arange(len(raw))  # symbols from here to the word's end
+    bins, owners = [], []
     for n in ORDERS:
-        if len(raw) >= n:
-            h = np.full(len(raw) - n + 1, n, np.uint64)
-            for i in range(n):
-                h = (h ^ raw[i : len(raw) - n + 1 + i]) * np.uint64(0x9E3779B97F4A7C15)
-                h ^= h >> np.uint64(31)
-            out.append(h)
-    return (np.concatenate(out) % np.uint64(BINS)).astype(np.int64)
+        h = np.full(max(0, len(raw) - n + 1), n, np.uint64)
+        for i in range(n):
+            h = (h ^ raw[i : i + len(h)]) * np.uint64(0x9E3779B97F4A7C15)
+            h ^= h >> np.uint64(31)
+        ok = left[: len(h)] >= n
+        bins.append((h[ok] % np.uint64(BINS)).astype(np.int64))
+        owners.append(owner[: len(h)][ok])
+    return np.concatenate(bins), np.concatenate(owners)
 
 
 def _counts(text: str, lang: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words: dict[str, Counter] = {}
-        tables: dict[str, np.ndarray] = {}
+        tables: dict = {}
         scripts: Counter = Counter()
         rows: Counter = Counter()
 
         def drain():
             for lang_, counted in words.items():
-                into = tables.setdefault(lang_, np.zeros(BINS, np.int64))
+                if counted:
+                    bins, owner = bins_of(list(counted))
+                    weight = np.fromiter(counted.values(), np.int64, len(counted))
+                    tables[lang_] = tables.get(lang_, 0) + np.bincount(bins, weight[owner], BINS).astype(np.int64)
                 for w, c in counted.items():
-                    np.add.at(into, bins_of(w), c)
                     scripts[lang_, script_of(w)] += c * len(w)
             words.clear()
 
@@ -124,13 +132,15 @@ class Model:
         share = scripts / np.maximum(scripts.sum(0), 1)
         self.scripts = {s: share[i] >= SCRIPT_SHARE for i, s in enumerate(SCRIPT_NAMES)}
 
-    def score(self, word: str) -> np.ndarray:
-        """Score of a word by language; zeros if its script is unknown."""
-        allowed = self.scripts[script_of(word)]
-        if not allowed.any():
-            return np.zeros(len(self.langs), np.float32)
-        got = self.grams[bins_of(word)].sum(0)
-        return np.where(allowed, got - got[allowed].max(), np.float32(-60.0)).astype(np.float32)
+    def scores(self, words: list[str]) -> np.ndarray:
+        """Scores of words by language, the best 0; zeros for a word in an unknown script."""
+        bins, owner = bins_of(words)
+        got = np.stack([np.bincount(owner, self.grams[bins, k], len(words)) for k in range(len(self.langs))], axis=1)
+        allowed = np.stack([self.scripts[script_of(w)] for w in words])
+        known = allowed.any(1)
+        got = np.where(allowed, got, -np.inf)
+        got -= np.where(known, got.max(1), 0)[:, None]
+        return np.where(known[:, None], np.maximum(got, -60.0), 0).astype(np.float32)
 
 
 def fitted(docs: DataFrame, text="text", lang="lang", doc_id="doc_id", train_rows=TRAIN_ROWS) -> Model:
@@ -186,30 +196,42 @@ SPANS = "array<struct<first:int,last:int,lang:string>>"
 _SPANS_TYPE = pa.list_(pa.struct([("first", pa.int32()), ("last", pa.int32()), ("lang", pa.string())]))
 
 
+class _Words(dict):
+    """Numbers of remembered words, with their scores and lengths."""
+
+    def __init__(self, model: Model):
+        super().__init__()
+        self.model = model
+        self.scores = np.zeros((1024, max(1, len(model.langs))), np.float32)
+        self.letters = np.zeros(1024, np.int64)
+
+    def numbers(self, words: list[str]) -> np.ndarray:
+        new = sorted(set(words).difference(self))
+        if new:
+            first = len(self)
+            while first + len(new) > len(self.letters):
+                self.scores = np.concatenate([self.scores, np.zeros_like(self.scores)])
+                self.letters = np.concatenate([self.letters, np.zeros_like(self.letters)])
+            if self.model.langs:
+                self.scores[first : first + len(new)] = self.model.scores(new)
+            self.letters[first : first + len(new)] = list(map(len, new))
+            self.update(zip(new, range(first, first + len(new))))
+        return np.fromiter(map(self.__getitem__, words), np.int64, len(words))
+
+
 def _predictor(model: Model, text: str, carry: list[str], penalty: float, spans: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known: dict[str, int] = {}
-        rows = np.zeros((1024, max(1, len(model.langs))), np.float32)
-        letters = np.zeros(1024, np.int64)
+        known = _Words(model)
         prior = model.langs[int(model.rows.argmax())] if model.langs else "und"
 
-        def learn(word: str) -> int:
-            nonlocal rows, letters
-            i = known[word] = len(known)
-            if i >= len(rows):
-                rows, letters = np.concatenate([rows, np.zeros_like(rows)]), np.concatenate([letters, np.zeros_like(letters)])
-            rows[i], letters[i] = model.score(word), len(word)
-            return i
-
-        def flush(batch, first, n, ids, lengths):
-            lengths = np.array(lengths, np.int64)
-            ids = np.array(ids, np.int64)
-            scores, size = rows[ids], letters[ids]
+        def flush(batch, first, parts, lengths):
+            n, lengths, ids = len(lengths), np.array(lengths, np.int64), np.concatenate(parts)
+            scores, size = known.scores[ids], known.letters[ids]
             path = viterbi(scores, lengths, penalty) if model.langs else np.zeros(len(ids), np.int8)
             owner = np.repeat(np.arange(n), lengths)
             telling = scores.any(1) | (len(model.langs) == 1)
-            held = np.zeros((n, max(1, len(model.langs))))
-            np.add.at(held, (owner, path), np.where(telling, size, 0))
+            width = max(1, len(model.langs))
+            held = np.bincount(owner * width + path, np.where(telling, size, 0), n * width).reshape(n, width)
             total = np.bincount(owner, size, n)
             top = held.argmax(1)
             lang = [("und" if not total[i] or not model.langs else model.langs[top[i]] if held[i, top[i]] else prior) for i in range(n)]
@@ -226,20 +248,20 @@ def _predictor(model: Model, text: str, carry: list[str], penalty: float, spans:
             return pa.RecordBatch.from_arrays(columns, names=[*carry, "lang_pred", "lang_score"] + ["lang_spans"] * spans)
 
         for batch in batches:
-            texts, first, ids, lengths = batch.column(text), 0, [], []
+            texts, first, lengths, parts, waiting = batch.column(text), 0, [], [], []
             for i in range(batch.num_rows):
                 words = words_of_text(texts[i].as_py())
-                ids += [known[w] if w in known else learn(w) for w in words]
+                waiting += words
                 lengths.append(len(words))
-                if len(ids) >= SLICE_WORDS:
-                    yield flush(batch, first, i + 1 - first, ids, lengths)
-                    first, ids, lengths = i + 1, [], []
+                last = i + 1 == batch.num_rows
+                if len(waiting) >= LEARN_WORDS or last:
+                    parts.append(known.numbers(waiting))
+                    waiting = []
+                if last or sum(map(len, parts)) >= SLICE_WORDS and not waiting:
+                    yield flush(batch, first, parts, lengths)
+                    first, lengths, parts = i + 1, [], []
                     if len(known) > MEMORY_WORDS:
                         known.clear()
-            if lengths:
-                yield flush(batch, first, len(lengths), ids, lengths)
-            if len(known) > MEMORY_WORDS:
-                known.clear()
 
     return run
 
