@@ -3,12 +3,14 @@
 from __future__ import annotations
 
 from . import workloads
+from .operators import relational
+from .streaming import queries as streams
 from .workloads import flagship  # noqa: F401
 
 
 def queries():
-    return dict(workloads.QUERIES)
+    return {**workloads.QUERIES, **relational.QUERIES, **streams.QUERIES}
 
 
 def oracle_sql():
-    return dict(workloads.SQL)
+    return {**workloads.SQL, **relational.SQL, **streams.SQL}
