@@ -252,9 +252,9 @@ def topk_per_group(t):
 
 for _name, _op in (("union", "UNION"), ("union_all", "UNION ALL"), ("intersect", "INTERSECT"), ("intersect_all", "INTERSECT ALL"), ("except", "EXCEPT"), ("except_all", "EXCEPT ALL")):
 
-    @rel(f"SELECT s_nationkey AS k FROM supplier {_op} SELECT c_nationkey FROM customer WHERE c_custkey % 3 = 0", name=_name)
+    @rel(f"SELECT s_nationkey AS k FROM supplier {_op} SELECT c_nationkey FROM customer WHERE c_acctbal > 5000", name=_name)
     def _set(t, name=_name):
-        a, b = t("supplier").select(F.col("s_nationkey").alias("k")), t("customer").where("c_custkey % 3 = 0").select(F.col("c_nationkey").alias("k"))
+        a, b = t("supplier").select(F.col("s_nationkey").alias("k")), t("customer").where("c_acctbal > 5000").select(F.col("c_nationkey").alias("k"))
         return {"union": lambda: a.union(b).distinct(), "union_all": lambda: a.union(b), "intersect": lambda: a.intersect(b), "intersect_all": lambda: a.intersectAll(b), "except": lambda: a.subtract(b), "except_all": lambda: a.exceptAll(b)}[name]()
 
 

@@ -610,8 +610,8 @@ def cache_miss_rates(spark, d):
 
 @register("assumption_table")
 def assumption_table(spark, d):
-    """Four sources of different size: share of far pairs without a common subgram."""
-    rows = docs(spark, d, "source").where(F.col("file_id").isin("src0", "src1", "src2", "src3"))
+    """Files of different size: share of far pairs without a common subgram."""
+    rows = docs(spark, d, "source")
     sizes = rows.groupBy("file_id").agg(F.sum(F.length("seq")).cast("long").alias("symbols"))
     return measures.far_pair_zero_rate(rows, K, T, per_seq=16).join(sizes, "file_id")
 
@@ -662,15 +662,19 @@ def conversation_token_search(spark, d):
     return met.groupBy("conv_id", "turn").agg(F.sum(F.size("o")).alias("n_bits"), F.sum(F.coalesce(F.size(F.filter("o", lambda x: pages.bit_at(F.col("bits"), x))), F.lit(0))).alias("n_set"))
 
 
-@register("log_pattern_search", "WITH l AS (SELECT user_id, string_agg(substr(event_type, 1, 1), '' ORDER BY ts, event_id) AS s FROM events GROUP BY user_id), g AS (SELECT DISTINCT user_id, substr(s, p, 8) AS g FROM (SELECT *, unnest(range(1, greatest(len(s) - 7, 0) + 1)) AS p FROM l)), q AS (SELECT user_id AS query_id, substr(s, 1, 12) AS seq FROM l WHERE len(s) >= 12), qg AS (SELECT DISTINCT query_id, substr(seq, p, 8) AS g FROM (SELECT *, unnest(range(1, 6)) AS p FROM q)), need AS (SELECT query_id, count(*) AS n FROM qg GROUP BY 1) SELECT query_id, count(*)::BIGINT AS n_users FROM (SELECT query_id, user_id FROM qg JOIN g USING (g) JOIN need USING (query_id) GROUP BY query_id, user_id, n HAVING count(*) = n) GROUP BY query_id")
+@register("log_pattern_search", """WITH l AS (SELECT user_id, string_agg(substr(event_type, 1, 1), '' ORDER BY ts, event_id) AS s FROM events GROUP BY user_id),
+g AS (SELECT DISTINCT user_id, substr(s, p, 8) AS g FROM (SELECT *, unnest(range(1, greatest(len(s) - 7, 0) + 1)) AS p FROM l)),
+q AS (SELECT DISTINCT substr(s, p, 10) AS pattern FROM (SELECT *, unnest(range(1, greatest(len(s) - 9, 0) + 1)) AS p FROM l)), qg AS (SELECT DISTINCT pattern, substr(pattern, p, 8) AS g FROM (SELECT *, unnest(range(1, 4)) AS p FROM q)), need AS (SELECT pattern, count(*) AS n FROM qg GROUP BY 1)
+SELECT pattern, count(*)::BIGINT AS n_users FROM (SELECT pattern, user_id FROM qg JOIN g USING (g) JOIN need USING (pattern) GROUP BY pattern, user_id, n HAVING count(*) = n) GROUP BY pattern""")
 def log_pattern_search(spark, d):
-    """For the first twelve events of every user: users whose log holds all its grams of eight, exactly."""
+    """For every run of ten events that occurs: users whose log holds all its grams of eight, exactly."""
     logs = views.log_sequences(table(spark, d, "events"))
     known = grams.gram_set(logs, ["seq_id"], "seq", 8)
-    want = grams.gram_set(logs.where(F.length("seq") >= 12).select(F.col("seq_id").alias("query_id"), F.substring("seq", 1, 12).alias("seq")), ["query_id"], "seq", 8)
-    need = want.groupBy("query_id").agg(F.count(F.lit(1)).alias("n"))
-    have = want.join(known, "gram").groupBy("query_id", "seq_id").agg(F.count(F.lit(1)).alias("h"))
-    return have.join(need, "query_id").where("h = n").groupBy("query_id").agg(F.count(F.lit(1)).alias("n_users"))
+    patterns = grams.gram_set(logs, [], "seq", 10).select(F.col("gram").alias("pattern"))
+    want = grams.gram_set(patterns, ["pattern"], "pattern", 8)
+    need = want.groupBy("pattern").agg(F.count(F.lit(1)).alias("n"))
+    have = want.join(known, "gram").groupBy("pattern", "seq_id").agg(F.count(F.lit(1)).alias("h"))
+    return have.join(need, "pattern").where("h = n").groupBy("pattern").agg(F.count(F.lit(1)).alias("n_users"))
 
 
 @register("log_filter_anchored")
@@ -700,11 +704,11 @@ def native_text_filter(spark, d):
 
 
 def _vector_pairs(spark, d):
-    """Each vector with those of the same label whose numbers follow within 20: a bounded band of pairs."""
+    """The stated query set, vectors whose number is divisible by 100, against all others."""
     v = table(spark, d, "embeddings").select("vec_id", "label", "embedding", sketch.sign_projection(F.col("embedding"), PLANES[:4]).alias("phi"), F.lit(1).alias("one"))
     v = v.withColumn("pos", anchored.position(F.col("vec_id"), F.col("phi"), 1 << 20, 1024))
-    a = v.select(*[F.col(c).alias(f"a_{c}") for c in v.columns]).withColumn("near", F.explode(F.sequence(F.col("a_vec_id") + 1, F.col("a_vec_id") + 20)))
-    pairs = a.join(v, F.col("near") == F.col("vec_id"))
+    a = v.where("vec_id % 100 = 0").select(*[F.col(c).alias(f"a_{c}") for c in v.columns])
+    pairs = v.join(F.broadcast(a), F.col("a_vec_id") != F.col("vec_id"))
     dot = F.aggregate(F.zip_with("a_embedding", "embedding", lambda x, y: x.cast("double") * y.cast("double")), F.lit(0.0), lambda x, y: x + y)
     norm = lambda c: F.sqrt(F.aggregate(F.transform(c, lambda x: x.cast("double") * x.cast("double")), F.lit(0.0), lambda x, y: x + y))
     return pairs.withColumn("distance", F.acos(F.least(F.lit(1.0), F.greatest(F.lit(-1.0), dot / (norm("a_embedding") * norm("embedding"))))))
