@@ -45,7 +45,7 @@ def build(reads: DataFrame, spec: IndexSpec, B: int | None = None, R: int | None
 
 def bucket_hits(index: BucketGrid, queries: DataFrame) -> DataFrame:
     """(query_id, grid_rep, bucket) of the filters that hold the query."""
-    hits = filters.whole_hits(index.pages, queries, index.spec)
+    hits = filters.whole_hits(index.pages, queries, index.spec, index.B * index.R)
     part = F.split("filter_id", ":")
     return hits.select("query_id", F.get(part, 0).cast("int").alias("grid_rep"), F.get(part, 1).cast("int").alias("bucket"))
 

@@ -16,7 +16,7 @@ from ..plans.spec import IndexSpec
 from . import pages
 
 KEYS = ["filter_id", "rep", "page_no"]
-#: Pages of an index up to this number (4 KB each) are broadcast to the probes.
+#: An index that can have this many pages (4 KB each) at most, by its parameters, is broadcast to the probes.
 BROADCAST_PAGES = 8192
 
 
@@ -50,11 +50,11 @@ def group_probes(queries: DataFrame, spec: IndexSpec, with_grams: bool = False)
     return grouped.agg(F.collect_set("o").alias("offsets"))
 
 
-def _with_pages(probes: DataFrame, index: DataFrame, broadcast: bool | None) -> DataFrame:
+def _with_pages(probes: DataFrame, index: DataFrame, spec: IndexSpec, broadcast: bool | None) -> DataFrame:
     """Probes with the bits of their page, null where no page is stored. index has one filter."""
     side = index.select("rep", "page_no", "bits")
     if broadcast is None:
-        broadcast = index.limit(BROADCAST_PAGES + 1).count() <= BROADCAST_PAGES
+        broadcast = spec.pages <= BROADCAST_PAGES
     return probes.join(F.broadcast(side) if broadcast else side, ["rep", "page_no"], "left")
 
 
@@ -73,7 +73,7 @@ def contains(index: DataFrame, queries: DataFrame, spec: IndexSpec, broadcast: b
         return _in_rounds(index, queries, spec, broadcast)
     if spec.exit == "kernel":
         return _in_kernel(index, queries, spec)
-    tested = _with_pages(group_probes(queries, spec), index, broadcast)
+    tested = _with_pages(group_probes(queries, spec), index, spec, broadcast)
     hits = tested.groupBy("query_id").agg(F.bool_and(pages.covers(F.col("bits"), F.col("offsets"))).alias("hit"))
     return _answered(queries, hits, spec)
 
@@ -85,7 +85,7 @@ def _in_rounds(index: DataFrame, queries: DataFrame, spec: IndexSpec, broadcast:
         mine = probes.where(F.col("rep") == rep)
         if alive is not None:
             mine = mine.join(alive, "query_id", "left_semi")
-        judged = _with_pages(mine, index.where(F.col("rep") == rep), broadcast).groupBy("query_id").agg(F.bool_and(pages.covers(F.col("bits"), F.col("offsets"))).alias("hit"))
+        judged = _with_pages(mine, index.where(F.col("rep") == rep), spec, broadcast).groupBy("query_id").agg(F.bool_and(pages.covers(F.col("bits"), F.col("offsets"))).alias("hit"))
         out.append(judged)
         alive = judged.where("hit").select("query_id")
     hits = out[0]
@@ -121,7 +121,7 @@ def _in_kernel(index: DataFrame, queries: DataFrame, spec: IndexSpec) -> DataFra
 
 def probe_grams(index: DataFrame, queries: DataFrame, spec: IndexSpec, broadcast: bool | None = None) -> DataFrame:
     """(query_id, pos, hit) of every gram of every query."""
-    tested = _with_pages(group_probes(queries, spec, with_grams=True), index, broadcast)
+    tested = _with_pages(group_probes(queries, spec, with_grams=True), index, spec, broadcast)
     each = tested.select("query_id", F.explode(F.transform(F.arrays_zip("offsets", "grams"), lambda x: F.struct(x["grams"].alias("pos"), F.coalesce(pages.bit_at(F.col("bits"), x["offsets"]), F.lit(False)).alias("hit")))).alias("g"))
     return each.groupBy("query_id", F.col("g.pos").alias("pos")).agg(F.bool_and("g.hit").alias("hit"))
 
@@ -146,15 +146,15 @@ def fill(index: DataFrame, spec: IndexSpec) -> DataFrame:
     return counted.withColumn("fill", F.col("n_bits") / F.lit(spec.range))
 
 
-def whole_hits(index: DataFrame, queries: DataFrame, spec: IndexSpec, broadcast: bool | None = None) -> DataFrame:
+def whole_hits(index: DataFrame, queries: DataFrame, spec: IndexSpec, n_filters: int | None = None) -> DataFrame:
     """(query_id, filter_id): the filters, of an index of many, that hold all bits of the query.
 
     Probe rows meet the stored pages of all filters at once; a filter holds the query if as many of its
     pages passed as the query has probe rows, so absent pages need no rows. Queries without grams are absent.
+    The index is broadcast if n_filters is given and so many filters cannot have too many pages.
     """
     probes = group_probes(queries, spec)
-    if broadcast is None:
-        broadcast = index.limit(BROADCAST_PAGES + 1).count() <= BROADCAST_PAGES
+    broadcast = n_filters is not None and n_filters * spec.pages <= BROADCAST_PAGES
     sized = probes.groupBy("query_id").agg(F.count(F.lit(1)).alias("need"))
     met = probes.join(F.broadcast(index) if broadcast else index, ["rep", "page_no"]).where(pages.covers(F.col("bits"), F.col("offsets")))
     return met.groupBy("query_id", "filter_id").agg(F.count(F.lit(1)).alias("have")).join(sized, "query_id").where("have = need").select("query_id", "filter_id")

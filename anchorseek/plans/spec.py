@@ -93,6 +93,11 @@ class IndexSpec:
         """Whether the Arrow kernel computes these positions."""
         return self.backend in ("arrow", "segment_tree") and self.packed and self.family == "xxhash64" and self.lsh == "minwise"
 
+    @property
+    def pages(self) -> int:
+        """Pages that one filter can have at most."""
+        return -(-self.range // PAGE_BITS) * (1 if self.layout == "shared" else self.eta)
+
     def rep_of(self, j: int) -> int:
         """Number of the bit array that function j addresses."""
         return 0 if self.layout == "shared" else j
