@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import lean, table
 
 BINS = 1 << 15
 ORDERS = (1, 2, 3, 4)
@@ -34,8 +34,8 @@ TRAIN_ROWS = 12_000
 #: A language counts as written in a script from this share of its letters on.
 SCRIPT_SHARE = 0.02
 #: Words of one language are distinguished in memory up to this number, then forgotten; words walked at once.
-MEMORY_WORDS = 300_000
-SLICE_WORDS = 1_000_000
+MEMORY_WORDS = 200_000
+SLICE_WORDS = 600_000
 LEARN_WORDS = 50_000
 LETTERS = re.compile(r"[^\W\d_]+")
 #: Script ranges by code point (first, last, script).
@@ -109,7 +109,7 @@ def _counts(text: str, lang: str):
         if out:
             yield pa.RecordBatch.from_arrays([pa.array(x) for x in zip(*out)], names=["lang", "what", "bin", "n"])
 
-    return run
+    return lean(run)
 
 
 class Model:
@@ -263,7 +263,7 @@ def _predictor(model: Model, text: str, carry: list[str], penalty: float, spans:
                     if len(known) > MEMORY_WORDS:
                         known.clear()
 
-    return run
+    return lean(run)
 
 
 def identified(docs: DataFrame, model: Model, text="text", carry=None, penalty=PENALTY, spans=True) -> DataFrame:

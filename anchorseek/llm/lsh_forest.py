@@ -31,7 +31,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import LOWER_BYTES, settled, table
+from .common import LOWER_BYTES, lean, settled, table
 
 WIDTH = 5
 TREES = 16
@@ -44,7 +44,7 @@ _GOLD, _MIX1, _MIX2 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B
 
 class WordHashes(dict):
     def __missing__(self, word: bytes) -> int:
-        if len(self) >= 400_000:
+        if len(self) >= 200_000:
             self.clear()
         value = self[word] = xxhash.xxh64_intdigest(word)
         return value
@@ -121,7 +121,7 @@ def _sketcher(width: int, trees: int, depths):
                     names=["_id", "_n", "_h1", "_h2", "_keys"],
                 )
 
-    return run
+    return lean(run)
 
 
 def _bit_of(ids: np.ndarray) -> np.ndarray:
@@ -135,7 +135,7 @@ def _wanted(candidates: DataFrame, column: str) -> np.ndarray:
         for batch in batches:
             yield pa.RecordBatch.from_arrays([pa.array(_bit_of(batch.column(0).to_numpy()))], names=["bit"])
 
-    bits = candidates.select(F.col(column).cast("long")).mapInArrow(mark, "bit bigint")
+    bits = candidates.select(F.col(column).cast("long")).mapInArrow(lean(mark), "bit bigint")
     pages = bits.groupBy(F.shiftright("bit", 15).alias("page")).agg(F.bitmap_construct_agg(F.col("bit").bitwiseAND(32767)).alias("b"))
     out = np.zeros((BITS >> 15, 4096), np.uint8)
     for page, b in pages.toLocalIterator():
@@ -160,7 +160,7 @@ def _set_maker(width: int, wanted: np.ndarray):
                     names=["_rep", "_set"],
                 )
 
-    return run
+    return lean(run)
 
 
 def linked_parts(sets: list[np.ndarray], link=LINK) -> np.ndarray:
@@ -234,7 +234,7 @@ def _verifier(link):
         if out_a:
             yield pa.RecordBatch.from_arrays([pa.array(out_a, pa.int64()), pa.array(out_b, pa.int64())], names=["_a", "_b"])
 
-    return run
+    return lean(run)
 
 
 def _links(groups: DataFrame, texts: DataFrame, width: int, link) -> DataFrame:

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import fresh_path, settled, table
+from .common import fresh_path, lean, settled, table
 
 #: Distinct pieces whose ids one task remembers, and the bytes of text and ids handed on at once.
 MEMORY_PIECES = 250_000
@@ -98,7 +98,7 @@ def _encoder(path: str, end_id: int):
             if rows:
                 yield out(rows, lengths, ids, batch)
 
-    return run
+    return lean(run)
 
 
 def write_tokens(docs: DataFrame, tokenizer_path: str, out_path: str, doc_id="doc_id", text="text", end_id=0, encoding="dictionary", row_group_bytes=32 << 20, page_bytes=64 << 10, page_rows=1000) -> None:
@@ -152,7 +152,7 @@ def token_index(spark, path: str) -> DataFrame:
     number = F.regexp_extract("_metadata.file_name", r"part-(\d+)", 1).cast("long")
     read = files.select("doc_id", "ids", number.alias("_file"), F.col("_metadata.row_index").alias("_row"))
     id_type = files.schema["doc_id"].dataType.simpleString()
-    rows = settled(read.mapInArrow(_digest, f"doc_id {id_type}, _file bigint, _row bigint, n_tokens bigint, ids_crc32 bigint"), "token-index")
+    rows = settled(read.mapInArrow(lean(_digest), f"doc_id {id_type}, _file bigint, _row bigint, n_tokens bigint, ids_crc32 bigint"), "token-index")
     before = Window.orderBy("_file").rowsBetween(Window.unboundedPreceding, -1)  # one row a file
     files_before = rows.groupBy("_file").agg(F.sum("n_tokens").alias("_n")).select("_file", F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_base"))
     inside = Window.partitionBy("_file").orderBy("_row").rowsBetween(Window.unboundedPreceding, -1)

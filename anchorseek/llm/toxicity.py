@@ -29,7 +29,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import lean, table
 
 BINS = 1 << 20
 GRAMS = (4, 5)
@@ -196,7 +196,7 @@ def fitted(docs: DataFrame, labels: DataFrame, categories: dict, text="text", do
     scale = 1 << 30
     wanted = wanted.where(F.pmod("_h", F.lit(scale)) < F.when(positive, int(take_pos * scale)).otherwise(int(take_rest * scale)))
     rows = docs.select(F.col(doc_id).alias("_id"), F.col(text).alias("_t")).join(F.broadcast(wanted), "_id").select("_t", "_y", "_h")
-    got = rows.mapInArrow(_featurizer, "ids binary, counts binary, n bigint, y array<double>, h bigint").toLocalIterator()
+    got = rows.mapInArrow(lean(_featurizer), "ids binary, counts binary, n bigint, y array<double>, h bigint").toLocalIterator()
     kept = sorted(((r.h, r.n, r.ids, r.counts, r.y) for r in got), key=lambda r: (r[0], r[1], r[2]))
     x = Sparse([(np.frombuffer(i, "<i4"), np.frombuffer(c, "<f4"), n_) for _, n_, i, c, _ in kept])
     y = np.array([[np.nan if v is None else v for v in r[4]] for r in kept], float).reshape(len(kept), len(names))
@@ -237,7 +237,7 @@ def _scorer(chain: Chain, text: str, carry: list[str]):
                         known.clear()
                 yield pa.RecordBatch.from_arrays([*(rows.column(c) for c in carry), *(pa.array(p[:, c]) for c in range(p.shape[1]))], names=[*carry, *(f"p_{c}" for c in chain.categories)])
 
-    return run
+    return lean(run)
 
 
 def scored(docs: DataFrame, chain: Chain, text="text", carry=None) -> DataFrame:

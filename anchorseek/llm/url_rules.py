@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import lower_ascii, table
+from .common import lean, lower_ascii, table
 
 AFTER_SCHEME = r"(?s)^.*?://(.*)$"
 #: Rows of one key range, about (it is streamed, so a larger one costs time, not memory); the most ranges;
@@ -102,7 +102,7 @@ def _sweep(default_verdict: str, columns: list[str]):
                 names=columns + ["rule", "verdict"],
             )
 
-    return run
+    return lean(run)
 
 
 def filter_urls(pages: DataFrame, rules: DataFrame, url="url", row_id="page_id", default_verdict="allow") -> DataFrame:

@@ -25,7 +25,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import ALNUM_BYTES, settled, table
+from .common import ALNUM_BYTES, lean, settled, table
 
 SPAN = 13
 K = 7
@@ -38,7 +38,7 @@ class WordHashes(dict):
     """64-bit hashes of words as bytes; forgets all when it has grown large."""
 
     def __missing__(self, word: bytes) -> int:
-        if len(self) >= 400_000:
+        if len(self) >= 200_000:
             self.clear()
         value = self[word] = xxhash.xxh64_intdigest(word)
         return value
@@ -168,7 +168,7 @@ def _marker(rows, span: int, k: int, text: str, carry: list[str]):
                 marks.append({"n_words": len(words), "n_hit": int(hit.sum()), "items": names, "spans": _spans(hit)})
             yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in carry), pa.array(marks, _MARK_TYPE)], names=[*carry, "_mark"])
 
-    return run
+    return lean(run)
 
 
 def _mark_shuffled(docs: DataFrame, bench: DataFrame, text: str, item_id: str, bench_text: str, span: int, k: int, carry: list[str]) -> DataFrame:
@@ -197,7 +197,7 @@ def _mark_shuffled(docs: DataFrame, bench: DataFrame, text: str, item_id: str, b
                     found += got
                 yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(np.array(found, np.uint64).view(np.int64))], names=["_k", "_fp"])
 
-        return run
+        return lean(run)
 
     def item_prints(batches):
         hashes = WordHashes()
@@ -228,12 +228,12 @@ def _mark_shuffled(docs: DataFrame, bench: DataFrame, text: str, item_id: str, b
     texts = keyed.groupBy("_k").agg(F.first(F.coalesce(F.col(text), F.lit(""))).alias("_t"))
     items = bench.where(F.col(bench_text).isNotNull()).select(F.col(item_id).cast("string").alias("_item"), F.col(bench_text).alias("_bt")).distinct()
     items = items.withColumn("_i", F.xxhash64("_item", "_bt"))
-    wanted = settled(items.select("_i", "_bt").mapInArrow(item_prints, "_i bigint, _fp bigint, _n int"), "bench-prints")
+    wanted = settled(items.select("_i", "_bt").mapInArrow(lean(item_prints), "_i bigint, _fp bigint, _n int"), "bench-prints")
     lengths = [r[0] for r in wanted.where(F.col("_n") < span).select("_n").distinct().collect()]  # at most span - 1 values
-    pairs = texts.mapInArrow(prints, "_k bigint, _fp bigint").join(wanted.where(F.col("_n") == span), "_fp").select("_k", "_i")
+    pairs = texts.mapInArrow(lean(prints), "_k bigint, _fp bigint").join(wanted.where(F.col("_n") == span), "_fp").select("_k", "_i")
     if lengths:
         pairs = pairs.union(texts.mapInArrow(short(lengths), "_k bigint, _fp bigint").join(wanted.where(F.col("_n") < span), "_fp").select("_k", "_i"))
-    found = pairs.distinct().join(items, "_i").join(texts, "_k").select("_k", "_t", "_item", "_bt").mapInArrow(pair, "_k bigint, _item string, _spans array<struct<first:int,last:int>>")
+    found = pairs.distinct().join(items, "_i").join(texts, "_k").select("_k", "_t", "_item", "_bt").mapInArrow(lean(pair), "_k bigint, _item string, _spans array<struct<first:int,last:int>>")
     marks = found.groupBy("_k").agg(F.array_sort(F.collect_set("_item")).alias("_items"), F.array_sort(F.flatten(F.collect_list("_spans"))).alias("_spans"))
 
     def merge(batches):
@@ -249,7 +249,7 @@ def _mark_shuffled(docs: DataFrame, bench: DataFrame, text: str, item_id: str, b
             yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in carry), pa.array(out, _MARK_TYPE)], names=[*carry, "_mark"])
 
     schema = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in carry)
-    return keyed.join(marks, "_k", "left").mapInArrow(merge, f"{schema}, _mark {MARK}")
+    return keyed.join(marks, "_k", "left").mapInArrow(lean(merge), f"{schema}, _mark {MARK}")
 
 
 def marked(docs: DataFrame, bench: DataFrame, text="text", item_id="item_id", bench_text="text", span=SPAN, k=K, carry=None, broadcast_chars=BROADCAST_CHARS) -> DataFrame:
