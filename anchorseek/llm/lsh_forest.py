@@ -241,7 +241,8 @@ def _links(groups: DataFrame, texts: DataFrame, width: int, link) -> DataFrame:
     """(_a, _b) from groups (_gid, _rep) after comparing the full sets inside each."""
     wanted = _wanted(groups, "_rep")
     sets = texts.mapInArrow(_set_maker(width, wanted), "_rep bigint, _set array<bigint>")
-    placed = groups.join(sets, "_rep").select("_gid", "_rep", "_set")
+    # both sides grow with the corpus: never a broadcast, so that costs grow evenly
+    placed = groups.hint("merge").join(sets, "_rep").select("_gid", "_rep", "_set")
     found = placed.repartition("_gid").sortWithinPartitions("_gid").mapInArrow(_verifier(link), "_a bigint, _b bigint")
     return settled(found.distinct(), "links")
 
@@ -306,6 +307,26 @@ def _rest(members: DataFrame, labels: DataFrame) -> DataFrame | None:
     ).distinct()
 
 
+def without(docs: DataFrame, dropped: DataFrame, doc_id="doc_id") -> DataFrame:
+    """docs but for those whose id is in `dropped` (doc_id). Texts move only where a hash of their id is marked.
+
+    The marks are a bitmap of BITS bits in pages, 8 MB however large the corpus; what they cannot rule out is
+    joined exactly.
+    """
+    bit = lambda c: F.xxhash64(F.coalesce(c.cast("long"), F.lit(-1).cast("long"))).bitwiseAND(F.lit(BITS - 1).cast("long"))
+    ids = dropped.select(F.col(doc_id).cast("long").alias("_gone")).where("_gone IS NOT NULL")
+    place = bit(F.col("_gone"))
+    marks = settled(ids.groupBy(F.shiftright(place, 15).alias("_page")).agg(F.bitmap_construct_agg(place.bitwiseAND(32767)).alias("_bits")), "dropped-marks")
+    packed = docs.select(F.struct(*docs.columns).alias("_row"), F.col(doc_id).cast("long").alias("_own"))
+    own = bit(F.col("_own"))
+    offset = own.bitwiseAND(32767)
+    byte = F.conv(F.hex(F.substring("_bits", F.shiftright(offset, 3).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
+    marked = F.coalesce(F.call_function("getbit", byte, offset.bitwiseAND(7).cast("int")) == 1, F.lit(False))
+    seen = packed.join(F.broadcast(marks), F.shiftright(own, 15) == F.col("_page"), "left")
+    kept = seen.where(~marked).select("_row").union(seen.where(marked).select("_row", "_own").join(ids.hint("merge"), F.col("_own") == F.col("_gone"), "left_anti").select("_row"))
+    return kept.select(*[F.col(f"_row.`{c}`").alias(c) for c in docs.columns])
+
+
 def near_duplicates(docs: DataFrame, doc_id="doc_id", text="text", width=WIDTH, link=LINK) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept), one row a row of docs. doc_id is an integer column.
 
