@@ -27,7 +27,7 @@ def identify_language(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
 def drop_near_duplicates(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each group the document with the smallest id stays; of rows with one id, one."""
     judged = settled(lsh_forest.near_duplicates(docs).select("doc_id", "kept"), "near-duplicates")
-    out = docs.join(judged.where(~F.col("kept")).select("doc_id"), "doc_id", "left_anti").select(*docs.columns)
+    out = lsh_forest.without(docs, judged.where(~F.col("kept")).select("doc_id"))
     repeated = judged.where("kept AND doc_id IS NOT NULL").groupBy("doc_id").count().where("count > 1").limit(1).count()
     if repeated:
         named = out.where(F.col("doc_id").isNotNull()).dropDuplicates(["doc_id"])
