@@ -108,7 +108,7 @@ def scanned(docs: DataFrame, text="text", doc_id="doc_id", base=None, templates=
         F.max("_cover").alias("_score"),
         F.array_sort(F.collect_list(F.struct(F.col("_first").alias("first"), (F.col("_last") + K - 1).alias("last"), F.col("_label").alias("label"), F.col("_cover").alias("cover")))).alias("spans"),
     ).withColumnsRenamed({"doc_id": "_id", "_k": "_k2"})
-    n_words = F.regexp_count(F.coalesce(F.col("_t"), F.lit("")), F.lit(ALNUM_WORD)).cast("long")
+    n_words = F.regexp_count(lowered(F.coalesce(F.col("_t"), F.lit(""))), F.lit(ALNUM_WORD)).cast("long")
     all_rows = rows.select("doc_id", "_k", n_words.alias("n_words"))
     return all_rows.join(found, (F.col("_k") == F.col("_k2")) & F.col("doc_id").eqNullSafe(F.col("_id")), "left").select(
         "doc_id",
