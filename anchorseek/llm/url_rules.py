@@ -45,8 +45,8 @@ def split_url(url):
 
 
 def reversed_host(host):
-    """Labels in reverse order, each with a closing dot; empty for an empty host."""
-    return F.when(host == "", F.lit("")).otherwise(F.concat(F.array_join(F.reverse(F.split(host, r"\.")), "."), F.lit(".")))
+    """Labels in reverse order, each with a closing dot; an empty host is one empty label."""
+    return F.concat(F.array_join(F.reverse(F.split(host, r"\.")), "."), F.lit("."))
 
 
 def _splits(keyed: DataFrame) -> list[str]:
