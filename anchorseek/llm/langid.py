@@ -268,7 +268,7 @@ def _predictor(model: Model, text: str, carry: list[str], penalty: float, spans:
 
 def identified(docs: DataFrame, model: Model, text="text", carry=None, penalty=PENALTY, spans=True) -> DataFrame:
     """The carried columns (all by default), lang_pred, lang_score and lang_spans (word numbers from 0)."""
-    carry = docs.columns if carry is None else list(carry)
+    carry = [c for c in docs.columns if c not in ("lang_pred", "lang_score", "lang_spans")] if carry is None else list(carry)
     schema = [f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in carry] + ["lang_pred string", "lang_score double"] + [f"lang_spans {SPANS}"] * spans
     return docs.select(*dict.fromkeys([*carry, text])).mapInArrow(_predictor(model, text, carry, penalty, spans), ", ".join(schema))
 

@@ -170,7 +170,7 @@ FINDING = "struct<place:int,candidate:string,score:double>"
 
 def scanned(docs: DataFrame, forest: Forest, text="text", carry=None, cutoff=CUTOFF) -> DataFrame:
     """The carried columns (all by default), findings (word number, string, score of every candidate) and secrets."""
-    carry = docs.columns if carry is None else list(carry)
+    carry = [c for c in docs.columns if c not in ("findings", "secrets")] if carry is None else list(carry)
 
     def found(words):
         places = F.when(F.size(words) > 0, F.sequence(F.lit(0), F.size(words) - 1)).otherwise(F.array().cast("array<int>"))

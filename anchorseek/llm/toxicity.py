@@ -242,7 +242,7 @@ def _scorer(chain: Chain, text: str, carry: list[str]):
 
 def scored(docs: DataFrame, chain: Chain, text="text", carry=None) -> DataFrame:
     """The carried columns (all by default) and p_<category> of every document."""
-    carry = docs.columns if carry is None else list(carry)
+    carry = [c for c in docs.columns if c not in [f"p_{x}" for x in chain.categories]] if carry is None else list(carry)
     schema = [f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in carry] + [f"p_{c} double" for c in chain.categories]
     return docs.select(*dict.fromkeys([*carry, text])).mapInArrow(_scorer(chain, text, carry), ", ".join(schema))
 

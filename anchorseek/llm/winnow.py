@@ -224,6 +224,10 @@ def _mark_shuffled(docs: DataFrame, bench: DataFrame, text: str, item_id: str, b
                     names.append(None if item is None else str(item))
             yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(names, pa.string()), pa.array(spans, _MARK_TYPE.field("spans").type)], names=["_k", "_item", "_spans"])
 
+    names, types = carry, [docs.schema[c].dataType.simpleString() for c in carry]
+    carry = [f"_carried{i}" for i in range(len(names))]  # whatever their names, they meet none of ours
+    docs = docs.select(F.col(text).alias("_text"), *[F.col(f"`{n}`").alias(c) for n, c in zip(names, carry)])
+    text = "_text"
     keyed = docs.withColumn("_k", F.xxhash64(F.coalesce(F.col(text), F.lit(""))))
     texts = keyed.groupBy("_k").agg(F.first(F.coalesce(F.col(text), F.lit(""))).alias("_t"))
     items = bench.where(F.col(bench_text).isNotNull()).select(F.col(item_id).cast("string").alias("_item"), F.col(bench_text).alias("_bt")).distinct()
@@ -248,15 +252,16 @@ def _mark_shuffled(docs: DataFrame, bench: DataFrame, text: str, item_id: str, b
                 out.append({"n_words": len(words), "n_hit": int(hit.sum()), "items": names or [], "spans": _spans(hit)})
             yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in carry), pa.array(out, _MARK_TYPE)], names=[*carry, "_mark"])
 
-    schema = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in carry)
-    return keyed.join(marks, "_k", "left").mapInArrow(lean(merge), f"{schema}, _mark {MARK}")
+    schema = ", ".join(f"`{c}` {t}" for c, t in zip(carry, types))
+    merged = keyed.join(marks, "_k", "left").mapInArrow(lean(merge), f"{schema}, _mark {MARK}")
+    return merged.select(*[F.col(c).alias(n) for c, n in zip(carry, names)], "_mark")
 
 
 def marked(docs: DataFrame, bench: DataFrame, text="text", item_id="item_id", bench_text="text", span=SPAN, k=K, carry=None, broadcast_chars=BROADCAST_CHARS) -> DataFrame:
     """The carried columns of docs (all by default) and _mark: words, hit words, items found, hit spans."""
     if not 1 <= k <= span:
         raise ValueError("1 <= k <= span")
-    carry = docs.columns if carry is None else list(carry)
+    carry = [c for c in docs.columns if c != "_mark"] if carry is None else list(carry)
     chars = bench.agg(F.coalesce(F.sum(F.length(bench_text) + 64), F.lit(0))).first()[0]
     if chars > broadcast_chars:
         return _mark_shuffled(docs, bench, text, item_id, bench_text, span, k, carry)
