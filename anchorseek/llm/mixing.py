@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 
 from .common import WORD, settled, words_of
 
-ROWS_PER_RANGE = 16_384
+ROWS_PER_RANGE = 4096
 #: Sources up to this number are broadcast; with more, the join is left to Spark.
 BROADCAST_SOURCES = 20_000
 
@@ -98,7 +98,7 @@ def _cutoffs(sized: DataFrame, targets: DataFrame) -> DataFrame:
 
 
 def with_taken(docs: DataFrame, doc_id="doc_id", text="text", source="source", weights=(5, 2, 1), share=1.0, cap=3.0, seed=42, carry=None) -> DataFrame:
-    """docs (or the columns in carry) with size, source_size, target and taken.
+    """docs (or the columns in carry) with size, source_size, target and taken, in place of columns of these names.
 
     taken: words that the mix takes of the document, repeats counted; at most ceil(cap) times its size.
     """
@@ -113,11 +113,15 @@ def with_taken(docs: DataFrame, doc_id="doc_id", text="text", source="source", w
         "mix-sizes",
     )
     cutoffs = settled(_cutoffs(narrow.select("_source", *parts), source_targets(narrow, weights, share, cap)), "mix-cutoffs")
-    rows = narrow.select(*parts, *[F.col(f"_c_{c}").alias(c) for c in carry]) if carry is not None else docs.select("*", *[c.alias(n) for n, c in parts.items()])
+    if carry is None:
+        kept = [c for c in docs.columns if c not in ("size", "source_size", "target", "taken")]
+        rows = docs.select(F.struct(*docs.columns).alias("_kept"), *[c.alias(n) for n, c in parts.items()])
+    else:
+        kept = list(carry)
+        rows = narrow.select(F.struct(*[F.col(f"_c_{c}").alias(c) for c in carry]).alias("_kept"), *parts)
     last = F.when(F.col("_cut").isNull() | (F.col("_key") > F.col("_cut")), F.lit(0)).when(F.col("_key") == F.col("_cut"), F.least(F.col("_part"), F.col("_size"))).otherwise(F.col("_size"))
-    kept = carry if carry is not None else docs.columns
     return rows.join(_small(cutoffs), "_src").select(
-        *kept,
+        *[F.col(f"_kept.`{c}`").alias(c) for c in kept],
         F.col("_size").alias("size"),
         "source_size",
         "target",
