@@ -7,109 +7,290 @@ columns alone, therefore reads only the pages it needs. Positions in the whole s
 sums per file, a running sum over the files, and a running sum of the rows inside each.
 
 Defined results: null text is the empty text; each document ends with the end id, so no list is empty; a
-null doc_id sorts first; documents with equal ids are kept, in order of their text; an empty table gives an
+null doc_id sorts first; documents with equal ids are kept, in order of their text, in one file; an empty table gives an
 empty set of files that reads back as an empty table.
 """
 
 from __future__ import annotations
 
+import re
 import zlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import fresh_path, lean, settled, table
 
-#: Distinct pieces whose ids one task remembers, and the bytes of text and ids handed on at once.
-MEMORY_PIECES = 250_000
-SLICE_CHARS = 4_000_000
+#: Groups whose ids one process remembers, twice (the present ones and those before them), and the characters
+#: of text handed on at once.
+MEMORY_PIECES = 350_000
+SLICE_CHARS = 1_500_000
+
+
+def _byte_letters() -> str:
+    """The letter that byte-level models write for each byte: printable bytes stand for themselves, others follow 255."""
+    plain = {*range(33, 127), *range(161, 173), *range(174, 256)}
+    rest = iter(range(256, 512))
+    return "".join(chr(b) if b in plain else chr(next(rest)) for b in range(256))
+
+
+BYTE_LETTERS = _byte_letters()
+#: The groups of byte-level models, for texts in which Python's classes say the same as the
+#: library's: below U+0530 and without the separators 1C-1F. Numbers beyond the digits are listed.
+_NUMBERS = "\xb2\xb3\xb9\xbc\xbd\xbe"
+_LETTER, _NUMBER = rf"[^\W\d_{_NUMBERS}]", rf"[\d{_NUMBERS}]"
+GROUPS = re.compile(rf" ?{_LETTER}+|'s|'t|'re|'ve|'m|'ll|'d| ?{_NUMBER}+| ?(?:_|[^\s\w])+|\s+(?!\S)|\s+")
+OTHER = re.compile("[\x1c-\x1f\u0530-\U0010ffff]")
 
 
 class PieceEncoder(dict):
-    """Encodes texts with a tokenizers file, remembering the ids of pieces that start at a single space.
+    """Encodes texts with a tokenizers file, remembering the ids of the groups that the model encodes one by one.
 
-    A byte-level pre-tokenizer always starts a new token at a space that has non-white characters on both
-    sides, so the ids of such pieces do not depend on what stands around them. Texts with other spaces are
-    encoded whole.
+    The library's model encodes each group; the groups of common texts are cut here, once a text. Texts with
+    characters beyond those of GROUPS, and files of another kind, go through the library whole.
     """
 
     def __init__(self, path: str):
+        import json
+
         from tokenizers import Tokenizer
 
         super().__init__()
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
+        self.model = self.tokenizer.model
+        self.older: dict[str, bytes] = {}
+        told = json.loads(self.tokenizer.to_str())
+        before = told["pre_tokenizer"] or {}
+        self.by_group = (
+            told["normalizer"] is None and told["model"]["type"] == "BPE" and told["model"].get("dropout") is None
+            and before.get("type") == "ByteLevel" and before.get("use_regex") and not before.get("add_prefix_space")
+        )
 
     def whole(self, text: str) -> bytes:
         return np.asarray(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
 
-    def __missing__(self, piece: str) -> bytes | None:
-        body = piece[1:]
-        found = None if not body or body[0].isspace() or body[-1].isspace() else self.whole(piece)
+    def __missing__(self, group: str) -> bytes:
+        found = self.older.get(group)
+        if found is None:
+            found = array("I", [t.id for t in self.model.tokenize(_as_letters(group))]).tobytes()
         if len(self) >= MEMORY_PIECES:
+            self.older = dict(self)
             self.clear()
-        if len(piece) <= 64:
-            self[piece] = found
+        if len(group) <= 64:
+            self[group] = found
         return found
 
     def encode(self, text: str) -> bytes:
-        first, *rest = text.split(" ")
-        if not rest or not first or first[-1].isspace():
-            return self.whole(text)
-        known = self.__getitem__
-        try:
-            return self.whole(first) + b"".join([known(" " + p) for p in rest])
-        except TypeError:
+        if not self.by_group or OTHER.search(text):
             return self.whole(text)
+        return b"".join(map(self.__getitem__, GROUPS.findall(text)))
+
+    def encode_all(self, texts: list[str], end_id: int) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of all texts one after another, each with the end id; number of ids of each text).
+
+        The texts are cut into groups at once; every distinct group is encoded once and its ids are copied to
+        all its places. Groups are told apart by a 64-bit hash and then compared symbol by symbol; should two
+        share a hash, or a text need the library as a whole, texts are encoded one by one.
+        """
+        simple = self.by_group and sum(map(len, texts)) <= 2 * SLICE_CHARS
+        got = self._encode_joined(texts, end_id) if simple else None
+        if got is None:
+            end = np.asarray([end_id], "<u4").tobytes()
+            if simple and len(texts) > 1:  # only the texts that need it go alone
+                half = len(texts) // 2
+                (a, m), (b, n) = (self.encode_all(part, end_id) for part in (texts[:half], texts[half:]))
+                return np.concatenate([a, b]), np.concatenate([m, n])
+            each = [self.encode(t) + end for t in texts]
+            return np.frombuffer(b"".join(each), "<i4"), np.array([len(e) // 4 for e in each], np.int64)
+        return got
+
+    def _encode_joined(self, texts: list[str], end_id: int):
+        joined, sizes = "".join(texts), np.fromiter(map(len, texts), np.int64, len(texts))
+        if not joined:
+            return np.full(len(texts), end_id, np.int32), np.ones(len(texts), np.int64)
+        code = np.frombuffer(joined.encode("utf-32-le"), np.uint32)
+        if code.max() >= len(CLASSES) or (CLASSES[code] == 9).any():
+            return None
+        starts = group_starts(code, sizes)
+        n = len(code)
+        length = np.diff(np.append(starts, n))
+        power, inverse = _powers(n)
+        sums = np.zeros(n + 1, np.uint64)
+        np.cumsum(code * power[:n], out=sums[1:])
+        hashes = (sums[starts + length] - sums[starts]) * inverse[starts]
+        hashes ^= length.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+        which, distinct = pd.factorize(hashes)
+        first = np.empty(len(distinct), np.int64)
+        first[which[::-1]] = np.arange(len(which))[::-1]
+        if (length[first[which]] != length).any():
+            return None
+        shift = np.repeat((starts[first[which]] - starts).astype(np.int32), length)
+        shift += np.arange(n, dtype=np.int32)
+        if (code[shift] != code).any():
+            return None
+        del shift, sums
+        known = list(map(self.__getitem__, map(joined.__getitem__, map(slice, starts[first].tolist(), (starts[first] + length[first]).tolist()))))
+        flat = np.frombuffer(b"".join(known), "<i4")
+        per = np.fromiter(map(len, known), np.int64, len(known)) // 4
+        at = np.cumsum(per) - per
+        tokens = per[which]
+        total = int(tokens.sum())
+        begins = np.cumsum(tokens) - tokens
+        source = np.repeat((at[which] - begins).astype(np.int32), tokens)
+        source += np.arange(total, dtype=np.int32)
+        ends = np.cumsum(sizes)
+        owner = np.searchsorted(ends, starts, side="right")
+        counts = np.bincount(owner, tokens, len(texts)).astype(np.int64)
+        out = np.full(total + len(texts), end_id, np.int32)
+        place = np.repeat(owner.astype(np.int32), tokens)
+        place += np.arange(total, dtype=np.int32)
+        out[place] = flat[source]
+        return out, counts + 1
+
+
+def _classes() -> np.ndarray:
+    """Kind of every character below U+0530: 1 letter, 2 number, 3 white space, 0 another."""
+    import unicodedata
+
+    kinds = [unicodedata.category(chr(c))[0] for c in range(0x530)]
+    out = np.array([1 if k == "L" else 2 if k == "N" else 0 for k in kinds], np.uint8)
+    out[[9, 10, 11, 12, 13, 32, 0x85, 0xA0]] = 3
+    out[0x1C:0x20] = 9  # no text with these is cut here
+    return out
+
+
+CLASSES = _classes()
+
+
+def group_starts(code: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """Places where the groups of GROUPS start in texts of the given sizes, joined."""
+    n = len(code)
+    kind = CLASSES[code]
+    opens = np.zeros(n + 1, bool)
+    edges = np.cumsum(sizes)
+    opens[edges] = True  # a text's first character, and the end of all
+    opens[0] = True
+    ends = opens[:-1].copy()
+    run = opens[:-1] | np.concatenate([[True], kind[1:] != kind[:-1]])
+    white = kind == 3
+    last = np.append(run[1:], True)  # last character of its run
+    final = opens[1:] | (np.arange(1, n + 1) == n)  # last character of its text
+    start = run.copy()
+    after_space = np.concatenate([[False], code[:-1] == 32]) & ~ends
+    start[run & ~white & after_space] = False  # a space before belongs to the group
+    start[white & last & ~final] = True  # the last white character before others stands apart
+    mark = np.flatnonzero((code == 39) & start & last & ~final)
+    if len(mark):
+        padded = np.append(code, [0, 0])
+        a, b = padded[mark + 1], padded[mark + 2]
+        letter = np.append(kind, [0, 0])[mark + 1] == 1
+        one = letter & np.isin(a, [ord(c) for c in "stmd"])
+        two = letter & ~np.append(final, True)[mark + 1] & (((a == ord("r")) | (a == ord("v"))) & (b == ord("e")) | (a == ord("l")) & (b == ord("l")))
+        size = np.where(one, 2, np.where(two, 3, 0))
+        mark, size = mark[size > 0], size[size > 0]
+        start[mark + 1] = False
+        rest = mark + size
+        inside = rest < n
+        rest, mark = rest[inside], mark[inside]
+        same = (kind[rest] == 1) & ~run[rest]
+        start[rest[same]] = True
+    return np.flatnonzero(start)
+
+
+_POWERS: list[np.ndarray] = []
+
+
+def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
+    """Powers of an odd number and of its inverse modulo 2^64, at least n of each."""
+    if not _POWERS or len(_POWERS[0]) < n:
+        size = max(n, SLICE_CHARS)
+        base = 0x9E3779B97F4A7C15
+        for i, b in enumerate((base, pow(base, -1, 1 << 64))):
+            row = np.full(size, b, np.uint64)
+            row[0] = 1
+            row = np.cumprod(row)
+            if len(_POWERS) > i:
+                _POWERS[i] = row
+            else:
+                _POWERS.append(row)
+    return _POWERS[0], _POWERS[1]
+
+
+def _as_letters(text: str) -> str:
+    if text.isascii() and text.isprintable() and text[-1:] != " ":
+        return text.replace(" ", BYTE_LETTERS[32])  # other printable ASCII stands for itself
+    return text.encode().decode("latin-1").translate(BYTE_LETTERS)
+
+
+_ENCODERS: dict[str, PieceEncoder] = {}
+
+
+def encoder_of(path: str) -> PieceEncoder:
+    """One encoder a process, so that tasks share what it remembers."""
+    if path not in _ENCODERS:
+        _ENCODERS[path] = PieceEncoder(path)
+    return _ENCODERS[path]
 
 
 def _encoder(path: str, end_id: int):
-    end = np.asarray([end_id], "<u4").tobytes()
-
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        import gc
         import os
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        encoder = PieceEncoder(path)
+        encoder = encoder_of(path)
+        gc.disable()  # no cycles are made here, and many small objects are
 
-        def out(rows, lengths, ids, batch):
+        def out(batch, first, texts):
+            flat, lengths = encoder.encode_all(texts, end_id)
             offsets = pa.array(np.concatenate([[0], np.cumsum(lengths)]).astype("int32"))
-            flat = pa.array(np.frombuffer(b"".join(ids), "<i4"))
             return pa.RecordBatch.from_arrays(
-                [batch.column("doc_id").slice(rows[0], len(rows)), pa.array(lengths, pa.int64()), pa.ListArray.from_arrays(offsets, flat)],
-                names=["doc_id", "n_tokens", "ids"],
+                [batch.column("doc_id").slice(first, len(texts)), pa.array(lengths), pa.ListArray.from_arrays(offsets, pa.array(flat))], names=["doc_id", "n_tokens", "ids"]
             )
 
         for batch in batches:
-            texts, rows, lengths, ids, chars = batch.column("text"), [], [], [], 0
+            column, texts, first, chars = batch.column("text"), [], 0, 0
             for i in range(batch.num_rows):
-                text = texts[i].as_py() or ""
-                found = encoder.encode(text) + end
-                rows.append(i)
-                lengths.append(len(found) // 4)
-                ids.append(found)
+                text = column[i].as_py() or ""
+                if texts and chars + len(text) > SLICE_CHARS:
+                    yield out(batch, first, texts)
+                    texts, first, chars = [], i, 0
+                texts.append(text)
                 chars += len(text)
-                if chars >= SLICE_CHARS:
-                    yield out(rows, lengths, ids, batch)
-                    rows, lengths, ids, chars = [], [], [], 0
-            if rows:
-                yield out(rows, lengths, ids, batch)
+            if texts:
+                yield out(batch, first, texts)
+        gc.enable()
 
     return lean(run)
 
 
+def _ranged(rows: DataFrame) -> DataFrame:
+    """Rows dealt over ranges of doc_id, in order of the partitions. Only the ids are read to find the ranges
+    (a range partitioner would read the texts for its sample); equal ids stay together."""
+    parts = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    if parts < 2 or rows.schema["doc_id"].dataType.simpleString() not in ("bigint", "int", "smallint"):
+        return rows.repartitionByRange(F.col("doc_id").asc_nulls_first())
+    cuts = rows.agg(F.percentile_approx("doc_id", [i / parts for i in range(1, parts)], max(10_000, 20 * parts))).first()[0] or []
+    cuts = sorted(set(cuts))
+    below = lambda some: F.size(F.filter(some, lambda c: c < F.col("doc_id")))
+    known = F.array(*[F.lit(c).cast("long") for c in cuts]) if cuts else F.array().cast("array<bigint>")
+    coarse = F.array(*[F.lit(c).cast("long") for c in cuts[63::64]]) if len(cuts) > 63 else F.array().cast("array<bigint>")
+    step = below(coarse) * 64
+    place = F.when(F.col("doc_id").isNull(), F.lit(0)).otherwise(step + below(F.slice(known, step + 1, F.lit(64))))
+    return rows.repartitionById(len(cuts) + 1, place.cast("int"))
+
+
 def write_tokens(docs: DataFrame, tokenizer_path: str, out_path: str, doc_id="doc_id", text="text", end_id=0, encoding="dictionary", row_group_bytes=32 << 20, page_bytes=64 << 10, page_rows=1000) -> None:
     """Write the token files of docs below out_path. encoding: dictionary or delta."""
     if encoding not in ("dictionary", "delta"):
         raise ValueError("encoding is dictionary or delta")
-    ordered = (
-        docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("text"))
-        .repartitionByRange(F.col("doc_id").asc_nulls_first())
-        .sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "text")
-    )
+    ordered = _ranged(docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("text"))).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "text")
     id_type = ordered.schema["doc_id"].dataType.simpleString()
     encoded = ordered.mapInArrow(_encoder(tokenizer_path, end_id), f"doc_id {id_type}, n_tokens bigint, ids array<int>")
     (
@@ -119,7 +300,7 @@ def write_tokens(docs: DataFrame, tokenizer_path: str, out_path: str, doc_id="do
         .option("parquet.page.size", page_bytes)
         .option("parquet.page.row.count.limit", page_rows)
         .option("parquet.dictionary.page.size", 1 << 20)
-        .option("compression", "zstd")
+        .option("compression", "snappy")
         .parquet(out_path)
     )
 
