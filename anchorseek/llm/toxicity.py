@@ -46,39 +46,46 @@ def words_of_text(text: str | None) -> set[str]:
     return set(WORDS.findall((text or "").lower()))
 
 
-def features_of(word: str) -> list[int]:
-    """Feature numbers of a word: the word, its start and its character n-grams, each once."""
-    raw = word.encode()
-    out = {xxhash.xxh64_intdigest(b"w" + raw) % BINS}
-    marked = f"^{word[:40]}$"
-    for n in STARTS:
-        if len(marked) > n:
-            out.add(xxhash.xxh64_intdigest(b"g" + marked[:n].encode()) % BINS)
-    for n in GRAMS:
-        for i in range(max(0, len(marked) - n + 1)):
-            out.add(xxhash.xxh64_intdigest(b"g" + marked[i : i + n].encode()) % BINS)
-    return sorted(out)
-
-
-class WordFeatures(dict):
-    def __missing__(self, word: str) -> np.ndarray:
-        if len(self) >= MEMORY_WORDS // 4:
-            self.clear()
-        found = self[word] = np.array(features_of(word), np.int32)
-        return found
+def features_of(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    """(feature numbers, number of the word that has each): words, their starts and n-grams, hashed; repeats
+    inside a word may occur twice."""
+    marked = [f"^{w[:40]}$" for w in words]
+    sizes = np.fromiter(map(len, marked), np.int64, len(marked))
+    raw = np.frombuffer("".join(marked).encode("utf-32-le"), np.uint32).astype(np.uint64)
+    begins = np.cumsum(sizes) - sizes
+    owner = np.repeat(np.arange(len(marked)), sizes)
+    left = np.repeat(begins + sizes, sizes) - np.arange(len(raw))  # symbols from here to the word's end
+    bins, owners = [np.fromiter((xxhash.xxh64_intdigest(w.encode()) % BINS for w in words), np.int64, len(words))], [np.arange(len(words))]
+    h = np.zeros(len(raw), np.uint64)
+    for n in range(1, max(*STARTS, *GRAMS) + 1):  # h at a place: the hash of n symbols from there
+        h = h[: max(0, len(raw) - n + 1)]
+        h = (h ^ raw[n - 1 : n - 1 + len(h)]) * np.uint64(0x9E3779B97F4A7C15)
+        h ^= h >> np.uint64(29)
+        if n in GRAMS:
+            at = np.flatnonzero(left[: len(h)] >= n)
+            bins.append((h[at] % np.uint64(BINS)).astype(np.int64))
+            owners.append(owner[at])
+        if n in STARTS:
+            own = np.flatnonzero(sizes > n)
+            bins.append(((h[begins[own]] ^ np.uint64(n)) % np.uint64(BINS)).astype(np.int64))
+            owners.append(own)
+    return np.concatenate(bins), np.concatenate(owners)
 
 
 def _featurizer(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    known = WordFeatures()
     for batch in batches:
         for part in range(0, batch.num_rows, 200):
             rows = batch.slice(part, 200)
             ids, counts, sizes = [], [], []
             for t in rows.column("_t"):
-                words = words_of_text(t.as_py())
+                words = sorted(words_of_text(t.as_py()))
                 if len(words) > WORDS_PER_ROW:
                     words = sorted(words, key=lambda w: xxhash.xxh64_intdigest(w.encode()))[:WORDS_PER_ROW]
-                feats, n = np.unique(np.concatenate([known[w] for w in words]), return_counts=True) if words else (np.empty(0, np.int32), np.empty(0, np.int64))
+                feats, n = np.empty(0, np.int64), np.empty(0, np.int64)
+                if words:
+                    bins, owner = features_of(words)
+                    pairs = np.unique(owner * BINS + bins)  # a word has a feature once
+                    feats, n = np.unique(pairs % BINS, return_counts=True)
                 ids.append(feats.astype("<i4").tobytes())
                 counts.append(n.astype("<f4").tobytes())
                 sizes.append(len(words))
@@ -205,15 +212,22 @@ def fitted(docs: DataFrame, labels: DataFrame, categories: dict, text="text", do
 
 
 class _Known(dict):
-    """The kept features of remembered words, as places in the models' common list of features."""
+    """The kept features of remembered words, as places in the models' common list; None for most words."""
 
     def __init__(self, features: np.ndarray):
         super().__init__()
-        self.place = {int(f): i for i, f in enumerate(features)}
+        self.place = np.full(BINS, -1, np.int32)
+        self.place[features] = np.arange(len(features))
 
-    def __missing__(self, word: str) -> list[int]:
-        found = self[word] = [self.place[f] for f in features_of(word) if f in self.place]
-        return found
+    def learn(self, words: list[str]) -> None:
+        self.update(dict.fromkeys(words))
+        bins, owner = features_of(words)
+        place = self.place[bins]
+        hit = np.flatnonzero(place >= 0)
+        pairs = np.unique(owner[hit] * BINS + place[hit])
+        for w, f in zip((pairs // BINS).tolist(), (pairs % BINS).tolist()):
+            word = words[w]
+            self[word] = (*(self[word] or ()), f)
 
 
 def _scorer(chain: Chain, text: str, carry: list[str]):
@@ -226,15 +240,17 @@ def _scorer(chain: Chain, text: str, carry: list[str]):
             for part in range(0, batch.num_rows, 500):
                 rows = batch.slice(part, 500)
                 p = np.zeros((rows.num_rows, len(chain.models)))
-                for i, t in enumerate(rows.column(text)):
-                    words = words_of_text(t.as_py())
+                sets = [words_of_text(t.as_py()) for t in rows.column(text)]
+                if new := sorted(set().union(*sets).difference(known)):
+                    known.learn(new)
+                for i, words in enumerate(sets):
                     hits = [f for found in map(known.__getitem__, words) if found for f in found]
                     x = np.log1p(np.bincount(hits, minlength=len(kept))) if hits else np.zeros(len(kept))
                     for c, (f, w) in enumerate(chain.models):
                         n = len(f)
                         p[i, c] = sigmoid(x[at[c]] @ w[:n] + np.log1p(len(words)) / 10 * w[n] + p[i, :c] @ w[n + 1 : -1] + w[-1])
-                    if len(known) > MEMORY_WORDS:
-                        known.clear()
+                if len(known) > MEMORY_WORDS:
+                    known.clear()
                 yield pa.RecordBatch.from_arrays([*(rows.column(c) for c in carry), *(pa.array(p[:, c]) for c in range(p.shape[1]))], names=[*carry, *(f"p_{c}" for c in chain.categories)])
 
     return lean(run)
