@@ -70,10 +70,28 @@ def words_of(text, separators: str = SPACE):
     return F.filter(F.split(F.coalesce(text, F.lit("")), separators), lambda w: w != F.lit(""))
 
 
-def lean(run):
+#: What a Python worker keeps from task to task, by name.
+KEPT: dict = {}
+
+
+def kept(name: str, make):
+    """The worker's own copy of something costly, made once."""
+    if name not in KEPT:
+        KEPT[name] = make()
+    return KEPT[name]
+
+
+def release(but: str = "") -> None:
+    """Forget what other work has left in this worker."""
+    for name in [n for n in KEPT if n != but]:
+        del KEPT[name]
+
+
+def lean(run, keeps: str = ""):
     """A function for mapInArrow that hands its task's memory back to the system when the task ends.
 
-    Python workers stay between tasks; without this each keeps the most that any task of it has used.
+    Python workers stay between tasks; without this each keeps the most that any task of it has used. Only
+    what is kept under the name `keeps` stays for the next task of the same kind.
     """
 
     def wrapped(batches):
@@ -82,6 +100,7 @@ def lean(run):
 
         import pyarrow as pa
 
+        release(keeps)
         try:
             yield from run(batches)
         finally:

@@ -24,12 +24,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import fresh_path, lean, settled, table
+from .common import fresh_path, kept, lean, settled, table
 
 #: Groups whose ids one process remembers, twice (the present ones and those before them), and the characters
 #: of text handed on at once.
-MEMORY_PIECES = 350_000
-SLICE_CHARS = 1_500_000
+MEMORY_PIECES = 300_000
+SLICE_CHARS = 700_000
 
 
 def _byte_letters() -> str:
@@ -228,23 +228,13 @@ def _as_letters(text: str) -> str:
     return text.encode().decode("latin-1").translate(BYTE_LETTERS)
 
 
-_ENCODERS: dict[str, PieceEncoder] = {}
-
-
-def encoder_of(path: str) -> PieceEncoder:
-    """One encoder a process, so that tasks share what it remembers."""
-    if path not in _ENCODERS:
-        _ENCODERS[path] = PieceEncoder(path)
-    return _ENCODERS[path]
-
-
 def _encoder(path: str, end_id: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import gc
         import os
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        encoder = encoder_of(path)
+        encoder = kept(path, lambda: PieceEncoder(path))  # its tasks share what it remembers
         gc.disable()  # no cycles are made here, and many small objects are
 
         def out(batch, first, texts):
@@ -267,7 +257,7 @@ def _encoder(path: str, end_id: int):
                 yield out(batch, first, texts)
         gc.enable()
 
-    return lean(run)
+    return lean(run, path)
 
 
 def _ranged(rows: DataFrame) -> DataFrame:
