@@ -28,8 +28,8 @@ from .common import fresh_path, kept, lean, settled, table
 
 #: Groups whose ids one process remembers, twice (the present ones and those before them), and the characters
 #: of text handed on at once.
-MEMORY_PIECES = 300_000
-SLICE_CHARS = 700_000
+MEMORY_PIECES = 400_000
+SLICE_CHARS = 1_500_000
 
 
 def _byte_letters() -> str:
