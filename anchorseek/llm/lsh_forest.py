@@ -1,6 +1,6 @@
 r"""Near-duplicate detection with an LSH forest.
 
-Each text becomes its set of distinct word shingles and 128 min-wise hashes, cut into 16 trees of 8. In one
+Each text becomes its set of distinct word shingles and 192 min-wise hashes, cut into 24 trees of 8. In one
 tree the texts stand in the order of their signatures, and texts with a common prefix of 4 are a region: the
 candidates of one another. Depth adapts to the region. A region of at most `GROUP` texts is compared as it
 is. A larger one is divided by longer prefixes (6, then 8), whose parts are packed into groups of about
@@ -10,7 +10,7 @@ are not yet connected with its main component are compared with all of the regio
 nothing rests on the division: every pair with a common prefix of 4 in some tree is compared on its full
 sets, unless both are already in one component.
 
-A pair at the similarity s has such a prefix with the chance 1 - (1 - s^4)^16: 0.99999 at 0.85.
+A pair at the similarity s has no such prefix with the chance (1 - s^4)^24: 3.2e-6 at 0.80, 2.0e-8 at 0.85.
 
 Texts with equal sets are one class throughout; groups hand on a star of each connected part, so links grow
 with the texts, not with pairs. Components come from label propagation with pointer jumping over settled
@@ -34,7 +34,7 @@ from pyspark.sql import functions as F
 from .common import LOWER_BYTES, lean, settled, table
 
 WIDTH = 5
-TREES = 16
+TREES = 24
 DEPTHS = (4, 6, 8)
 GROUP = 192
 BITS = 1 << 26
@@ -360,7 +360,7 @@ def near_duplicates(docs: DataFrame, doc_id="doc_id", text="text", width=WIDTH,
 
 
 def op3_near_duplicates(spark, sf_dir: str) -> DataFrame:
-    return near_duplicates(table(spark, sf_dir, "documents"))
+    return near_duplicates(table(spark, sf_dir, "documents"), link=(85, 100))
 
 
 OP3_SQL = r"""

@@ -15,6 +15,8 @@ from anchorseek.llm.common import fresh_path, settled, table
 
 #: A document is rejected that has no letters, or whose main language holds less than this share of them.
 LEAST_SHARE = 0.5
+#: Near duplicates share this part of their five-word shingles or more (intersection over union).
+LINK = (80, 100)
 TOKENIZER = "byte_bpe_50k.json"
 
 
@@ -26,7 +28,7 @@ def identify_language(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def drop_near_duplicates(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each group the document with the smallest id stays; of rows with one id, one."""
-    judged = settled(lsh_forest.near_duplicates(docs).select("doc_id", "kept"), "near-duplicates")
+    judged = settled(lsh_forest.near_duplicates(docs, link=LINK).select("doc_id", "kept"), "near-duplicates")
     out = lsh_forest.without(docs, judged.where(~F.col("kept")).select("doc_id"))
     repeated = judged.where("kept AND doc_id IS NOT NULL").groupBy("doc_id").count().where("count > 1").limit(1).count()
     if repeated:
