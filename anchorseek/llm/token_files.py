@@ -52,7 +52,8 @@ class PieceEncoder(dict):
     """Encodes texts with a tokenizers file, remembering the ids of the groups that the model encodes one by one.
 
     The library's model encodes each group; the groups of common texts are cut here, once a text. Texts with
-    characters beyond those of GROUPS, and files of another kind, go through the library whole.
+    characters beyond those of GROUPS, texts that hold the content of an added token (which the library finds
+    before it cuts groups), and files of another kind go through the library whole.
     """
 
     def __init__(self, path: str):
@@ -62,16 +63,19 @@ class PieceEncoder(dict):
 
         super().__init__()
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
         self.model = self.tokenizer.model
         self.older: dict[str, bytes] = {}
         told = json.loads(self.tokenizer.to_str())
+        self.added = [t["content"] for t in told["added_tokens"] if t["content"]]
         before = told["pre_tokenizer"] or {}
         self.by_group = (
             told["normalizer"] is None and told["model"]["type"] == "BPE" and told["model"].get("dropout") is None
             and before.get("type") == "ByteLevel" and before.get("use_regex") and not before.get("add_prefix_space")
         )
 
+    def holds_added(self, text: str) -> bool:
+        return any(a in text for a in self.added)
+
     def whole(self, text: str) -> bytes:
         return np.asarray(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
 
@@ -87,7 +91,7 @@ class PieceEncoder(dict):
         return found
 
     def encode(self, text: str) -> bytes:
-        if not self.by_group or OTHER.search(text):
+        if not self.by_group or OTHER.search(text) or self.holds_added(text):
             return self.whole(text)
         return b"".join(map(self.__getitem__, GROUPS.findall(text)))
 
@@ -115,7 +119,7 @@ class PieceEncoder(dict):
         if not joined:
             return np.full(len(texts), end_id, np.int32), np.ones(len(texts), np.int64)
         code = np.frombuffer(joined.encode("utf-32-le"), np.uint32)
-        if code.max() >= len(CLASSES) or (CLASSES[code] == 9).any():
+        if code.max() >= len(CLASSES) or (CLASSES[code] == 9).any() or self.holds_added(joined):
             return None
         starts = group_starts(code, sizes)
         n = len(code)

@@ -1,9 +1,13 @@
 """Whole jobs on small fixtures: what an operator must not leave out."""
 
 import random
+import zlib
+
+import numpy as np
+import pytest
 
 import corpus_pipeline
-from anchorseek.llm import lsh_forest
+from anchorseek.llm import lsh_forest, token_files
 
 SF = "/root/testdata/sf0.001"
 
@@ -20,3 +24,20 @@ def test_stage_links_from_080_on(ready):
     kept = {x.doc_id for x in corpus_pipeline.drop_near_duplicates(ready, df, SF).collect()}
     assert kept == {i for i in range(len(texts)) if i % 3 != 1}
     assert (1 - 0.8 ** lsh_forest.DEPTHS[0]) ** lsh_forest.TREES < 1e-5
+
+
+def test_added_tokens_are_encoded_as_by_the_library(ready, tmp_path):
+    from tokenizers import Tokenizer
+
+    path = pytest.importorskip("public_tokenizers").path("byte_bpe_50k.json")
+    plain = Tokenizer.from_file(path)
+    texts = ["a <|endoftext|> b", "no such thing", "<|endoftext|>", "x<|endoftext|><|endoftext|>\n y", "<|endof", "text|> cut over two rows", "日本 <|endoftext|>", ""]
+    want = [np.array(plain.encode(t, add_special_tokens=False).ids + [0], "<u4") for t in texts]
+    encoder = token_files.PieceEncoder(path)
+    assert [encoder.encode(t) for t in texts] == [w[:-1].tobytes() for w in want]
+    df = ready.createDataFrame(list(enumerate(texts)), "doc_id long, text string").coalesce(1)
+    token_files.write_tokens(df, path, str(tmp_path / "added"))
+    got = sorted((r.doc_id, r.start, r.n_tokens, r.ids_crc32) for r in token_files.token_index(ready, str(tmp_path / "added")).collect())
+    starts = np.cumsum([0] + [len(w) for w in want])
+    assert got == [(i, starts[i], len(w), zlib.crc32(w.tobytes())) for i, w in enumerate(want)]
+    assert want[0].tolist() == [64, 220, 50256, 275, 0]
