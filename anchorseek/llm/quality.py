@@ -1,13 +1,15 @@
 r"""Quality rules with risk-controlled thresholds, in DataFrame functions only.
 
-Each rule compares one measure of a text with a cutoff. Cutoffs come from a fixed grid, tested on labelled
-holdout documents of each stratum from the most lenient to the strictest: a cutoff passes while the exact
-binomial tail P(Bin(n, risk) <= k) stays at or below the level, k of n good documents being rejected (that
-is, while the exact upper confidence bound of the false rejection rate is at most the risk). Testing in a
-fixed order needs no correction along the grid; over rules and strata the level is divided by their number,
-and the risk by the number of rules, so that in every stratum at once, with the stated confidence, at most
-`risk` of the good documents are rejected by all rules together. A stratum with too few labels gets no
-cutoff and rejects nothing.
+Each rule compares one measure of a text with a cutoff. All rules of a stratum are tightened along one path of
+steps (grid column by column from lenient to strict, rules in their order): a step sets one rule to one cutoff.
+Where the stratum has bad labelled documents, the path holds only the steps that reject one of them which no
+step before rejects; the good ones have no part in its choice. Then the path is tested on the stratum's good
+labelled documents: a step passes while the exact binomial tail P(Bin(n, risk) <= k) stays at or below the
+level, k of n being rejected by any rule as set so far (that is, while the exact upper confidence bound of the
+false rejection rate of all rules together is at most the risk). Testing in a fixed order needs no correction
+along the path, so the level is divided over the strata only and the risk not at all: with the stated
+confidence, in every stratum at once, at most `risk` of the good documents are rejected. A stratum needs
+ln(level / strata) / ln(1 - risk) good labels at least; with fewer it gets no cutoff and rejects nothing.
 
 Defined results: null text has no words and fails the base rule; a null stratum is a stratum; labels with a
 null doc_id or quality are ignored, and of contradicting labels the good one counts; repeated documents each
@@ -124,41 +126,57 @@ def binomial_tail(k, n, p: float):
 
 
 def thresholds(holdout: DataFrame, grid=None, risk=RISK, level=LEVEL) -> DataFrame:
-    """(_stratum, rule, cutoff, n_good, n_rejected): the strictest cutoff that the holdout's good documents allow."""
+    """(_stratum, rule, cutoff, n_good, n_rejected, n_bad, n_bad_rejected), a row a rule with a cutoff.
+
+    holdout: measures, _stratum and _good of labelled documents. The counts are those of the whole stratum; the
+    rejected ones are those that fail any of its rules.
+    """
     grid = GRID if grid is None else grid
     if not all(list(c) == sorted(c, reverse=True) for c in grid.values()):
         raise ValueError("cutoffs go from lenient to strict")
-    cuts = [F.struct(F.lit(r).alias("rule"), F.col(r).alias("value"), F.array(*[F.lit(float(c)) for c in cs]).alias("cuts")) for r, cs in grid.items()]
-    tested = (
-        holdout.select("_stratum", F.explode(F.array(*cuts)).alias("r"))
-        .select("_stratum", "r.rule", "r.cuts", F.size(F.filter("r.cuts", lambda c: F.col("r.value") <= c)).alias("allowed"))
-        .groupBy("_stratum", "rule", "cuts", "allowed")
-        .agg(F.count(F.lit(1)).alias("n"))
-    )
-    # `allowed` cutoffs from the lenient end let a document pass, the rest reject it
-    per_rule = tested.groupBy("_stratum", "rule", "cuts").agg(F.sum("n").alias("n_good"), F.collect_list(F.struct("allowed", "n")).alias("by"))
-    graded = per_rule.select("_stratum", "rule", "n_good", "by", F.posexplode("cuts").alias("i", "cutoff")).withColumn(
-        "n_rejected", F.aggregate("by", F.lit(0).cast("long"), lambda a, x: a + F.when(x["allowed"] <= F.col("i"), x["n"]).otherwise(F.lit(0)))
+    steps = [(i, r, float(cs[i])) for i in range(max(map(len, grid.values()))) for r, cs in grid.items() if i < len(cs)]
+    every = F.array(*[F.struct(F.lit(n).alias("step"), F.lit(r).alias("rule"), F.lit(c).alias("cutoff")) for n, (_, r, c) in enumerate(steps)])
+    fails = F.array_compact(F.array(*[F.when(F.col(r) > c, F.lit(n)) for n, (_, r, c) in enumerate(steps)]))
+    rows = holdout.select(F.struct("_stratum").alias("_s"), "_good", fails.alias("fails"))
+    sizes = rows.groupBy("_s").agg(F.count_if("_good").alias("n_good"), F.count_if(~F.col("_good")).alias("n_bad")).where("n_good > 0")
+    # the first step that rejects a bad document, were all steps on the path
+    firsts = rows.where(~F.col("_good")).groupBy("_s").agg(F.collect_set(F.get("fails", F.lit(0))).alias("firsts"))
+    path = F.when(F.col("n_bad") > 0, F.array_sort("firsts")).otherwise(F.array(*[F.lit(n) for n in range(len(steps))]))
+    paths = sizes.join(firsts, "_s", "left").select("_s", "n_good", "n_bad", path.alias("path"))
+    met = rows.join(paths.select("_s", "path"), "_s").select("_s", "_good", F.array_min(F.array_intersect("fails", "path")).alias("step"))
+    at = met.where("step IS NOT NULL").groupBy("_s", "step").agg(F.count_if("_good").alias("good"), F.count_if(~F.col("_good")).alias("bad"))
+    in_order = Window.partitionBy("_s").orderBy("step")
+    told = (
+        paths.select("_s", "n_good", "n_bad", F.explode("path").alias("step"))
+        .join(at, ["_s", "step"], "left")
+        .withColumn("n_rejected", F.sum(F.coalesce("good", F.lit(0))).over(in_order))
+        .withColumn("n_bad_rejected", F.sum(F.coalesce("bad", F.lit(0))).over(in_order))
+        .crossJoin(F.broadcast(sizes.agg(F.count(F.lit(1)).alias("_strata"))))  # one row
+        .withColumn("_worst", F.max(binomial_tail(F.col("n_rejected"), F.col("n_good"), risk)).over(in_order))
+        .where(F.col("_worst") <= F.lit(level) / F.col("_strata"))
+        .withColumn("_set", F.element_at(every, F.col("step") + 1))
     )
-    strata = graded.select("_stratum").distinct().agg(F.count(F.lit(1)).alias("_strata"))
-    tail = binomial_tail(F.col("n_rejected"), F.col("n_good"), risk / len(grid))
-    in_order = Window.partitionBy("_stratum", "rule").orderBy("i")
+    whole = Window.partitionBy("_s")
     return (
-        graded.withColumn("_p", tail)
-        .crossJoin(F.broadcast(strata))  # one row
-        .withColumn("_worst", F.max("_p").over(in_order))
-        .where(F.col("_worst") <= F.lit(level) / (F.col("_strata") * len(grid)))
-        .groupBy("_stratum", "rule")
-        .agg(F.min_by("cutoff", "cutoff").alias("cutoff"), F.max("n_good").alias("n_good"), F.max_by("n_rejected", "i").alias("n_rejected"))
+        told.withColumn("n_rejected", F.max("n_rejected").over(whole))
+        .withColumn("n_bad_rejected", F.max("n_bad_rejected").over(whole))
+        .groupBy("_s", F.col("_set.rule").alias("rule"), "n_good", "n_rejected", "n_bad", "n_bad_rejected")
+        .agg(F.min("_set.cutoff").alias("cutoff"))
+        .select("_s._stratum", "rule", "cutoff", "n_good", "n_rejected", "n_bad", "n_bad_rejected")
     )
 
 
+def labelled(rows: DataFrame, labels: DataFrame, doc_id="doc_id", quality="quality") -> DataFrame:
+    """Measures of the labelled documents that pass the base rule, and _good."""
+    known = labels.where(F.col(doc_id).isNotNull() & F.col(quality).isNotNull()).groupBy(F.col(doc_id).alias("doc_id")).agg((F.max(quality) == 1).alias("_good"))
+    return rows.where(~F.col("base_failed")).join(known, "doc_id")
+
+
 def judged(docs: DataFrame, labels: DataFrame, text="text", doc_id="doc_id", stratum="lang", quality="quality", grid=None, risk=RISK, level=LEVEL) -> DataFrame:
     """One row a document: counts, measures, base_failed, reasons (rules that reject it) and kept."""
     grid = GRID if grid is None else grid
     rows = settled(measured(docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("_text"), F.col(stratum).alias("_lang")), "_text", ["doc_id"], "_lang"), "quality-measures")
-    good = labels.where(F.col(doc_id).isNotNull() & F.col(quality).isNotNull()).groupBy(F.col(doc_id).alias("doc_id")).agg(F.max(quality).alias("_q")).where("_q = 1")
-    holdout = rows.where(~F.col("base_failed")).join(good.select("doc_id"), "doc_id", "left_semi")
+    holdout = labelled(rows, labels, doc_id, quality)
     chosen = thresholds(holdout, grid, risk, level).groupBy("_stratum").agg(F.map_from_entries(F.collect_list(F.struct("rule", "cutoff"))).alias("_cut")).select(F.struct("_stratum").alias("_s"), "_cut")
     failed = F.array_compact(F.array(*[F.when(F.col(r) > F.col("_cut")[r], F.lit(r)) for r in grid]))
     return (

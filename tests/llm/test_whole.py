@@ -5,9 +5,10 @@ import zlib
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 import corpus_pipeline
-from anchorseek.llm import lsh_forest, token_files
+from anchorseek.llm import lsh_forest, quality, token_files
 
 SF = "/root/testdata/sf0.001"
 
@@ -41,3 +42,51 @@ def test_added_tokens_are_encoded_as_by_the_library(ready, tmp_path):
     starts = np.cumsum([0] + [len(w) for w in want])
     assert got == [(i, starts[i], len(w), zlib.crc32(w.tobytes())) for i, w in enumerate(want)]
     assert want[0].tolist() == [64, 220, 50256, 275, 0]
+
+
+def test_quality_cutoffs_with_a_few_hundred_labels(ready):
+    r = random.Random(6)
+    word = lambda: "".join(r.choice("abcdefgh") for _ in range(r.randint(2, 9)))
+    texts, labels = [], []
+    for lang in ("aa", "bb", "cc", "dd"):
+        for i in range(312 + 40):
+            bad = i >= 312
+            n = len(texts)
+            texts.append((n, " ".join(word() + (" #" if bad else "") for _ in range(40)), lang))
+            labels.append((n, 0 if bad else 1))
+    texts += [(10_000 + i, " ".join(word() + " #" for _ in range(40)), "ee") for i in range(20)]
+    labels += [(10_000 + i, int(i < 10)) for i in range(20)]
+    df, known = ready.createDataFrame(texts, "doc_id long, text string, lang string"), ready.createDataFrame(labels, "doc_id long, quality int")
+    got = {(x.q, x.lang == "ee"): x.s for x in quality.judged(df, known).join(known.withColumnRenamed("quality", "q"), "doc_id").withColumnRenamed("_stratum", "lang").groupBy("q", "lang").agg(F.avg(F.col("kept").cast("double")).alias("s")).collect()}
+    assert got == {(1, False): 1.0, (0, False): 0.0, (1, True): 1.0, (0, True): 1.0}  # ee: too few labels
+    # the path and its test, against a plain version
+    measures = quality.measured(df, carry=["doc_id"], stratum="lang")
+    holdout = quality.labelled(measures, known)
+    chosen = {}
+    for x in quality.thresholds(holdout).collect():
+        chosen.setdefault(x["_stratum"], {})[x.rule] = (x.cutoff, x.n_good, x.n_rejected, x.n_bad, x.n_bad_rejected)
+    assert chosen == plain_thresholds([x.asDict() for x in holdout.collect()]) and set(chosen) == {"aa", "bb", "cc", "dd"}
+
+
+def plain_thresholds(rows):
+    from math import comb
+
+    out, strata = {}, {x["_stratum"] for x in rows if x["_good"]}
+    for stratum in strata:
+        good, bad = ([x for x in rows if x["_stratum"] == stratum and x["_good"] == g] for g in (True, False))
+        path, gone = [], set()
+        for i in range(12):
+            for rule, cuts in quality.GRID.items():
+                new = {x["doc_id"] for x in bad if x[rule] > cuts[i]} - gone
+                if new:
+                    path.append((rule, cuts[i]))
+                    gone |= new
+        now = {}
+        for rule, cut in path:
+            step = now | {rule: cut}
+            k, n = sum(any(x[r] > c for r, c in step.items()) for x in good), len(good)
+            if sum(comb(n, j) * quality.RISK**j * (1 - quality.RISK) ** (n - j) for j in range(k + 1)) > quality.LEVEL / len(strata):
+                break
+            now = step
+            out[stratum] = {r: (c, n, k, len(bad), sum(any(x[q] > d for q, d in now.items()) for x in bad)) for r, c in now.items()}
+    return out
