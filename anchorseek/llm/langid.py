@@ -1,7 +1,9 @@
 r"""Language identification: script ranges narrow the candidates, Viterbi labels spans of mixed text.
 
-A word is a run of letters. The script of its first letter of a known script leaves the languages that were
-seen in that script; each of those scores the word by the logarithms of its character n-grams. A path over the words of a
+A word is a run of letters of one script; a run of letters that goes from one known script to another is cut there,
+and one of more than `PIECE` letters, as in unspaced scripts, into pieces of that many, each counting as a word.
+A piece is scored with the letters that follow it, so every n-gram of a run counts once. The script leaves
+the languages that were seen in it; each of those scores the word by the logarithms of its character n-grams. A path over the words of a
 text then chooses one language a word, paying a penalty for every switch, so that single odd words do not
 break a span while longer stretches in another language become spans of their own. The document's language
 is the one that holds most letters; the score is its share of the letters.
@@ -46,6 +48,21 @@ SCRIPTS = [
     (0x3040, 0x30FF, "kana"), (0x3400, 0x4DBF, "han"), (0x4E00, 0x9FFF, "han"), (0xAC00, 0xD7AF, "hangul"),
 ]
 SCRIPT_NAMES = sorted({s for _, _, s in SCRIPTS}) + ["other"]
+#: Most letters of a word; marks of a piece that has letters before it, and between its own and those after it.
+PIECE = 64
+BEFORE, AFTER = "\x02", "\x03"
+
+
+def _script_runs() -> re.Pattern:
+    """Runs of one known script with the letters of none around them."""
+    ranges = lambda names: "".join(f"{re.escape(chr(a))}-{re.escape(chr(b))}" for a, b, s in SCRIPTS if s in names)
+    names = SCRIPT_NAMES[:-1]
+    every = ranges(names)
+    return re.compile("|".join(f"[^{every}]*[{ranges([s])}][^{ranges([x for x in names if x != s])}]*" for s in names) + f"|[^{every}]+")
+
+
+RUNS = _script_runs()
+SEVERAL = re.compile("[\u0370-\U0010ffff]")  # below are letters of one script only
 
 
 def script_of(word: str) -> str:
@@ -57,24 +74,51 @@ def script_of(word: str) -> str:
     return "other"
 
 
+def pieces_of(run: str) -> list[str]:
+    """The words of a run of letters, with the marks of pieces."""
+    out = []
+    for word in RUNS.findall(run):
+        ended = word + "$"
+        for at in range(0, len(word), PIECE):
+            last = at + PIECE >= len(word)
+            out.append(BEFORE * (at > 0) + word[at : at + PIECE] + ("" if last else AFTER + ended[at + PIECE : at + PIECE + ORDERS[-1] - 1]))
+    return out
+
+
+def marked_words(text: str | None) -> list[str]:
+    """The words of a text, with the marks of pieces."""
+    lowered = (text or "").lower()
+    runs = LETTERS.findall(lowered)
+    if not SEVERAL.search(lowered) and max(map(len, runs), default=0) <= PIECE:
+        return runs
+    return [w for r in runs for w in pieces_of(r)]
+
+
+def letters_of(word: str) -> str:
+    return word.removeprefix(BEFORE).partition(AFTER)[0]
+
+
 def words_of_text(text: str | None) -> list[str]:
-    return LETTERS.findall((text or "").lower())
+    return list(map(letters_of, marked_words(text)))
 
 
 def bins_of(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
-    """(n-gram bins of all words with their ends marked, number of the word of each)."""
-    marked = [f"^{w[:64]}$" for w in words]
+    """(n-gram bins of all words with their ends marked, number of the word of each); of a piece, those n-grams
+    that start at its own letters."""
+    marked = [f"^{w}$" if w[:1] != BEFORE and AFTER not in w else "^" * (w[0] != BEFORE) + w.removeprefix(BEFORE).replace(AFTER, "") + "$" * (AFTER not in w) for w in words]
+    beyond = np.fromiter((len(w) - w.find(AFTER) - 1 if AFTER in w else 0 for w in words), np.int64, len(words))
     sizes = np.fromiter(map(len, marked), np.int64, len(marked))
     raw = np.frombuffer("".join(marked).encode("utf-32-le"), np.uint32).astype(np.uint64)
     owner = np.repeat(np.arange(len(marked)), sizes)
     left = np.repeat(np.cumsum(sizes), sizes) - np.arange(len(raw))  # symbols from here to the word's end
+    own = left > beyond[owner]
     bins, owners = [], []
     for n in ORDERS:
         h = np.full(max(0, len(raw) - n + 1), n, np.uint64)
         for i in range(n):
             h = (h ^ raw[i : i + len(h)]) * np.uint64(0x9E3779B97F4A7C15)
             h ^= h >> np.uint64(31)
-        ok = left[: len(h)] >= n
+        ok = (left[: len(h)] >= n) & own[: len(h)]
         bins.append((h[ok] % np.uint64(BINS)).astype(np.int64))
         owners.append(owner[: len(h)][ok])
     return np.concatenate(bins), np.concatenate(owners)
@@ -94,12 +138,12 @@ def _counts(text: str, lang: str):
                     weight = np.fromiter(counted.values(), np.int64, len(counted))
                     tables[lang_] = tables.get(lang_, 0) + np.bincount(bins, weight[owner], BINS).astype(np.int64)
                 for w, c in counted.items():
-                    scripts[lang_, script_of(w)] += c * len(w)
+                    scripts[lang_, script_of(w)] += c * len(letters_of(w))
             words.clear()
 
         for batch in batches:
             for t, one in zip(batch.column(text), batch.column(lang).to_pylist()):
-                words.setdefault(one, Counter()).update(words_of_text(t.as_py()))
+                words.setdefault(one, Counter()).update(marked_words(t.as_py()))
                 rows[one] += 1
             if sum(map(len, words.values())) > MEMORY_WORDS:
                 drain()
@@ -214,7 +258,7 @@ class _Words(dict):
                 self.letters = np.concatenate([self.letters, np.zeros_like(self.letters)])
             if self.model.langs:
                 self.scores[first : first + len(new)] = self.model.scores(new)
-            self.letters[first : first + len(new)] = list(map(len, new))
+            self.letters[first : first + len(new)] = [len(letters_of(w)) for w in new]
             self.update(zip(new, range(first, first + len(new))))
         return np.fromiter(map(self.__getitem__, words), np.int64, len(words))
 
@@ -250,7 +294,7 @@ def _predictor(model: Model, text: str, carry: list[str], penalty: float, spans:
         for batch in batches:
             texts, first, lengths, parts, waiting = batch.column(text), 0, [], [], []
             for i in range(batch.num_rows):
-                words = words_of_text(texts[i].as_py())
+                words = marked_words(texts[i].as_py())
                 waiting += words
                 lengths.append(len(words))
                 last = i + 1 == batch.num_rows

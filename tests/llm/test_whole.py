@@ -8,7 +8,7 @@ import pytest
 from pyspark.sql import functions as F
 
 import corpus_pipeline
-from anchorseek.llm import lsh_forest, quality, token_files
+from anchorseek.llm import langid, lsh_forest, quality, token_files
 
 SF = "/root/testdata/sf0.001"
 
@@ -90,3 +90,22 @@ def plain_thresholds(rows):
             now = step
             out[stratum] = {r: (c, n, k, len(bad), sum(any(x[q] > d for q, d in now.items()) for x in bad)) for r, c in now.items()}
     return out
+
+
+def test_language_reads_every_letter(ready):
+    r = random.Random(8)
+    run = lambda letters, n: "".join(r.choice(letters) for _ in range(n))
+    for n in (1, 63, 64, 65, 66, 67, 68, 128, 129, 500):
+        word = run("abcdefgh", n)
+        pieces = langid.pieces_of(word)
+        assert "".join(map(langid.letters_of, pieces)) == word and max(len(langid.letters_of(p)) for p in pieces) <= 64
+        assert sorted(langid.bins_of(pieces)[0]) == sorted(langid.bins_of([word])[0])  # every n-gram once
+    assert langid.words_of_text("abcабвabc, ªx日本テスト") == ["abc", "абв", "abc", "ªx", "日本", "テスト"]
+    letters = {"aa": "abcdefgh", "bb": "mnopqrst", "cc": "абвгдежз"}
+    learnt = [(i, " ".join(run(letters[k], 6) for _ in range(60)), k) for i, k in enumerate(["aa", "bb", "cc"] * 10)]
+    model = langid.fitted(ready.createDataFrame(learnt, "doc_id long, text string, lang string"))
+    texts = [(1, run(letters["aa"], 128) + run(letters["bb"], 448)), (2, run(letters["aa"], 30) + run(letters["cc"], 90)), (3, run(letters["bb"], 576))]
+    got = {x.doc_id: x for x in langid.identified(ready.createDataFrame(texts, "doc_id long, text string"), model).collect()}
+    assert [(s.first, s.last, s.lang) for s in got[1].lang_spans] == [(0, 1, "aa"), (2, 8, "bb")]
+    assert (got[1].lang_pred, got[1].lang_score) == ("bb", 448 / 576)
+    assert (got[2].lang_pred, got[2].lang_score) == ("cc", 0.75) and (got[3].lang_pred, got[3].lang_score) == ("bb", 1.0)
