@@ -29,13 +29,16 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; one of our own only where none is configured."""
+    """The folder that driver and executors share; one of our own only where none is configured and all run on
+    one machine."""
     set_dir = spark.conf.get("spark.checkpoint.dir", None)
     if set_dir:
         return set_dir
     current = spark.sparkContext._jsc.sc().getCheckpointDir()
     if current.isDefined():
         return current.get()
+    if not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and the executors share")
     own = tempfile.mkdtemp(prefix="anchorseek-")
     spark.sparkContext.setCheckpointDir(own)
     return own
@@ -52,7 +55,18 @@ def settled(df: DataFrame, tag: str, partition_by: list[str] | None = None) -> D
     if partition_by:
         writer = writer.partitionBy(*partition_by)
     writer.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out._settled = path
+    return out
+
+
+def discard(*frames: DataFrame) -> None:
+    """Remove settled tables that nothing will read again; other frames are left alone."""
+    for df in frames:
+        path = getattr(df, "_settled", None)
+        if path:
+            where = df.sparkSession._jvm.org.apache.hadoop.fs.Path(path).getParent()
+            where.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).delete(where, True)
 
 
 def lower_ascii(col):
@@ -70,6 +84,20 @@ def words_of(text, separators: str = SPACE):
     return F.filter(F.split(F.coalesce(text, F.lit("")), separators), lambda w: w != F.lit(""))
 
 
+def parts_of(batch, column: str, rows: int, size: int = 8 << 20):
+    """Parts of a batch of at most `rows` rows and, where they have several, about `size` bytes of a string column."""
+    import numpy as np
+    import pyarrow.compute as pc
+
+    held = np.cumsum(np.asarray(pc.fill_null(pc.binary_length(batch.column(column)), 0), np.int64))
+    first = 0
+    while first < batch.num_rows:
+        base = held[first - 1] if first else 0
+        last = min(first + rows, max(first + 1, int(np.searchsorted(held, base + size, side="right"))))
+        yield batch.slice(first, last - first)
+        first = last
+
+
 #: What a Python worker keeps from task to task, by name.
 KEPT: dict = {}
 

@@ -1,24 +1,28 @@
 r"""Near-duplicate detection with an LSH forest.
 
-Each text becomes its set of distinct word shingles and 192 min-wise hashes, cut into 24 trees of 8. In one
-tree the texts stand in the order of their signatures, and texts with a common prefix of 4 are a region: the
-candidates of one another. Depth adapts to the region. A region of at most `GROUP` texts is compared as it
-is. A larger one is divided by longer prefixes (6, then 8), whose parts are packed into groups of about
-`GROUP` texts, each with the region's hub: the text at the end of its heaviest path, which shares the most
-common minima and so is the likely original of a large family. Then, of each large region, the texts that
-are not yet connected with its main component are compared with all of the region, block by block, so
-nothing rests on the division: every pair with a common prefix of 4 in some tree is compared on its full
-sets, unless both are already in one component.
+Each text becomes its set of distinct word shingles and 192 min-wise hashes, cut into 24 trees of 8. A tree is
+an order: its texts are sorted by their signatures (dealt over ranges, the id breaking ties, so that no range
+is larger than others), and the longest common prefix of neighbours is read off in one pass over each range.
+Neighbours that share a prefix of 4 or more are a region, the candidates of one another. Depth adapts to the
+region. A region of at most `GROUP` texts (and `ROOM` shingles) is compared as it is. A larger one is cut
+into groups of that size where its neighbours share the shortest prefix, so texts with the longest ones stay
+together, and each group also gets the region's hub: a text of its longest run of equal signatures, and so
+the likely original of a large family. Then, of each large region, the texts that are not yet connected with
+its main component are compared with all of the region, block by block, so nothing rests on the cuts or on
+the borders of the ranges: every pair with a common prefix of 4 in some tree is compared on its full sets,
+unless both are already in one component.
 
 A pair at the similarity s has no such prefix with the chance (1 - s^4)^24: 3.2e-6 at 0.80, 2.0e-8 at 0.85.
 
 Texts with equal sets are one class throughout; groups hand on a star of each connected part, so links grow
 with the texts, not with pairs. Components come from label propagation with pointer jumping over settled
-tables. Only fixed-size bitmaps go to the driver.
+tables. A bitmap that tells whose full sets are needed goes through the driver: 8 bits a candidate, at most
+`MOST_BITS`; with more candidates the texts are joined with them instead.
 
 Defined results: null or empty text, or text without words, has an empty set and is linked with nothing; a
 text of fewer than `width` words has one shingle, the whole; rows with equal ids are one document; a row
-with a null id is its own component, null, and kept; an empty table gives an empty result.
+with a null id is its own component, null, and kept; an empty table gives an empty result; ids that are not
+integers are refused.
 """
 
 from __future__ import annotations
@@ -31,13 +35,18 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import LOWER_BYTES, lean, settled, table
+from .common import LOWER_BYTES, discard, lean, parts_of, settled, table
 
 WIDTH = 5
 TREES = 24
-DEPTHS = (4, 6, 8)
+#: Minima of a tree, and the common prefix that makes neighbours candidates.
+DEPTH, PREFIX = 8, 4
+#: Texts of a group, and shingles of all of them.
 GROUP = 192
+ROOM = 4_000_000
+#: Bits of the marks of `without`, and the most of a bitmap of candidates.
 BITS = 1 << 26
+MOST_BITS = 1 << 28
 LINK = (85, 100)
 _GOLD, _MIX1, _MIX2 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 
@@ -89,20 +98,33 @@ def signature(s: np.ndarray, seeds) -> np.ndarray:
     return out
 
 
-def tree_keys(sig: np.ndarray, trees: int, depths) -> np.ndarray:
-    """64-bit key of every tree's prefix at every depth: (trees, depths)."""
+def tree_keys(sig: np.ndarray, trees: int) -> np.ndarray:
+    """Sort keys of every tree: a hash of its first PREFIX minima, and 16 bits of each prefix beyond."""
     per = sig.reshape(trees, -1).astype(np.uint64)
-    h, out = np.arange(1, trees + 1, dtype=np.uint64) * _GOLD, np.empty((trees, len(depths)), np.uint64)
-    for i in range(per.shape[1]):
+    h = np.arange(1, trees + 1, dtype=np.uint64) * _GOLD
+    for i in range(PREFIX):
         h = _mixed(h * _GOLD + per[:, i])
-        if i + 1 in depths:
-            out[:, depths.index(i + 1)] = h
+    deep, rest = h, np.zeros(trees, np.uint64)
+    for i in range(PREFIX, per.shape[1]):
+        deep = _mixed(deep * _GOLD + per[:, i])
+        rest = (rest << np.uint64(16)) | (deep >> np.uint64(48))
+    return np.stack([h, rest], axis=1)
+
+
+def common_prefix(near: np.ndarray, deep: np.ndarray) -> np.ndarray:
+    """Longest common prefix of every row with the one before it; 0 where it is below PREFIX."""
+    out = np.zeros(len(near), np.int8)
+    if len(near) > 1:
+        x = deep[1:] ^ deep[:-1]
+        levels = DEPTH - PREFIX
+        beyond = sum(((x >> np.uint64(16 * (levels - 1 - i))) == 0).astype(np.int8) for i in range(levels))
+        out[1:] = np.where(near[1:] == near[:-1], PREFIX + beyond, 0)
     return out
 
 
-def _sketcher(width: int, trees: int, depths):
+def _sketcher(width: int, trees: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hashes, seeds = WordHashes(), _seeds(trees * depths[-1])
+        hashes, seeds = WordHashes(), _seeds(trees * DEPTH)
         for batch in batches:
             for part in range(0, batch.num_rows, 1000):
                 rows = batch.slice(part, 1000)
@@ -111,54 +133,120 @@ def _sketcher(width: int, trees: int, depths):
                     s = shingles(t.as_py(), width, hashes)
                     sizes.append(len(s))
                     sums.append((s.sum(dtype=np.uint64), _mixed(s).sum(dtype=np.uint64)))
-                    keys.append(tree_keys(signature(s, seeds), trees, depths).ravel())
+                    keys.append(tree_keys(signature(s, seeds), trees).ravel())
                 flat = np.concatenate(keys).view(np.int64)
-                per = trees * len(depths)
-                ids = rows.column("_id")
                 both = np.array(sums, np.uint64).view(np.int64)
                 yield pa.RecordBatch.from_arrays(
-                    [ids, pa.array(sizes, pa.int64()), pa.array(both[:, 0]), pa.array(both[:, 1]), pa.ListArray.from_arrays(pa.array(np.arange(len(sizes) + 1) * per, pa.int32()), pa.array(flat))],
+                    [rows.column("_id"), pa.array(sizes, pa.int64()), pa.array(both[:, 0]), pa.array(both[:, 1]), pa.ListArray.from_arrays(pa.array(np.arange(len(sizes) + 1) * 2 * trees, pa.int32()), pa.array(flat))],
                     names=["_id", "_n", "_h1", "_h2", "_keys"],
                 )
 
     return lean(run)
 
 
-def _bit_of(ids: np.ndarray) -> np.ndarray:
-    return (_mixed(ids.astype(np.int64).view(np.uint64)) % np.uint64(BITS)).astype(np.int64)
+def cuts_of(prefix: np.ndarray, weight: np.ndarray, group: int, room: int) -> list[int]:
+    """Places where a region's rows are cut into groups of at most `group` rows and, if they have two, about
+    `room` shingles: in the second half of what fits, where neighbours share the shortest prefix, the last of those."""
+    out, at, n = [0], 0, len(prefix)
+    total = np.concatenate([[0], np.cumsum(weight)])
+    while True:
+        fits = min(group, max(2, int(np.searchsorted(total, total[at] + room, side="right")) - 1 - at))
+        if at + fits >= n:
+            return out
+        low = at + max(1, fits // 2)
+        window = prefix[low : at + fits + 1][::-1]
+        at = at + fits - int(window.argmin())
+        out.append(at)
+
+
+def _neighbours(group: int, room: int):
+    """Rows in the order of their trees -> (_region, _cut, _rep, _n, _same): rows that share a prefix of PREFIX
+    with a neighbour, or stand at an end of the range, the group of each, and the length of its run of equal keys."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[tuple] = []
+
+        def closed(rows: list[tuple], first: bool, last: bool):
+            near, deep, rep, weight = (np.concatenate(c) for c in zip(*rows))
+            prefix = common_prefix(near, deep)
+            opens = prefix == 0
+            starts = np.flatnonzero(opens)
+            sizes = np.diff(np.append(starts, len(near)))
+            cut = opens.copy()
+            weights = np.add.reduceat(weight, starts)
+            for s, n in zip(starts[(sizes > group) | (weights > room)], sizes[(sizes > group) | (weights > room)]):
+                cut[s + np.array(cuts_of(prefix[s : s + n], weight[s : s + n], group, room))] = True
+            number = np.cumsum(cut) - 1
+            group_id = _mixed(near ^ _mixed(rep[cut].view(np.uint64))[number])
+            runs = np.cumsum(prefix < DEPTH) - 1
+            same = np.bincount(runs)[runs]
+            wanted = np.repeat(sizes > 1, sizes)
+            if first:
+                wanted[: sizes[0]] = True
+            if last:
+                wanted[len(wanted) - sizes[-1] :] = True
+            at = np.flatnonzero(wanted)
+            return pa.RecordBatch.from_arrays(
+                [pa.array(near[at].view(np.int64)), pa.array(group_id[at].view(np.int64)), pa.array(rep[at]), pa.array(weight[at]), pa.array(same[at].astype(np.int64))],
+                names=["_region", "_cut", "_rep", "_n", "_same"],
+            )
+
+        first = True
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            near, deep, rep, weight = (batch.column(c).to_numpy() for c in ("_near", "_deep", "_rep", "_n"))
+            rows = (near.view(np.uint64), deep.view(np.uint64), rep, weight)
+            turns = np.flatnonzero(rows[0][1:] != rows[0][:-1]) + 1
+            same_run = not held or held[-1][0][-1] == rows[0][0]
+            if not len(turns) and same_run:
+                held.append(rows)
+                continue
+            # all but the last run is whole: it ends in this batch
+            last = int(turns[-1]) if len(turns) else 0
+            done = held + ([tuple(c[:last] for c in rows)] if last else [])
+            yield closed(done, first, False)
+            first, held = False, [tuple(c[last:] for c in rows)]
+        if held:
+            yield closed(held, first, True)
+
+    return lean(run)
+
 
+def _bit_of(ids: np.ndarray, bits: int) -> np.ndarray:
+    return (_mixed(ids.astype(np.int64).view(np.uint64)) & np.uint64(bits - 1)).astype(np.int64)
 
-def _wanted(candidates: DataFrame, column: str) -> np.ndarray:
-    """A bitmap of fixed size over the hashed ids, put together on the executors."""
+
+def _wanted(candidates: DataFrame, column: str, bits: int) -> np.ndarray:
+    """A bitmap over the hashed ids, put together on the executors."""
 
     def mark(batches):
         for batch in batches:
-            yield pa.RecordBatch.from_arrays([pa.array(_bit_of(batch.column(0).to_numpy()))], names=["bit"])
+            yield pa.RecordBatch.from_arrays([pa.array(_bit_of(batch.column(0).to_numpy(), bits))], names=["bit"])
 
-    bits = candidates.select(F.col(column).cast("long")).mapInArrow(lean(mark), "bit bigint")
-    pages = bits.groupBy(F.shiftright("bit", 15).alias("page")).agg(F.bitmap_construct_agg(F.col("bit").bitwiseAND(32767)).alias("b"))
-    out = np.zeros((BITS >> 15, 4096), np.uint8)
+    places = candidates.select(F.col(column).cast("long")).mapInArrow(lean(mark), "bit bigint")
+    pages = places.groupBy(F.shiftright("bit", 15).alias("page")).agg(F.bitmap_construct_agg(F.col("bit").bitwiseAND(32767)).alias("b"))
+    out = np.zeros((bits >> 15, 4096), np.uint8)
     for page, b in pages.toLocalIterator():
         out[page] = np.frombuffer(b, np.uint8)
     return out.ravel()
 
 
-def _set_maker(width: int, wanted: np.ndarray):
-    """Shingle sets of the documents whose bit is set."""
+def _set_maker(width: int, wanted: np.ndarray | None):
+    """Shingle sets of the documents whose bit is set; of all without a bitmap."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hashes, bitmap = WordHashes(), wanted
+        hashes = WordHashes()
         for batch in batches:
-            at = _bit_of(batch.column("_id").to_numpy())
-            rows = np.flatnonzero((bitmap[at >> 3] >> (at & 7).astype(np.uint8)) & 1)
-            for part in range(0, len(rows), 500):
-                some = rows[part : part + 500]
-                sets = [shingles(batch.column("_t")[int(i)].as_py(), width, hashes) for i in some]
+            rows = np.arange(batch.num_rows)
+            if wanted is not None:
+                at = _bit_of(batch.column("_id").to_numpy(), len(wanted) * 8)
+                rows = np.flatnonzero((wanted[at >> 3] >> (at & 7).astype(np.uint8)) & 1)
+            batch = batch.take(pa.array(rows))
+            for part in parts_of(batch, "_t", 500):
+                sets = [shingles(t.as_py(), width, hashes) for t in part.column("_t")]
                 offsets = np.concatenate([[0], np.cumsum([len(s) for s in sets])])
-                yield pa.RecordBatch.from_arrays(
-                    [batch.column("_id").take(pa.array(some)), pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(np.concatenate(sets).view(np.int64)))],
-                    names=["_rep", "_set"],
-                )
+                yield pa.RecordBatch.from_arrays([part.column("_id"), pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(np.concatenate(sets).view(np.int64)))], names=["_rep", "_set"])
 
     return lean(run)
 
@@ -239,12 +327,18 @@ def _verifier(link):
 
 def _links(groups: DataFrame, texts: DataFrame, width: int, link) -> DataFrame:
     """(_a, _b) from groups (_gid, _rep) after comparing the full sets inside each."""
-    wanted = _wanted(groups, "_rep")
-    sets = texts.mapInArrow(_set_maker(width, wanted), "_rep bigint, _set array<bigint>")
+    spark = groups.sparkSession
+    candidates = groups.select("_rep").distinct().count()
+    if 8 * candidates <= MOST_BITS:
+        bits = max(1 << 20, 1 << (8 * candidates - 1).bit_length())
+        sets = texts.mapInArrow(_set_maker(width, _wanted(groups, "_rep", bits)), "_rep bigint, _set array<bigint>")
+    else:
+        some = texts.join(groups.select(F.col("_rep").alias("_id")).distinct().hint("merge"), "_id", "left_semi")
+        sets = some.mapInArrow(_set_maker(width, None), "_rep bigint, _set array<bigint>")
     # both sides grow with the corpus: never a broadcast, so that costs grow evenly
     placed = groups.hint("merge").join(sets, "_rep").select("_gid", "_rep", "_set")
     found = placed.repartition("_gid").sortWithinPartitions("_gid").mapInArrow(_verifier(link), "_a bigint, _b bigint")
-    return settled(found.distinct(), "links")
+    return settled(found.distinct(), "links") if candidates else spark.createDataFrame([], "_a bigint, _b bigint")
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -253,42 +347,32 @@ def components(links: DataFrame) -> DataFrame:
     labels = settled(both.groupBy("_node").agg(F.least(F.col("_node"), F.min("_other")).alias("_label")), "labels")
     while True:
         near = both.join(labels.toDF("_other", "_l"), "_other").groupBy("_node").agg(F.min("_l").alias("_near"))
-        step = settled(labels.join(near, "_node").select("_node", F.least("_label", "_near").alias("_label"), (F.col("_near") < F.col("_label")).alias("_moved")), "labels")
+        step = settled(labels.join(near, "_node").select("_node", F.least("_label", "_near").alias("_label"), (F.col("_near") < F.col("_label")).alias("_moved")), "labels-step")
         jumped = step.select("_node", "_label", "_moved").join(step.select(F.col("_node").alias("_label"), F.col("_label").alias("_far")), "_label", "left")
-        labels = settled(jumped.select("_node", F.least("_label", F.coalesce("_far", "_label")).alias("_label")), "labels")
-        if step.where("_moved").limit(1).count() == 0:
+        former, labels = labels, settled(jumped.select("_node", F.least("_label", F.coalesce("_far", "_label")).alias("_label")), "labels")
+        moved = step.where("_moved").limit(1).count()
+        discard(former, step)
+        if not moved:
+            discard(both)
             return labels
 
 
-def _groups(reps: DataFrame, members: DataFrame, trees: int) -> DataFrame:
-    """(_gid, _rep): small regions as they are, large ones divided by deeper prefixes, with their hubs."""
-    small = members.where(F.col("_size") <= GROUP).select(F.col("_region").alias("_gid"), "_rep")
-    large = members.where(F.col("_size") > GROUP)
-    if large.limit(1).count() == 0:
-        return small
-    n_depths = len(DEPTHS)
-    deep = settled(
-        large.join(reps.select(F.col("_id").alias("_rep"), "_keys"), "_rep").select(
-            "_region", "_rep", "_size", F.get("_keys", F.col("_tree") * n_depths + 1).alias("_k6"), F.get("_keys", F.col("_tree") * n_depths + 2).alias("_k8")
-        ),
-        "large-regions",
-    )
-    c6 = deep.groupBy("_region", "_k6").agg(F.count(F.lit(1)).alias("_c6"))
-    c8 = deep.groupBy("_region", "_k8").agg(F.count(F.lit(1)).alias("_c8"), F.min("_rep").alias("_first"))
-    hubs = c8.groupBy("_region").agg(F.max(F.struct("_c8", -F.col("_first"))).alias("_h")).select("_region", (-F.col("_h.col2")).alias("_hub"))
-    salt = F.pmod(F.xxhash64("_rep", "_k8"), F.greatest(F.lit(1), F.ceil(F.col("_c8") / GROUP)))
-    child = F.when(F.col("_c6") <= GROUP, F.xxhash64(F.lit(6), "_k6")).otherwise(F.xxhash64(F.lit(8), "_k8", F.when(F.col("_c8") > GROUP, salt).otherwise(F.lit(0).cast("long"))))
-    packed = F.pmod(child, F.ceil(F.col("_size") / GROUP).cast("long"))
-    grouped = settled(
-        deep.join(c6, ["_region", "_k6"]).join(c8.drop("_first"), ["_region", "_k8"]).select("_region", F.xxhash64("_region", packed).alias("_gid"), "_rep"), "large-groups"
-    )
-    with_hubs = grouped.select("_region", "_gid").distinct().join(hubs, "_region").select("_gid", F.col("_hub").alias("_rep"))
-    return small.union(grouped.select("_gid", "_rep")).union(with_hubs).distinct()
+def _large(room: int):
+    return (F.col("_size") > GROUP) | (F.col("_weight") > room)
+
+
+def _groups(members: DataFrame, room: int) -> DataFrame:
+    """(_gid, _rep): small regions as they are, large ones as they are cut, with their hubs."""
+    small = members.where(~_large(room)).select(F.col("_region").alias("_gid"), "_rep")
+    large = members.where(_large(room))
+    hubs = large.groupBy("_region").agg(F.max(F.struct("_same", -F.col("_rep"))).alias("_h")).select("_region", (-F.col("_h.col2")).alias("_hub"))
+    with_hubs = large.select("_region", "_cut").distinct().join(hubs, "_region").select(F.col("_cut").alias("_gid"), F.col("_hub").alias("_rep"))
+    return small.union(large.select("_cut", "_rep")).union(with_hubs).distinct()
 
 
-def _rest(members: DataFrame, labels: DataFrame) -> DataFrame | None:
+def _rest(members: DataFrame, labels: DataFrame, room: int) -> DataFrame | None:
     """(_gid, _rep): blocks that compare a large region's unconnected texts with all of the region."""
-    large = members.where(F.col("_size") > GROUP).select("_region", "_rep", "_size")
+    large = members.where(_large(room)).select("_region", "_rep", "_size", "_weight")
     if large.limit(1).count() == 0:
         return None
     found = settled(large.join(labels.withColumnRenamed("_node", "_rep"), "_rep", "left").withColumn("_label", F.coalesce("_label", "_rep")), "region-components")
@@ -297,14 +381,15 @@ def _rest(members: DataFrame, labels: DataFrame) -> DataFrame | None:
     main = main.select("_region", F.col("_m._label").alias("_main"), (F.col("_all") - F.col("_m._c")).alias("_left")).where("_left > 0")
     if main.limit(1).count() == 0:
         return None
-    blocks_all, blocks_left = F.ceil(F.col("_size") / GROUP).cast("int"), F.ceil(F.col("_left") / GROUP).cast("int")
+    # texts of a block: fewer where they are long
+    unit = F.least(F.lit(GROUP), F.greatest(F.lit(1), F.floor(F.col("_size") * room / F.col("_weight"))))
+    blocks_all, blocks_left = F.ceil(F.col("_size") / unit).cast("int"), F.ceil(F.col("_left") / unit).cast("int")
     rows = found.join(main, "_region")
     place = F.xxhash64("_rep", "_region")
     as_any = rows.select("_region", "_rep", F.pmod(place, blocks_all).alias("_j"), F.explode(F.sequence(F.lit(0), blocks_left - 1)).alias("_i"))
     as_left = rows.where("_label != _main").select("_region", "_rep", F.explode(F.sequence(F.lit(0), blocks_all - 1)).alias("_j"), F.pmod(place, blocks_left).alias("_i"))
-    return as_any.select(F.xxhash64("_region", F.col("_i").cast("int"), F.col("_j").cast("int")).alias("_gid"), "_rep").union(
-        as_left.select(F.xxhash64("_region", F.col("_i").cast("int"), F.col("_j").cast("int")).alias("_gid"), "_rep")
-    ).distinct()
+    gid = F.xxhash64("_region", F.col("_i").cast("int"), F.col("_j").cast("int")).alias("_gid")
+    return settled(as_any.select(gid, "_rep").union(as_left.select(gid, "_rep")).distinct(), "rest-blocks")
 
 
 def without(docs: DataFrame, dropped: DataFrame, doc_id="doc_id") -> DataFrame:
@@ -327,27 +412,36 @@ def without(docs: DataFrame, dropped: DataFrame, doc_id="doc_id") -> DataFrame:
     return kept.select(*[F.col(f"_row.`{c}`").alias(c) for c in docs.columns])
 
 
-def near_duplicates(docs: DataFrame, doc_id="doc_id", text="text", width=WIDTH, link=LINK) -> DataFrame:
+def near_duplicates(docs: DataFrame, doc_id="doc_id", text="text", width=WIDTH, link=LINK, room=ROOM) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept), one row a row of docs. doc_id is an integer column.
 
     link: (p, q) links sets with q * intersection >= p * union.
     """
-    texts = docs.where(F.col(doc_id).isNotNull()).select(F.col(doc_id).cast("long").alias("_id"), F.col(text).alias("_t"))
+    if docs.schema[doc_id].dataType.simpleString() not in ("bigint", "int", "smallint", "tinyint"):
+        raise TypeError(f"{doc_id} is not an integer column")
     everything = docs.select(F.col(doc_id).cast("long").alias("_id"), F.col(text).alias("_t"))
-    sketches = settled(everything.mapInArrow(_sketcher(width, TREES, DEPTHS), "_id bigint, _n bigint, _h1 bigint, _h2 bigint, _keys array<bigint>"), "sketches")
+    texts = everything.where(F.col("_id").isNotNull())
+    sketches = settled(everything.mapInArrow(_sketcher(width, TREES), "_id bigint, _n bigint, _h1 bigint, _h2 bigint, _keys array<bigint>"), "sketches")
     valid = sketches.where("_id IS NOT NULL AND _n > 0")
     classes = settled(valid.groupBy("_n", "_h1", "_h2").agg(F.min_by("_keys", "_id").alias("_keys"), F.min("_id").alias("_id")), "classes")
-    trees = F.posexplode(F.transform(F.sequence(F.lit(0), F.lit(TREES - 1)), lambda i: F.get("_keys", i * len(DEPTHS)))).alias("_tree", "_region")
-    rows = classes.select(F.col("_id").alias("_rep"), trees)
-    regions = rows.groupBy("_region").agg(F.count(F.lit(1)).alias("_size"), F.bit_xor(F.xxhash64("_rep")).alias("_who")).where("_size > 1")
+    trees = F.transform(F.sequence(F.lit(0), F.lit(TREES - 1)), lambda i: F.struct(i.alias("_tree"), F.get("_keys", 2 * i).alias("_near"), F.get("_keys", 2 * i + 1).alias("_deep")))
+    rows = classes.select(F.col("_id").alias("_rep"), "_n", F.explode(trees).alias("_k")).select("_k.*", "_rep", "_n")
+    order = ["_tree", "_near", "_deep", "_rep"]
+    seen = settled(rows.repartitionByRange(*order).sortWithinPartitions(*order).mapInArrow(_neighbours(GROUP, room), "_region bigint, _cut bigint, _rep bigint, _n bigint, _same bigint"), "neighbours")
+    regions = seen.groupBy("_region").agg(F.count(F.lit(1)).alias("_size"), F.sum("_n").alias("_weight"), F.bit_xor(F.xxhash64("_rep")).alias("_who")).where("_size > 1")
     # regions with the same texts, in whatever tree, are compared once
-    regions = regions.groupBy("_size", "_who").agg(F.min("_region").alias("_region")).drop("_who")
-    members = settled(rows.join(regions, "_region"), "members")
-    links = _links(_groups(classes, members, TREES), texts, width, link)
+    regions = regions.groupBy("_size", "_weight", "_who").agg(F.min("_region").alias("_region")).drop("_who")
+    members = settled(seen.join(regions, "_region"), "members")
+    discard(seen)
+    groups = settled(_groups(members, room), "groups")
+    links = _links(groups, texts, width, link)
     labels = components(links)
-    rest = _rest(members, labels)
+    rest = _rest(members, labels, room)
     if rest is not None:
-        labels = components(_links(settled(rest, "rest-blocks"), texts, width, link).union(links).distinct())
+        more = _links(rest, texts, width, link)
+        labels = components(more.union(links).distinct())
+        discard(rest, more)
+    discard(members, groups, links)
     same = classes.select("_n", "_h1", "_h2", F.col("_id").alias("_rep"))
     # a repeated id is one document: its rows share the smallest label
     out = (
