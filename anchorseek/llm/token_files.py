@@ -19,17 +19,18 @@ from array import array
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import fresh_path, kept, lean, settled, table
+from .common import fresh_path, kept, lean, parts_of, settled, table
 
-#: Groups whose ids one process remembers, twice (the present ones and those before them), and the characters
-#: of text handed on at once.
+#: Groups whose ids one process remembers, twice (the present ones and those before them), and the bytes of text
+#: encoded at once.
 MEMORY_PIECES = 400_000
-SLICE_CHARS = 1_500_000
+SLICE_BYTES = 8 << 20
+#: Input bytes of a token file, at least one for each shuffle partition.
+FILE_BYTES = 512 << 20
 
 
 def _byte_letters() -> str:
@@ -73,13 +74,10 @@ class PieceEncoder(dict):
             and before.get("type") == "ByteLevel" and before.get("use_regex") and not before.get("add_prefix_space")
         )
 
-    def holds_added(self, text: str) -> bool:
-        return any(a in text for a in self.added)
-
     def whole(self, text: str) -> bytes:
         return np.asarray(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
 
-    def __missing__(self, group: str) -> bytes:
+    def __missing__(self, group: bytes) -> bytes:
         found = self.older.get(group)
         if found is None:
             found = array("I", [t.id for t in self.model.tokenize(_as_letters(group))]).tobytes()
@@ -91,71 +89,57 @@ class PieceEncoder(dict):
         return found
 
     def encode(self, text: str) -> bytes:
-        if not self.by_group or OTHER.search(text) or self.holds_added(text):
+        """Ids of one text, its groups cut by the pattern."""
+        if not self.by_group or OTHER.search(text) or any(a in text for a in self.added):
             return self.whole(text)
-        return b"".join(map(self.__getitem__, GROUPS.findall(text)))
+        return b"".join([self[g.encode()] for g in GROUPS.findall(text)])
 
-    def encode_all(self, texts: list[str], end_id: int) -> tuple[np.ndarray, np.ndarray]:
+    def encode_all(self, texts: pa.StringArray, end_id: int) -> tuple[np.ndarray, np.ndarray]:
         """(ids of all texts one after another, each with the end id; number of ids of each text).
 
-        The texts are cut into groups at once; every distinct group is encoded once and its ids are copied to
-        all its places. Groups are told apart by a 64-bit hash and then compared symbol by symbol; should two
-        share a hash, or a text need the library as a whole, texts are encoded one by one.
+        All texts are cut into groups at once, in their bytes; every distinct group is encoded once and its ids
+        are copied to all its places. A text that needs the library as a whole is one group.
         """
-        simple = self.by_group and sum(map(len, texts)) <= 2 * SLICE_CHARS
-        got = self._encode_joined(texts, end_id) if simple else None
-        if got is None:
-            end = np.asarray([end_id], "<u4").tobytes()
-            if simple and len(texts) > 1:  # only the texts that need it go alone
-                half = len(texts) // 2
-                (a, m), (b, n) = (self.encode_all(part, end_id) for part in (texts[:half], texts[half:]))
-                return np.concatenate([a, b]), np.concatenate([m, n])
-            each = [self.encode(t) + end for t in texts]
-            return np.frombuffer(b"".join(each), "<i4"), np.array([len(e) // 4 for e in each], np.int64)
-        return got
-
-    def _encode_joined(self, texts: list[str], end_id: int):
-        joined, sizes = "".join(texts), np.fromiter(map(len, texts), np.int64, len(texts))
-        if not joined:
+        texts = texts.fill_null("").cast(pa.large_binary()) if texts.null_count else texts.cast(pa.large_binary())
+        offsets = np.frombuffer(texts.buffers()[1], np.int64)[texts.offset : texts.offset + len(texts) + 1]
+        edges = offsets - offsets[0]
+        if not edges[-1]:
             return np.full(len(texts), end_id, np.int32), np.ones(len(texts), np.int64)
-        code = np.frombuffer(joined.encode("utf-32-le"), np.uint32)
-        if code.max() >= len(CLASSES) or (CLASSES[code] == 9).any() or self.holds_added(joined):
-            return None
-        starts = group_starts(code, sizes)
-        n = len(code)
-        length = np.diff(np.append(starts, n))
-        power, inverse = _powers(n)
-        sums = np.zeros(n + 1, np.uint64)
-        np.cumsum(code * power[:n], out=sums[1:])
-        hashes = (sums[starts + length] - sums[starts]) * inverse[starts]
-        hashes ^= length.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)
-        which, distinct = pd.factorize(hashes)
-        first = np.empty(len(distinct), np.int64)
-        first[which[::-1]] = np.arange(len(which))[::-1]
-        if (length[first[which]] != length).any():
-            return None
-        shift = np.repeat((starts[first[which]] - starts).astype(np.int32), length)
-        shift += np.arange(n, dtype=np.int32)
-        if (code[shift] != code).any():
-            return None
-        del shift, sums
-        known = list(map(self.__getitem__, map(joined.__getitem__, map(slice, starts[first].tolist(), (starts[first] + length[first]).tolist()))))
-        flat = np.frombuffer(b"".join(known), "<i4")
-        per = np.fromiter(map(len, known), np.int64, len(known)) // 4
-        at = np.cumsum(per) - per
-        tokens = per[which]
-        total = int(tokens.sum())
-        begins = np.cumsum(tokens) - tokens
-        source = np.repeat((at[which] - begins).astype(np.int32), tokens)
-        source += np.arange(total, dtype=np.int32)
-        ends = np.cumsum(sizes)
-        owner = np.searchsorted(ends, starts, side="right")
-        counts = np.bincount(owner, tokens, len(texts)).astype(np.int64)
-        out = np.full(total + len(texts), end_id, np.int32)
-        place = np.repeat(owner.astype(np.int32), tokens)
-        place += np.arange(total, dtype=np.int32)
-        out[place] = flat[source]
-        return out, counts + 1
+        raw = np.frombuffer(texts.buffers()[2], np.uint8)[offsets[0] : offsets[-1]]
+        if self.by_group:
+            starts, alone = self._cut(raw, edges)
+        else:
+            alone = np.flatnonzero(np.diff(edges))
+            starts = edges[alone]
+        groups = pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(starts), [None, pa.py_buffer(np.append(starts, len(raw))), pa.py_buffer(raw)]).dictionary_encode()
+        which = groups.indices.to_numpy()
+        distinct = groups.dictionary.to_pylist()
+        whole = {int(which[i]) for i in np.searchsorted(starts, edges[alone])}
+        known = list(map(self.__getitem__, distinct)) if not whole else [self.whole(g.decode()) if i in whole else self[g] for i, g in enumerate(distinct)]
+        known.append(np.asarray([end_id], "<u4").tobytes())
+        at = np.zeros(len(known) + 1, np.int64)
+        np.cumsum(np.fromiter(map(len, known), np.int64, len(known)) // 4, out=at[1:])
+        before = np.searchsorted(starts, edges)  # groups before the end of each text
+        which = np.insert(which, before[1:], len(distinct))
+        flat = pa.array(np.frombuffer(b"".join(known), "<i4"))
+        ids = pa.LargeListArray.from_arrays(pa.array(at), flat).take(pa.array(which)).flatten().to_numpy()
+        total = np.concatenate([[0], np.cumsum(np.diff(at)[which])])
+        return ids, np.diff(total[before + np.arange(len(before))])
+
+    def _cut(self, raw: np.ndarray, edges: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(starts of the groups, numbers of the texts that are one group)."""
+        start, odd = group_starts(raw, edges)
+        held = raw.tobytes() if self.added else b""
+        for content in self.added:
+            at = held.find(content.encode())
+            while at >= 0:
+                odd.append(at)
+                at = held.find(content.encode(), at + 1)
+        alone = np.unique(np.searchsorted(edges, odd, side="right") - 1).astype(np.int64)
+        for t in alone:
+            start[edges[t] : edges[t + 1]] = False
+            start[edges[t]] = True
+        return np.flatnonzero(start), alone
 
 
 def _classes() -> np.ndarray:
@@ -165,71 +149,60 @@ def _classes() -> np.ndarray:
     kinds = [unicodedata.category(chr(c))[0] for c in range(0x530)]
     out = np.array([1 if k == "L" else 2 if k == "N" else 0 for k in kinds], np.uint8)
     out[[9, 10, 11, 12, 13, 32, 0x85, 0xA0]] = 3
-    out[0x1C:0x20] = 9  # no text with these is cut here
     return out
 
 
 CLASSES = _classes()
-
-
-def group_starts(code: np.ndarray, sizes: np.ndarray) -> np.ndarray:
-    """Places where the groups of GROUPS start in texts of the given sizes, joined."""
-    n = len(code)
-    kind = CLASSES[code]
+_BYTE_KINDS = np.concatenate([CLASSES[:128], np.zeros(128, np.uint8)])
+_SEPARATORS = np.isin(np.arange(256), np.arange(0x1C, 0x20))
+
+
+def group_starts(raw: np.ndarray, edges: np.ndarray) -> tuple[np.ndarray, list[int]]:
+    """(whether a group of GROUPS starts at each byte, places of characters beyond those of GROUPS), for UTF-8
+    texts one after another, which end at the edges."""
+    n = len(raw)
+    kind = _BYTE_KINDS[raw]
+    odd = np.flatnonzero(_SEPARATORS[raw]).tolist()
+    lead = np.flatnonzero(raw >= 0xC0)
+    if len(lead):  # both bytes of a two-byte character have its kind
+        two = lead[(raw[lead] < 0xD5) & (lead + 1 < n)]
+        code = ((raw[two].astype(np.int32) & 31) << 6) | (raw[two + 1] & 63)
+        known = code < len(CLASSES)
+        kind[two[known]] = kind[two[known] + 1] = CLASSES[code[known]]
+        odd += two[~known].tolist() + lead[raw[lead] >= 0xD5].tolist()
     opens = np.zeros(n + 1, bool)
-    edges = np.cumsum(sizes)
-    opens[edges] = True  # a text's first character, and the end of all
-    opens[0] = True
-    ends = opens[:-1].copy()
-    run = opens[:-1] | np.concatenate([[True], kind[1:] != kind[:-1]])
-    white = kind == 3
-    last = np.append(run[1:], True)  # last character of its run
-    final = opens[1:] | (np.arange(1, n + 1) == n)  # last character of its text
-    start = run.copy()
-    after_space = np.concatenate([[False], code[:-1] == 32]) & ~ends
-    start[run & ~white & after_space] = False  # a space before belongs to the group
-    start[white & last & ~final] = True  # the last white character before others stands apart
-    mark = np.flatnonzero((code == 39) & start & last & ~final)
+    opens[edges] = True
+    run = opens[:-1].copy()
+    run[1:] |= kind[1:] != kind[:-1]
+    at = np.flatnonzero(run)
+    end = np.append(at[1:], n)
+    white = kind[at] == 3
+    joins = ~white & ~opens[at] & (raw[at - 1] == 32)  # a space before belongs to the group
+    start = run
+    start[at[joins]] = False
+    apart = end[white & ~opens[end]] - 1  # the last white character before others stands apart
+    start[apart - ((raw[apart] & 0xC0) == 0x80)] = True
+    mark = at[(raw[at] == 39) & ~joins & (end == at + 1) & ~opens[end]]
     if len(mark):
-        padded = np.append(code, [0, 0])
+        padded = np.append(raw, [0, 0])
         a, b = padded[mark + 1], padded[mark + 2]
-        letter = np.append(kind, [0, 0])[mark + 1] == 1
+        letter = kind[mark + 1] == 1
         one = letter & np.isin(a, [ord(c) for c in "stmd"])
-        two = letter & ~np.append(final, True)[mark + 1] & (((a == ord("r")) | (a == ord("v"))) & (b == ord("e")) | (a == ord("l")) & (b == ord("l")))
+        two = letter & ~opens[mark + 2] & (((a == ord("r")) | (a == ord("v"))) & (b == ord("e")) | (a == ord("l")) & (b == ord("l")))
         size = np.where(one, 2, np.where(two, 3, 0))
         mark, size = mark[size > 0], size[size > 0]
         start[mark + 1] = False
         rest = mark + size
-        inside = rest < n
-        rest, mark = rest[inside], mark[inside]
-        same = (kind[rest] == 1) & ~run[rest]
-        start[rest[same]] = True
-    return np.flatnonzero(start)
-
-
-_POWERS: list[np.ndarray] = []
-
-
-def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    """Powers of an odd number and of its inverse modulo 2^64, at least n of each."""
-    if not _POWERS or len(_POWERS[0]) < n:
-        size = max(n, SLICE_CHARS)
-        base = 0x9E3779B97F4A7C15
-        for i, b in enumerate((base, pow(base, -1, 1 << 64))):
-            row = np.full(size, b, np.uint64)
-            row[0] = 1
-            row = np.cumprod(row)
-            if len(_POWERS) > i:
-                _POWERS[i] = row
-            else:
-                _POWERS.append(row)
-    return _POWERS[0], _POWERS[1]
-
-
-def _as_letters(text: str) -> str:
-    if text.isascii() and text.isprintable() and text[-1:] != " ":
+        rest = rest[rest < n]
+        start[rest[(kind[rest] == 1) & (kind[rest - 1] == 1) & ~opens[rest]]] = True
+    return start, odd
+
+
+def _as_letters(group: bytes) -> str:
+    text = group.decode("latin-1")
+    if group.isascii() and text.isprintable() and group[-1:] != b" ":
         return text.replace(" ", BYTE_LETTERS[32])  # other printable ASCII stands for itself
-    return text.encode().decode("latin-1").translate(BYTE_LETTERS)
+    return text.translate(BYTE_LETTERS)
 
 
 def _encoder(path: str, end_id: int):
@@ -240,25 +213,11 @@ def _encoder(path: str, end_id: int):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         encoder = kept(path, lambda: PieceEncoder(path))  # its tasks share what it remembers
         gc.disable()  # no cycles are made here, and many small objects are
-
-        def out(batch, first, texts):
-            flat, lengths = encoder.encode_all(texts, end_id)
-            offsets = pa.array(np.concatenate([[0], np.cumsum(lengths)]).astype("int32"))
-            return pa.RecordBatch.from_arrays(
-                [batch.column("doc_id").slice(first, len(texts)), pa.array(lengths), pa.ListArray.from_arrays(offsets, pa.array(flat))], names=["doc_id", "n_tokens", "ids"]
-            )
-
         for batch in batches:
-            column, texts, first, chars = batch.column("text"), [], 0, 0
-            for i in range(batch.num_rows):
-                text = column[i].as_py() or ""
-                if texts and chars + len(text) > SLICE_CHARS:
-                    yield out(batch, first, texts)
-                    texts, first, chars = [], i, 0
-                texts.append(text)
-                chars += len(text)
-            if texts:
-                yield out(batch, first, texts)
+            for part in parts_of(batch, "text", batch.num_rows, SLICE_BYTES):
+                flat, lengths = encoder.encode_all(part.column("text"), end_id)
+                offsets = pa.array(np.concatenate([[0], np.cumsum(lengths)]).astype("int32"))
+                yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(lengths), pa.ListArray.from_arrays(offsets, pa.array(flat))], names=["doc_id", "n_tokens", "ids"])
         gc.enable()
 
     return lean(run, path)
@@ -267,7 +226,8 @@ def _encoder(path: str, end_id: int):
 def _ranged(rows: DataFrame) -> DataFrame:
     """Rows dealt over ranges of doc_id, in order of the partitions. Only the ids are read to find the ranges
     (a range partitioner would read the texts for its sample); equal ids stay together."""
-    parts = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    size = int(str(rows._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    parts = max(int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")), min(size // FILE_BYTES, 1_000_000))
     if parts < 2 or rows.schema["doc_id"].dataType.simpleString() not in ("bigint", "int", "smallint"):
         return rows.repartitionByRange(F.col("doc_id").asc_nulls_first())
     cuts = rows.agg(F.percentile_approx("doc_id", [i / parts for i in range(1, parts)], max(10_000, 20 * parts))).first()[0] or []
