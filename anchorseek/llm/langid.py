@@ -1,6 +1,6 @@
 r"""Language identification: script ranges narrow the candidates, Viterbi labels spans of mixed text.
 
-A word is a run of letters of one script; a run of letters that goes from one known script to another is cut there,
+A word is a run of letters, with the marks that combine with them, of one script; a run of letters that goes from one known script to another is cut there,
 and one of more than `PIECE` letters, as in unspaced scripts, into pieces of that many, each counting as a word.
 A piece is scored with the letters that follow it, so every n-gram of a run counts once. The script leaves
 the languages that were seen in it; each of those scores the word by the logarithms of its character n-grams. A path over the words of a
@@ -40,6 +40,21 @@ MEMORY_WORDS = 200_000
 SLICE_WORDS = 600_000
 LEARN_WORDS = 50_000
 LETTERS = re.compile(r"[^\W\d_]+")
+
+
+def _marked_letters() -> re.Pattern:
+    """Runs of letters and of the marks that combine with them; a mark alone is no word."""
+    import sys
+    import unicodedata
+
+    codes = [c for c in range(0x300, sys.maxunicode + 1) if unicodedata.category(chr(c))[0] == "M"]
+    firsts = [c for c, before in zip(codes, [0, *codes]) if c != before + 1]
+    lasts = [c for c, after in zip(codes, [*codes[1:], 0]) if c != after - 1]
+    marks = "".join(f"{chr(a)}-{chr(b)}" for a, b in zip(firsts, lasts))
+    return re.compile(rf"[^\W\d_](?:[^\W\d_]|[{marks}])*")
+
+
+MARKED_LETTERS = _marked_letters()
 #: Script ranges by code point (first, last, script).
 SCRIPTS = [
     (0x41, 0x24F, "latin"), (0x370, 0x3FF, "greek"), (0x400, 0x52F, "cyrillic"), (0x530, 0x58F, "armenian"), (0x590, 0x5FF, "hebrew"),
@@ -62,7 +77,7 @@ def _script_runs() -> re.Pattern:
 
 
 RUNS = _script_runs()
-SEVERAL = re.compile("[\u0370-\U0010ffff]")  # below are letters of one script only
+SEVERAL = re.compile("[\u0300-\U0010ffff]")  # below are letters of one script only, and no marks
 
 
 def script_of(word: str) -> str:
@@ -88,8 +103,9 @@ def pieces_of(run: str) -> list[str]:
 def marked_words(text: str | None) -> list[str]:
     """The words of a text, with the marks of pieces."""
     lowered = (text or "").lower()
-    runs = LETTERS.findall(lowered)
-    if not SEVERAL.search(lowered) and max(map(len, runs), default=0) <= PIECE:
+    several = SEVERAL.search(lowered)
+    runs = (MARKED_LETTERS if several else LETTERS).findall(lowered)
+    if not several and max(map(len, runs), default=0) <= PIECE:
         return runs
     return [w for r in runs for w in pieces_of(r)]
 
@@ -203,14 +219,14 @@ def viterbi(scores: np.ndarray, lengths: np.ndarray, penalty: float) -> np.ndarr
     starts = np.concatenate([[0], np.cumsum(lengths)])[:-1]
     order = np.argsort(-lengths, kind="stable")
     start, size = starts[order], lengths[order]
-    out = np.zeros(len(scores), np.int8)
+    out = np.zeros(len(scores), np.int16)
     if not len(scores):
         return out
-    back = np.zeros(scores.shape, np.int8)
-    k = np.arange(scores.shape[1], dtype=np.int8)
+    back = np.zeros(scores.shape, np.int16)
+    k = np.arange(scores.shape[1], dtype=np.int16)
     active = int((size > 0).sum())
     state = scores[start[:active]].copy()
-    final = np.zeros(active, np.int8)
+    final = np.zeros(active, np.int16)
     for t in range(1, int(size[0]) + 1):
         now = int(np.searchsorted(-size, -t, side="left"))  # texts with more than t words
         final[now:active] = state[now:active].argmax(1)
@@ -218,7 +234,7 @@ def viterbi(scores: np.ndarray, lengths: np.ndarray, penalty: float) -> np.ndarr
         if not active:
             break
         state = state[:active]
-        best = state.argmax(1).astype(np.int8)
+        best = state.argmax(1).astype(np.int16)
         jump = np.take_along_axis(state, best[:, None].astype(np.int64), 1) - np.float32(penalty)
         stay = state >= jump
         at = start[:active] + t
@@ -271,7 +287,7 @@ def _predictor(model: Model, text: str, carry: list[str], penalty: float, spans:
         def flush(batch, first, parts, lengths):
             n, lengths, ids = len(lengths), np.array(lengths, np.int64), np.concatenate(parts)
             scores, size = known.scores[ids], known.letters[ids]
-            path = viterbi(scores, lengths, penalty) if model.langs else np.zeros(len(ids), np.int8)
+            path = viterbi(scores, lengths, penalty) if model.langs else np.zeros(len(ids), np.int16)
             owner = np.repeat(np.arange(n), lengths)
             telling = scores.any(1) | (len(model.langs) == 1)
             width = max(1, len(model.langs))

@@ -167,9 +167,12 @@ def thresholds(holdout: DataFrame, grid=None, risk=RISK, level=LEVEL) -> DataFra
 
 
 def labelled(rows: DataFrame, labels: DataFrame, doc_id="doc_id", quality="quality") -> DataFrame:
-    """Measures of the labelled documents that pass the base rule, and _good."""
+    """Measures of the labelled documents that pass the base rule, and _good. Rows with one id count once, as the
+    binomial asks for: the smallest by stratum and measures."""
     known = labels.where(F.col(doc_id).isNotNull() & F.col(quality).isNotNull()).groupBy(F.col(doc_id).alias("doc_id")).agg((F.max(quality) == 1).alias("_good"))
-    return rows.where(~F.col("base_failed")).join(known, "doc_id")
+    some = rows.where(~F.col("base_failed")).join(known, "doc_id")
+    rest = [c for c in some.columns if c != "doc_id"]
+    return some.groupBy("doc_id").agg(F.min(F.struct(*rest)).alias("_row")).select("doc_id", "_row.*")
 
 
 def judged(docs: DataFrame, labels: DataFrame, text="text", doc_id="doc_id", stratum="lang", quality="quality", grid=None, risk=RISK, level=LEVEL) -> DataFrame:
@@ -177,7 +180,7 @@ def judged(docs: DataFrame, labels: DataFrame, text="text", doc_id="doc_id", str
     grid = GRID if grid is None else grid
     rows = settled(measured(docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("_text"), F.col(stratum).alias("_lang")), "_text", ["doc_id"], "_lang"), "quality-measures")
     holdout = labelled(rows, labels, doc_id, quality)
-    chosen = thresholds(holdout, grid, risk, level).groupBy("_stratum").agg(F.map_from_entries(F.collect_list(F.struct("rule", "cutoff"))).alias("_cut")).select(F.struct("_stratum").alias("_s"), "_cut")
+    chosen = settled(thresholds(holdout, grid, risk, level), "quality-thresholds").groupBy("_stratum").agg(F.map_from_entries(F.collect_list(F.struct("rule", "cutoff"))).alias("_cut")).select(F.struct("_stratum").alias("_s"), "_cut")
     failed = F.array_compact(F.array(*[F.when(F.col(r) > F.col("_cut")[r], F.lit(r)) for r in grid]))
     return (
         rows.withColumn("_s", F.struct("_stratum"))

@@ -10,8 +10,9 @@ whose share of texts differs between the classes by `MIN_Z` standard errors, and
 number of distinct words that have one, and of all distinct words. Texts are read whole.
 
 Learning takes a bounded sample of labelled rows (`train_rows`, chosen by a hash of the id, half of them
-positive in the last category where there are as many); only their hashed features come to the driver, of at
-most `WORDS_PER_ROW` distinct words a row (those with the smallest hashes).
+positive in the last category where there are as many); only their hashed features come to the driver, those of
+their whole texts. The label table of the given tables has two columns, so the registered query's chain goes
+from poor quality to toxic; any list of categories may be given to `fitted`.
 
 Defined results: null text and text without words get the probability of a text without features; a label
 that is null in a category leaves the row out of that category's model; without labels of both kinds a
@@ -29,16 +30,17 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import lean, table
+from .common import lean, parts_of, table
 
 BINS = 1 << 20
 GRAMS = (4, 5)
 STARTS = (3, 4, 5, 6, 7, 8)
 MIN_Z = 4.0
 TRAIN_ROWS = 3000
-WORDS_PER_ROW = 2000
 FOLDS = 3
 MEMORY_WORDS = 200_000
+#: Letters that remembered words hold at most before all are forgotten.
+MEMORY_LETTERS = 4_000_000
 WORDS = re.compile(r"[^\W\d_]+")
 
 
@@ -49,7 +51,7 @@ def words_of_text(text: str | None) -> set[str]:
 def features_of(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
     """(feature numbers, number of the word that has each): words, their starts and n-grams, hashed; repeats
     inside a word may occur twice."""
-    marked = [f"^{w[:40]}$" for w in words]
+    marked = [f"^{w}$" for w in words]
     sizes = np.fromiter(map(len, marked), np.int64, len(marked))
     raw = np.frombuffer("".join(marked).encode("utf-32-le"), np.uint32).astype(np.uint64)
     begins = np.cumsum(sizes) - sizes
@@ -74,13 +76,10 @@ def features_of(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
 
 def _featurizer(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        for part in range(0, batch.num_rows, 200):
-            rows = batch.slice(part, 200)
+        for rows in parts_of(batch, "_t", 200):
             ids, counts, sizes = [], [], []
             for t in rows.column("_t"):
                 words = sorted(words_of_text(t.as_py()))
-                if len(words) > WORDS_PER_ROW:
-                    words = sorted(words, key=lambda w: xxhash.xxh64_intdigest(w.encode()))[:WORDS_PER_ROW]
                 feats, n = np.empty(0, np.int64), np.empty(0, np.int64)
                 if words:
                     bins, owner = features_of(words)
@@ -218,8 +217,10 @@ class _Known(dict):
         super().__init__()
         self.place = np.full(BINS, -1, np.int32)
         self.place[features] = np.arange(len(features))
+        self.letters = 0
 
     def learn(self, words: list[str]) -> None:
+        self.letters += sum(map(len, words))
         self.update(dict.fromkeys(words))
         bins, owner = features_of(words)
         place = self.place[bins]
@@ -237,8 +238,7 @@ def _scorer(chain: Chain, text: str, carry: list[str]):
         known = _Known(kept)
         at = [np.searchsorted(kept, f) for f, _ in chain.models]
         for batch in batches:
-            for part in range(0, batch.num_rows, 500):
-                rows = batch.slice(part, 500)
+            for rows in parts_of(batch, text, 500):
                 p = np.zeros((rows.num_rows, len(chain.models)))
                 sets = [words_of_text(t.as_py()) for t in rows.column(text)]
                 if new := sorted(set().union(*sets).difference(known)):
@@ -249,8 +249,9 @@ def _scorer(chain: Chain, text: str, carry: list[str]):
                     for c, (f, w) in enumerate(chain.models):
                         n = len(f)
                         p[i, c] = sigmoid(x[at[c]] @ w[:n] + np.log1p(len(words)) / 10 * w[n] + p[i, :c] @ w[n + 1 : -1] + w[-1])
-                if len(known) > MEMORY_WORDS:
+                if len(known) > MEMORY_WORDS or known.letters > MEMORY_LETTERS:
                     known.clear()
+                    known.letters = 0
                 yield pa.RecordBatch.from_arrays([*(rows.column(c) for c in carry), *(pa.array(p[:, c]) for c in range(p.shape[1]))], names=[*carry, *(f"p_{c}" for c in chain.categories)])
 
     return lean(run)

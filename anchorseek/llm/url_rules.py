@@ -121,7 +121,7 @@ def filter_urls(pages: DataFrame, rules: DataFrame, url="url", row_id="page_id",
 
     clean = (
         rules.where(F.col("host").isNotNull())
-        .select(F.lower(F.col("host")).alias("_h"), F.coalesce(F.col("path"), F.lit("")).alias("_path"), F.col("verdict").alias("_verdict"))
+        .select(lower_ascii(F.col("host")).alias("_h"), F.coalesce(F.col("path"), F.lit("")).alias("_path"), F.col("verdict").alias("_verdict"))
         .groupBy("_h", "_path").agg(F.min("_verdict").alias("_verdict"))
         .withColumn("_rev", reversed_host(F.col("_h")))
     )

@@ -25,11 +25,11 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import ALNUM_BYTES, lean, settled, table
+from .common import ALNUM_BYTES, kept, lean, settled, table
 
 SPAN = 13
 K = 7
-BROADCAST_CHARS = 64 << 20
+BROADCAST_CHARS = 4 << 20
 MARK = "struct<n_words:bigint,n_hit:bigint,items:array<string>,spans:array<struct<first:int,last:int>>>"
 _MARK_TYPE = pa.struct([("n_words", pa.int64()), ("n_hit", pa.int64()), ("items", pa.list_(pa.string())), ("spans", pa.list_(pa.struct([("first", pa.int32()), ("last", pa.int32())])))])
 
@@ -156,9 +156,11 @@ def _spans(hit: np.ndarray) -> list[dict]:
     return [{"first": int(a), "last": int(b) - 1} for a, b in zip(np.flatnonzero(edge == 1), np.flatnonzero(edge == -1))]
 
 
-def _marker(rows, span: int, k: int, text: str, carry: list[str]):
+def _marker(sent, span: int, k: int, text: str, carry: list[str]):
+    name = f"bench-{sent.id}-{span}-{k}"
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        bench, hashes = Bench(rows, span, k), WordHashes()
+        bench, hashes = kept(name, lambda: Bench(sent.value, span, k)), WordHashes()  # once a worker
         for batch in batches:
             marks = []
             for t in batch.column(text):
@@ -168,34 +170,26 @@ def _marker(rows, span: int, k: int, text: str, carry: list[str]):
                 marks.append({"n_words": len(words), "n_hit": int(hit.sum()), "items": names, "spans": _spans(hit)})
             yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in carry), pa.array(marks, _MARK_TYPE)], names=[*carry, "_mark"])
 
-    return lean(run)
+    return lean(run, name)
 
 
 def _mark_shuffled(docs: DataFrame, bench: DataFrame, text: str, item_id: str, bench_text: str, span: int, k: int, carry: list[str]) -> DataFrame:
     """The same marks when the benchmark is too large to broadcast."""
 
-    def prints(batches):
-        hashes = WordHashes()
-        for batch in batches:
-            keys, found = [], []
-            for key, t in zip(batch.column("_k").to_pylist(), batch.column("_t")):
-                words = hashes.of(t.as_py())
-                got = {int(h) for h in fingerprints(words, span, k)[0]} if len(words) >= span else set()
-                keys += [key] * len(got)
-                found += got
-            yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(np.array(found, np.uint64).view(np.int64))], names=["_k", "_fp"])
+    def prints(lengths):
+        """Fingerprints of texts; for items shorter than a span, the hashes of all grams of their lengths."""
 
-    def short(lengths):
         def run(batches):
             hashes = WordHashes()
             for batch in batches:
-                keys, found = [], []
-                for key, t in zip(batch.column("_k").to_pylist(), batch.column("_t")):
+                rows, found = [], []
+                for i, t in enumerate(batch.column("_t")):
                     words = hashes.of(t.as_py())
-                    got = {int(h) for n in lengths for h in grams(words, n)}
-                    keys += [key] * len(got)
+                    got = set().union(*(grams(words, n).tolist() for n in lengths)) if lengths else set(fingerprints(words, span, k)[0].tolist()) if len(words) >= span else set()
+                    rows += [i] * len(got)
                     found += got
-                yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(np.array(found, np.uint64).view(np.int64))], names=["_k", "_fp"])
+                at = pa.array(rows, pa.int64())
+                yield pa.RecordBatch.from_arrays([batch.column("_k").take(at), batch.column("_k2").take(at), pa.array(np.array(found, np.uint64).view(np.int64))], names=["_k", "_k2", "_fp"])
 
         return lean(run)
 
@@ -215,30 +209,34 @@ def _mark_shuffled(docs: DataFrame, bench: DataFrame, text: str, item_id: str, b
     def pair(batches):
         hashes = WordHashes()
         for batch in batches:
-            keys, spans, names = [], [], []
-            for key, t, item, bt in zip(*(batch.column(c).to_pylist() for c in ("_k", "_t", "_item", "_bt"))):
+            rows, spans, names = [], [], []
+            for i, (t, item, bt) in enumerate(zip(*(batch.column(c).to_pylist() for c in ("_t", "_item", "_bt")))):
                 hit, items = Bench([(item, bt)], span, k).mark(hashes.of(t))
                 if items:
-                    keys.append(key)
+                    rows.append(i)
                     spans.append(_spans(hit))
                     names.append(None if item is None else str(item))
-            yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(names, pa.string()), pa.array(spans, _MARK_TYPE.field("spans").type)], names=["_k", "_item", "_spans"])
+            at = pa.array(rows, pa.int64())
+            yield pa.RecordBatch.from_arrays([batch.column("_k").take(at), batch.column("_k2").take(at), pa.array(names, pa.string()), pa.array(spans, _MARK_TYPE.field("spans").type)], names=["_k", "_k2", "_item", "_spans"])
 
     names, types = carry, [docs.schema[c].dataType.simpleString() for c in carry]
     carry = [f"_carried{i}" for i in range(len(names))]  # whatever their names, they meet none of ours
     docs = docs.select(F.col(text).alias("_text"), *[F.col(f"`{n}`").alias(c) for n, c in zip(names, carry)])
     text = "_text"
-    keyed = docs.withColumn("_k", F.xxhash64(F.coalesce(F.col(text), F.lit(""))))
-    texts = keyed.groupBy("_k").agg(F.first(F.coalesce(F.col(text), F.lit(""))).alias("_t"))
+    key = ["_k", "_k2"]  # 128 bits name a text
+    whole = F.coalesce(F.col(text), F.lit(""))
+    keyed = docs.withColumn("_k", F.xxhash64(whole)).withColumn("_k2", F.xxhash64(F.lit(13), whole))
+    texts = keyed.groupBy(*key).agg(F.first(whole).alias("_t"))
     items = bench.where(F.col(bench_text).isNotNull()).select(F.col(item_id).cast("string").alias("_item"), F.col(bench_text).alias("_bt")).distinct()
     items = items.withColumn("_i", F.xxhash64("_item", "_bt"))
     wanted = settled(items.select("_i", "_bt").mapInArrow(lean(item_prints), "_i bigint, _fp bigint, _n int"), "bench-prints")
     lengths = [r[0] for r in wanted.where(F.col("_n") < span).select("_n").distinct().collect()]  # at most span - 1 values
-    pairs = texts.mapInArrow(lean(prints), "_k bigint, _fp bigint").join(wanted.where(F.col("_n") == span), "_fp").select("_k", "_i")
+    printed = "_k bigint, _k2 bigint, _fp bigint"
+    pairs = texts.mapInArrow(prints([]), printed).join(wanted.where(F.col("_n") == span), "_fp").select(*key, "_i")
     if lengths:
-        pairs = pairs.union(texts.mapInArrow(short(lengths), "_k bigint, _fp bigint").join(wanted.where(F.col("_n") < span), "_fp").select("_k", "_i"))
-    found = pairs.distinct().join(items, "_i").join(texts, "_k").select("_k", "_t", "_item", "_bt").mapInArrow(lean(pair), "_k bigint, _item string, _spans array<struct<first:int,last:int>>")
-    marks = found.groupBy("_k").agg(F.array_sort(F.collect_set("_item")).alias("_items"), F.array_sort(F.flatten(F.collect_list("_spans"))).alias("_spans"))
+        pairs = pairs.union(texts.mapInArrow(prints(lengths), printed).join(wanted.where(F.col("_n") < span), "_fp").select(*key, "_i"))
+    found = pairs.distinct().join(items, "_i").join(texts, key).select(*key, "_t", "_item", "_bt").mapInArrow(lean(pair), "_k bigint, _k2 bigint, _item string, _spans array<struct<first:int,last:int>>")
+    marks = found.groupBy(*key).agg(F.array_sort(F.collect_set("_item")).alias("_items"), F.array_sort(F.flatten(F.collect_list("_spans"))).alias("_spans"))
 
     def merge(batches):
         hashes = WordHashes()
@@ -253,7 +251,7 @@ def _mark_shuffled(docs: DataFrame, bench: DataFrame, text: str, item_id: str, b
             yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in carry), pa.array(out, _MARK_TYPE)], names=[*carry, "_mark"])
 
     schema = ", ".join(f"`{c}` {t}" for c, t in zip(carry, types))
-    merged = keyed.join(marks, "_k", "left").mapInArrow(lean(merge), f"{schema}, _mark {MARK}")
+    merged = keyed.join(marks, key, "left").mapInArrow(lean(merge), f"{schema}, _mark {MARK}")
     return merged.select(*[F.col(c).alias(n) for c, n in zip(carry, names)], "_mark")
 
 
@@ -268,7 +266,8 @@ def marked(docs: DataFrame, bench: DataFrame, text="text", item_id="item_id", be
     rows = [tuple(r) for r in bench.where(F.col(bench_text).isNotNull()).select(item_id, bench_text).distinct().collect()]
     schema = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in carry)
     read = docs.select(*dict.fromkeys([*carry, text]))
-    return read.mapInArrow(_marker(rows, span, k, text, carry), f"{schema}, _mark {MARK}")
+    sent = docs.sparkSession.sparkContext.broadcast(rows)  # at most broadcast_chars
+    return read.mapInArrow(_marker(sent, span, k, text, carry), f"{schema}, _mark {MARK}")
 
 
 def is_contaminated(mark="_mark"):
