@@ -227,7 +227,9 @@ def _ranged(rows: DataFrame) -> DataFrame:
     """Rows dealt over ranges of doc_id, in order of the partitions. Only the ids are read to find the ranges
     (a range partitioner would read the texts for its sample); equal ids stay together."""
     size = int(str(rows._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
-    parts = max(int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")), min(size // FILE_BYTES, 1_000_000))
+    parts = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    if size < 1 << 60:  # a plan of unknown size says more
+        parts = max(parts, min(size // FILE_BYTES, 1_000_000))
     if parts < 2 or rows.schema["doc_id"].dataType.simpleString() not in ("bigint", "int", "smallint"):
         return rows.repartitionByRange(F.col("doc_id").asc_nulls_first())
     cuts = rows.agg(F.percentile_approx("doc_id", [i / parts for i in range(1, parts)], max(10_000, 20 * parts))).first()[0] or []

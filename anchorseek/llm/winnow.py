@@ -16,6 +16,7 @@ documents each get a row; an empty benchmark leaves every document clean. Words
 
 from __future__ import annotations
 
+import uuid
 from collections import defaultdict
 from collections.abc import Iterator
 
@@ -157,7 +158,7 @@ def _spans(hit: np.ndarray) -> list[dict]:
 
 
 def _marker(sent, span: int, k: int, text: str, carry: list[str]):
-    name = f"bench-{sent.id}-{span}-{k}"
+    name = f"bench-{uuid.uuid4().hex}"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bench, hashes = kept(name, lambda: Bench(sent.value, span, k)), WordHashes()  # once a worker

@@ -132,7 +132,6 @@ def test_tokens_equal_the_library(ready, docs, rows, tmp_path):
     from tokenizers import Tokenizer
 
     t = Tokenizer.from_file(tokenizer_path())
-    t.encode_special_tokens = True
     for encoding in ("dictionary", "delta"):
         path = str(tmp_path / encoding)
         token_files.write_tokens(docs, tokenizer_path(), path, encoding=encoding)
