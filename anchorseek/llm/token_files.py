@@ -15,20 +15,21 @@ from __future__ import annotations
 
 import re
 import zlib
-from array import array
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import fresh_path, kept, lean, parts_of, settled, table
 
-#: Groups whose ids one process remembers, twice (the present ones and those before them), and the bytes of text
-#: encoded at once.
-MEMORY_PIECES = 400_000
-SLICE_BYTES = 8 << 20
+#: Groups whose ids one process remembers, their most bytes, and the bytes of text encoded at once.
+MEMORY_PIECES = 800_000
+LONGEST_PIECE = 64
+SLICE_BYTES = 6 << 20
 #: Input bytes of a token file, at least one for each shuffle partition.
 FILE_BYTES = 512 << 20
 
@@ -49,7 +50,7 @@ GROUPS = re.compile(rf" ?{_LETTER}+|'s|'t|'re|'ve|'m|'ll|'d| ?{_NUMBER}+| ?(?:_|
 OTHER = re.compile("[\x1c-\x1f\u0530-\U0010ffff]")
 
 
-class PieceEncoder(dict):
+class PieceEncoder:
     """Encodes texts with a tokenizers file, remembering the ids of the groups that the model encodes one by one.
 
     The library's model encodes each group; the groups of common texts are cut here, once a text. Texts with
@@ -62,10 +63,11 @@ class PieceEncoder(dict):
 
         from tokenizers import Tokenizer
 
-        super().__init__()
         self.tokenizer = Tokenizer.from_file(path)
         self.model = self.tokenizer.model
-        self.older: dict[str, bytes] = {}
+        # what is remembered: groups, where the ids of each begin, the ids, and the slice that last had each
+        self.pieces, self.at, self.ids = pa.array([], pa.large_binary()), np.zeros(1, np.int64), np.empty(0, np.int32)
+        self.used, self.slices = np.empty(0, np.int64), 0
         told = json.loads(self.tokenizer.to_str())
         self.added = [t["content"] for t in told["added_tokens"] if t["content"]]
         before = told["pre_tokenizer"] or {}
@@ -77,22 +79,17 @@ class PieceEncoder(dict):
     def whole(self, text: str) -> bytes:
         return np.asarray(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
 
-    def __missing__(self, group: bytes) -> bytes:
-        found = self.older.get(group)
-        if found is None:
-            found = array("I", [t.id for t in self.model.tokenize(_as_letters(group))]).tobytes()
-        if len(self) >= MEMORY_PIECES:
-            self.older = dict(self)
-            self.clear()
-        if len(group) <= 64:
-            self[group] = found
-        return found
+    def groups(self, groups: list[bytes]) -> list[list[int]]:
+        """Ids of groups; the byte FF, which no UTF-8 text holds and which stands for itself, keeps them apart."""
+        letters = b"\xff".join(groups).decode("latin-1").translate(BYTE_LETTERS).split("\xff") if groups else []
+        tokenize = self.model.tokenize
+        return [[t.id for t in tokenize(x)] for x in letters]
 
     def encode(self, text: str) -> bytes:
         """Ids of one text, its groups cut by the pattern."""
         if not self.by_group or OTHER.search(text) or any(a in text for a in self.added):
             return self.whole(text)
-        return b"".join([self[g.encode()] for g in GROUPS.findall(text)])
+        return np.array([i for ids in self.groups([g.encode() for g in GROUPS.findall(text)]) for i in ids], "<u4").tobytes()
 
     def encode_all(self, texts: pa.StringArray, end_id: int) -> tuple[np.ndarray, np.ndarray]:
         """(ids of all texts one after another, each with the end id; number of ids of each text).
@@ -107,35 +104,58 @@ class PieceEncoder(dict):
             return np.full(len(texts), end_id, np.int32), np.ones(len(texts), np.int64)
         raw = np.frombuffer(texts.buffers()[2], np.uint8)[offsets[0] : offsets[-1]]
         if self.by_group:
-            starts, alone = self._cut(raw, edges)
+            starts, alone = self._cut(texts, raw, edges)
         else:
             alone = np.flatnonzero(np.diff(edges))
             starts = edges[alone]
         groups = pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(starts), [None, pa.py_buffer(np.append(starts, len(raw))), pa.py_buffer(raw)]).dictionary_encode()
         which = groups.indices.to_numpy()
-        distinct = groups.dictionary.to_pylist()
         whole = {int(which[i]) for i in np.searchsorted(starts, edges[alone])}
-        known = list(map(self.__getitem__, distinct)) if not whole else [self.whole(g.decode()) if i in whole else self[g] for i, g in enumerate(distinct)]
-        known.append(np.asarray([end_id], "<u4").tobytes())
-        at = np.zeros(len(known) + 1, np.int64)
-        np.cumsum(np.fromiter(map(len, known), np.int64, len(known)) // 4, out=at[1:])
+        number, at, ids = self._numbers(groups.dictionary, whole)
         before = np.searchsorted(starts, edges)  # groups before the end of each text
-        which = np.insert(which, before[1:], len(distinct))
-        flat = pa.array(np.frombuffer(b"".join(known), "<i4"))
-        ids = pa.LargeListArray.from_arrays(pa.array(at), flat).take(pa.array(which)).flatten().to_numpy()
+        which = np.insert(number[which], before[1:], len(at) - 1)
+        at, ids = np.append(at, len(ids) + 1), np.append(ids, np.int32(end_id))
+        out = pa.LargeListArray.from_arrays(pa.array(at), pa.array(ids)).take(pa.array(which)).flatten().to_numpy()
         total = np.concatenate([[0], np.cumsum(np.diff(at)[which])])
-        return ids, np.diff(total[before + np.arange(len(before))])
-
-    def _cut(self, raw: np.ndarray, edges: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        return out, np.diff(total[before + np.arange(len(before))])
+
+    def _numbers(self, groups: pa.Array, whole: set[int]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(number of each distinct group, where the ids of each number begin, ids). Short groups are remembered."""
+        number = pc.index_in(groups, value_set=self.pieces).fill_null(-1).to_numpy().astype(np.int64)
+        new = np.flatnonzero(number < 0)
+        brief = np.asarray(pc.binary_length(groups.take(pa.array(new))), np.int64) <= LONGEST_PIECE
+        if whole:
+            brief &= ~np.isin(new, list(whole))
+        new = np.concatenate([new[brief], new[~brief]])  # the remembered ones first
+        stay = int(brief.sum())
+        names = groups.take(pa.array(new))
+        made = self.groups(names.slice(0, stay).to_pylist())
+        made += [np.frombuffer(self.whole(g.decode()), "<i4") if i in whole else self.groups([g])[0] for i, g in zip(new[stay:].tolist(), names.slice(stay).to_pylist())]
+        sizes = np.fromiter(map(len, made), np.int64, len(made))
+        flat = np.fromiter(chain.from_iterable(made), np.int32, int(sizes.sum()))
+        number[new] = len(self.pieces) + np.arange(len(new))
+        at, ids = np.append(self.at, self.at[-1] + np.cumsum(sizes)), np.concatenate([self.ids, flat])
+        # remembered from here on
+        known = len(self.pieces) + stay
+        self.pieces = pa.concat_arrays([self.pieces, names.slice(0, stay)])
+        self.at, self.ids = at[: known + 1], ids[: at[known]]
+        self.slices += 1
+        self.used = np.append(self.used, np.zeros(stay, np.int64))
+        self.used[number[number < known]] = self.slices
+        if known > MEMORY_PIECES:  # the half that was used last stays
+            rows = pa.array(np.sort(np.argsort(-self.used, kind="stable")[: MEMORY_PIECES // 2]))
+            lists = pa.LargeListArray.from_arrays(pa.array(self.at), pa.array(self.ids)).take(rows)
+            self.pieces, self.used = self.pieces.take(rows), self.used[rows.to_numpy()]
+            self.at, self.ids = lists.offsets.to_numpy() - lists.offsets[0].as_py(), lists.flatten().to_numpy()
+        return number, at, ids
+
+    def _cut(self, texts: pa.Array, raw: np.ndarray, edges: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(starts of the groups, numbers of the texts that are one group)."""
         start, odd = group_starts(raw, edges)
-        held = raw.tobytes() if self.added else b""
+        alone = np.searchsorted(edges, odd, side="right") - 1
         for content in self.added:
-            at = held.find(content.encode())
-            while at >= 0:
-                odd.append(at)
-                at = held.find(content.encode(), at + 1)
-        alone = np.unique(np.searchsorted(edges, odd, side="right") - 1).astype(np.int64)
+            alone = np.concatenate([alone, np.flatnonzero(pc.match_substring(texts, content))])
+        alone = np.unique(alone).astype(np.int64)
         for t in alone:
             start[edges[t] : edges[t + 1]] = False
             start[edges[t]] = True
@@ -198,13 +218,6 @@ def group_starts(raw: np.ndarray, edges: np.ndarray) -> tuple[np.ndarray, list[i
     return start, odd
 
 
-def _as_letters(group: bytes) -> str:
-    text = group.decode("latin-1")
-    if group.isascii() and text.isprintable() and group[-1:] != b" ":
-        return text.replace(" ", BYTE_LETTERS[32])  # other printable ASCII stands for itself
-    return text.translate(BYTE_LETTERS)
-
-
 def _encoder(path: str, end_id: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import gc
