@@ -143,7 +143,7 @@ def scanned(docs: DataFrame, text="text", doc_id="doc_id", base=None, templates=
         .withColumn("_cover", F.col("_votes") / F.col("_grams"))
     )
     long_enough = (F.col("_cover") >= cover) & (F.col("_last") - F.col("_first") < F.col("_grams") + K + drift) & (F.col("_together") == F.col("_musts"))
-    spans = settled(merged.where(F.when(F.col("_base"), F.col("_whole")).otherwise(long_enough)).select(*key, "_tpl", "_base", "_label", "_first", "_last", "_cover", "_grams"), "licence-spans")
+    spans = merged.where(F.when(F.col("_base"), F.col("_whole")).otherwise(long_enough)).select(*key, "_tpl", "_base", "_label", "_first", "_last", "_cover", "_grams")
     counted = spans.where("_base").select(*key, "_base", "_label", "_first", "_last", "_cover").unionByName(_best(spans.where("NOT _base"), key))
     found = counted.groupBy(*key).agg(
         F.sum(F.col("_base").cast("long")).alias("n_base"),
