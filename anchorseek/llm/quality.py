@@ -137,14 +137,16 @@ def thresholds(holdout: DataFrame, grid=None, risk=RISK, level=LEVEL) -> DataFra
     steps = [(i, r, float(cs[i])) for i in range(max(map(len, grid.values()))) for r, cs in grid.items() if i < len(cs)]
     every = F.array(*[F.struct(F.lit(n).alias("step"), F.lit(r).alias("rule"), F.lit(c).alias("cutoff")) for n, (_, r, c) in enumerate(steps)])
     fails = F.array_compact(F.array(*[F.when(F.col(r) > c, F.lit(n)) for n, (_, r, c) in enumerate(steps)]))
-    rows = holdout.select(F.struct("_stratum").alias("_s"), "_good", fails.alias("fails"))
-    sizes = rows.groupBy("_s").agg(F.count_if("_good").alias("n_good"), F.count_if(~F.col("_good")).alias("n_bad")).where("n_good > 0")
+    # documents that fail the same steps are counted before anything is joined
+    rows = holdout.groupBy(F.struct("_stratum").alias("_s"), "_good", fails.alias("fails")).agg(F.count(F.lit(1)).alias("n"))
+    of = lambda good: F.sum(F.when(F.col("_good") == good, F.col("n")).otherwise(0))
+    sizes = rows.groupBy("_s").agg(of(True).alias("n_good"), of(False).alias("n_bad")).where("n_good > 0")
     # the first step that rejects a bad document, were all steps on the path
     firsts = rows.where(~F.col("_good")).groupBy("_s").agg(F.collect_set(F.get("fails", F.lit(0))).alias("firsts"))
     path = F.when(F.col("n_bad") > 0, F.array_sort("firsts")).otherwise(F.array(*[F.lit(n) for n in range(len(steps))]))
     paths = sizes.join(firsts, "_s", "left").select("_s", "n_good", "n_bad", path.alias("path"))
-    met = rows.join(paths.select("_s", "path"), "_s").select("_s", "_good", F.array_min(F.array_intersect("fails", "path")).alias("step"))
-    at = met.where("step IS NOT NULL").groupBy("_s", "step").agg(F.count_if("_good").alias("good"), F.count_if(~F.col("_good")).alias("bad"))
+    met = rows.join(paths.select("_s", "path"), "_s").select("_s", "_good", "n", F.array_min(F.array_intersect("fails", "path")).alias("step"))
+    at = met.where("step IS NOT NULL").groupBy("_s", "step").agg(of(True).alias("good"), of(False).alias("bad"))
     in_order = Window.partitionBy("_s").orderBy("step")
     told = (
         paths.select("_s", "n_good", "n_bad", F.explode("path").alias("step"))
