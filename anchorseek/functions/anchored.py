@@ -17,6 +17,11 @@ def position(x, phi, m: int, L: int, seed: int = 42, family: str = "xxhash64", a
     return anchor + hashing.uniform(x, seed + 2, L, family)
 
 
+def placed(key, x, lsh, m: int, L: int, seed: int = 42, family: str = "xxhash64") -> Column:
+    """Position of a key whose value x any locality-sensitive family (sketch.LshFamily) sketches."""
+    return position(key, lsh.phi(x, seed), m, L, seed, family)
+
+
 def sketch_only(phi, m: int, seed: int = 42, family: str = "xxhash64") -> Column:
     """The pure sketch as a hash: equal sketches collide."""
     return hashing.uniform(phi, seed + 1, m, family)

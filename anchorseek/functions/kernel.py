@@ -17,9 +17,11 @@ from ..plans.spec import PAGE_BITS, PAGE_BYTES, IndexSpec
 from .hashing import in_range, xx64_seeded
 from .sketch import BORROW, EMPTY, MASK, _shuffled
 
-#: Symbols handled at once, and pages that one task keeps before it hands them on.
+#: Symbols handled at once, and bits (8 bytes each) that one task keeps before it hands them on.
 SLICE_SYMBOLS = 1 << 20
-TASK_PAGES = 8192
+TASK_BITS = 6 << 20
+#: Pages with fewer bits than this travel as lists of 2-byte offsets, others as the 4 KB they are.
+DENSE = PAGE_BYTES // 2
 _CODES = np.full(256, 4, np.uint8)
 for _i, _c in enumerate(b"ACGT"):
     _CODES[_c] = _i
@@ -146,18 +148,42 @@ def _slices(batch: pa.RecordBatch, name: str) -> Iterator[pa.RecordBatch]:
 
 
 def page_builder(spec: IndexSpec):
-    """Batches of (filter_id, seq) -> (filter_id, rep, page_no, bits): pages joined by OR inside the task."""
+    """Batches of (filter_id, seq) -> (filter_id, rep, page_no, dense, bits): the distinct bits of a task by page.
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        kept: dict[tuple, np.ndarray] = {}
+    A task keeps sorted distinct bits, so memory and what is shuffled grow with the bits set, not with the
+    range: pages with few bits go out as offsets, full ones as bitmaps.
+    """
+    reps = 1 if spec.layout == "shared" else spec.eta
+    span = -(-spec.range // PAGE_BITS)  # pages of one array
 
-        def hand_on():
-            keys = list(kept)
-            yield pa.RecordBatch.from_arrays(
-                [pa.array([k[0] for k in keys], pa.string()), pa.array([k[1] for k in keys], pa.int32()), pa.array([k[2] for k in keys], pa.int64()), pa.array([np.packbits(kept[k], bitorder="little").tobytes() for k in keys], pa.binary())],
-                names=["filter_id", "rep", "page_no", "bits"],
-            )
-            kept.clear()
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        numbers: dict[str, int] = {}
+        kept: list[np.ndarray] = []
+        size = 0
+
+        def joined() -> np.ndarray:
+            return kept[0] if len(kept) == 1 else np.unique(np.concatenate(kept))
+
+        def hand_on(codes: np.ndarray):
+            page = codes >> 15
+            first = np.flatnonzero(np.concatenate([[True], page[1:] != page[:-1]]))
+            counts = np.diff(np.append(first, len(codes)))
+            offsets = (codes & (PAGE_BITS - 1)).astype("<u2")
+            dense = counts >= DENSE
+            names = np.array(list(numbers), object)
+            key = page[first]
+            array, number = key // span, key % span
+            for at in np.array_split(np.flatnonzero(~dense), max(1, int((~dense).sum()) // 4096)):
+                if len(at):
+                    ends = np.concatenate([[0], np.cumsum(counts[at] * 2)]).astype(np.int32)
+                    picked = offsets if len(at) == len(first) else offsets[np.repeat(first[at] - (np.cumsum(counts[at]) - counts[at]), counts[at]) + np.arange(int(counts[at].sum()))]
+                    yield rows(names[array[at] // reps], array[at] % reps, number[at], False, pa.Array.from_buffers(pa.binary(), len(at), [None, pa.py_buffer(ends), pa.py_buffer(np.ascontiguousarray(picked))]))
+            for at in np.array_split(np.flatnonzero(dense), max(1, int(dense.sum()) // 256)):
+                if len(at):
+                    yield rows(names[array[at] // reps], array[at] % reps, number[at], True, pa.array([bitmap(offsets[first[i] : first[i] + counts[i]]).tobytes() for i in at], pa.binary()))
+
+        def rows(names, rep, number, dense, bits):
+            return pa.RecordBatch.from_arrays([pa.array(names, pa.string()), pa.array(rep.astype(np.int32)), pa.array(number), pa.array(np.full(len(rep), dense)), bits], names=["filter_id", "rep", "page_no", "dense", "bits"])
 
         for batch in batches:
             for part in _slices(batch, "seq"):
@@ -165,27 +191,66 @@ def page_builder(spec: IndexSpec):
                 at, owner = valid_places(codes, offsets, spec.k)
                 if not len(at):
                     continue
-                names, number = np.unique(np.asarray(part.column("filter_id").to_pylist(), object).astype(str), return_inverse=True)
-                of = number[owner]
+                told = part.column("filter_id").dictionary_encode()
+                place = np.array([numbers.setdefault(str(n), len(numbers)) for n in told.dictionary.to_pylist()], np.int64)
+                of = place[told.indices.to_numpy()][owner] * reps
                 for j, pos in enumerate(positions(codes, spec)):
-                    both = np.unique(np.stack([of, pos[at] // PAGE_BITS, pos[at] % PAGE_BITS]), axis=1) if len(names) > 1 else None
-                    f, page, off = both if both is not None else (of * 0, pos[at] // PAGE_BITS, pos[at] % PAGE_BITS)
-                    order = np.lexsort((page, f))
-                    f, page, off = f[order], page[order], off[order]
-                    edge = np.flatnonzero(np.concatenate([[True], (f[1:] != f[:-1]) | (page[1:] != page[:-1])]))
-                    for a, b in zip(edge, [*edge[1:], len(f)]):
-                        key = (names[f[a]], spec.rep_of(j), int(page[a]))
-                        if key not in kept:
-                            kept[key] = np.zeros(PAGE_BITS, bool)
-                        kept[key][off[a:b]] = True
-                if len(kept) >= TASK_PAGES // 8:
-                    yield from hand_on()
+                    kept.append(np.unique(((of + spec.rep_of(j)) * span << 15) + pos[at]))
+                    size += len(kept[-1])
+                    if size > TASK_BITS:
+                        kept = [joined()]
+                        size = len(kept[0])
+                        if size > TASK_BITS // 2:  # hardly any repeats: what is kept would only grow
+                            yield from hand_on(kept[0])
+                            kept, size = [], 0
         if kept:
-            yield from hand_on()
+            yield from hand_on(joined())
 
     return run
 
 
+def bitmap(offsets: np.ndarray) -> np.ndarray:
+    """The page whose bits are set at the offsets."""
+    bits = np.zeros(PAGE_BITS, bool)
+    bits[offsets] = True
+    return np.packbits(bits, bitorder="little")
+
+
+def page_merger(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows of page_builder sorted by (filter_id, rep, page_no) -> one row (filter_id, rep, page_no, bits) a page."""
+    key, page, sparse = None, None, []
+    done: list[tuple] = []
+
+    def close():
+        out = page if page is not None else np.zeros(PAGE_BYTES, np.uint8)
+        if sparse:
+            out = out | bitmap(np.frombuffer(b"".join(sparse), "<u2"))
+        done.append((*key, out.tobytes()))
+
+    def flushed():
+        columns = list(zip(*done))
+        done.clear()
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, (pa.string(), pa.int32(), pa.int64(), pa.binary()))], names=["filter_id", "rep", "page_no", "bits"])
+
+    for batch in batches:
+        for name, rep, number, dense, bits in zip(*(batch.column(c).to_pylist() for c in ("filter_id", "rep", "page_no", "dense", "bits"))):
+            if (name, rep, number) != key:
+                if key is not None:
+                    close()
+                key, page, sparse = (name, rep, number), None, []
+            if dense:
+                more = np.frombuffer(bits, np.uint8)
+                page = more if page is None else page | more
+            else:
+                sparse.append(bits)
+            if len(done) >= 512:
+                yield flushed()
+    if key is not None:
+        close()
+    if done:
+        yield flushed()
+
+
 def probe_builder(spec: IndexSpec, with_grams: bool = False):
     """Batches of (query_id, seq) -> probes grouped by page: (query_id, rep, page_no, offsets[, grams]).
 
@@ -240,4 +305,4 @@ def trace_builder(spec: IndexSpec, keys: list[str]):
     return run
 
 
-__all__ = ["PAGE_BYTES", "page_builder", "packed", "positions", "probe_builder", "sketches", "sliding_min", "symbols", "trace_builder", "tree_min", "valid_places"]
+__all__ = ["PAGE_BYTES", "bitmap", "page_builder", "page_merger", "packed", "positions", "probe_builder", "sketches", "sliding_min", "symbols", "trace_builder", "tree_min", "valid_places"]

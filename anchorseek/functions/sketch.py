@@ -30,6 +30,50 @@ class LshFamily(Protocol):
     def similarity(self, x: Column, y: Column) -> Column: ...
 
 
+class MinwiseSets:
+    """Arrays as sets; similarity is their Jaccard index."""
+
+    def __init__(self, family: str = "xxhash64"):
+        self.family = family
+
+    def phi(self, col, seed: int):
+        return minwise(col, seed, self.family)
+
+    def similarity(self, x, y):
+        both = F.size(F.array_intersect(x, y))
+        union = F.size(F.array_union(x, y))
+        return F.when(union > 0, both / union).otherwise(1.0)
+
+
+class SignProjections:
+    """Vectors by the sides of `bits` random planes; similarity is 1 - angle / pi."""
+
+    def __init__(self, dims: int, bits: int = 12):
+        self.dims, self.bits = dims, bits
+
+    def phi(self, col, seed: int):
+        return sign_projection(col, unit_planes(self.bits, self.dims, seed))
+
+    def similarity(self, x, y):
+        product = F.aggregate(F.zip_with(x, y, lambda a, b: a.cast("double") * b.cast("double")), F.lit(0.0), lambda a, b: a + b)
+        norm = lambda c: F.sqrt(F.aggregate(F.transform(c, lambda a: a.cast("double") * a.cast("double")), F.lit(0.0), lambda a, b: a + b))
+        return 1 - F.acos(F.greatest(F.lit(-1.0), F.least(F.lit(1.0), product / (norm(x) * norm(y))))) / F.pi()
+
+
+class StableProjections:
+    """Vectors by the cell of a random line; similarity falls with the distance in cells."""
+
+    def __init__(self, dims: int, width: float = 0.5):
+        self.dims, self.width = dims, width
+
+    def phi(self, col, seed: int):
+        return stable_projection(col, unit_planes(1, self.dims, seed)[0], (seed % 8) / 8 * self.width, self.width)
+
+    def similarity(self, x, y):
+        gap = F.aggregate(F.zip_with(x, y, lambda a, b: (a.cast("double") - b.cast("double")) * (a.cast("double") - b.cast("double"))), F.lit(0.0), lambda a, b: a + b)
+        return 1 / (1 + F.sqrt(gap) / self.width)
+
+
 def rehash(phi, m: int, seed: int = 0, family: str = "xxhash64"):
     """A sketch in [0, m): unequal values meet with chance 1/m."""
     return hashing.uniform(phi, seed, m, family)
@@ -111,6 +155,8 @@ def _shuffled(b: int, eta: int) -> list[int]:
 
 def sketch_arrays(seq, spec) -> Column:
     """array<array<long>>: for every function the sketches of all grams of a sequence."""
+    if spec.backend == "naive":
+        return _naive_arrays(seq, spec)
     if not (spec.oph and spec.eta > 1):
         per = []
         for j in range(spec.eta):
@@ -132,6 +178,20 @@ def sketch_arrays(seq, spec) -> Column:
     return bind(h, binned)
 
 
+def _naive_arrays(seq, spec) -> Column:
+    """The same from scratch: every gram's subgrams are hashed anew."""
+    grams = F.transform(starts(F.coalesce(F.length(seq), F.lit(0)), spec.k), lambda i: F.substring(seq, i, F.lit(spec.k)))
+    hashes = lambda g, j: F.transform(keys(g, spec.t, spec.packed), lambda s: raw_hash(s, spec.seeds(j)[0], spec.family))
+    if not (spec.oph and spec.eta > 1):
+        return bind(grams, lambda gs: F.array(*[F.transform(gs, lambda g: F.array_min(hashes(g, j))) for j in range(spec.eta)]))
+
+    def one(h):
+        of = lambda b: F.coalesce(F.array_min(F.transform(F.filter(h, lambda v: F.pmod(v, F.lit(spec.eta)) == b), lambda v: _div(v, spec.eta))), F.lit(EMPTY).cast("long"))
+        return bind(F.array(*[of(b) for b in range(spec.eta)]), lambda m: F.array(*_borrowed(list(range(spec.eta)), spec.eta, spec.densify, lambda b: F.get(m, b))))
+
+    return bind(F.transform(grams, lambda g: bind(hashes(g, 0), one)), lambda per: F.array(*[F.transform(per, lambda p: F.get(p, j)) for j in range(spec.eta)]))
+
+
 def windowed_sketch(reads: DataFrame, spec, by=("file_id", "seq_id", "read_no")) -> DataFrame:
     """(by, pos, sketch) of function 0 by a sliding window over exploded subgrams."""
     rows = reads.select(*by, F.posexplode(keys(F.col("seq"), spec.t, spec.packed)).alias("pos", "sub"))

@@ -21,15 +21,16 @@ BROADCAST_PAGES = 8192
 
 
 def build(reads: DataFrame, spec: IndexSpec, filter_id="file_id", combine: str = "pages") -> DataFrame:
-    """Filter pages of reads (filter_id, seq).
+    """Filter pages of reads (filter_id, seq). filter_id: a column's name, or an expression.
 
-    combine: `pages` joins whole pages by OR in each task before the shuffle; `offsets` ships distinct bits,
-    which is less where a task sets few bits a page; `bits` lets the aggregate take one row a bit.
+    combine: `pages` gathers each task's distinct bits by page before the shuffle and ships offsets of pages with
+    few bits and bitmaps of others; `offsets` does so by aggregates alone; `bits` lets the aggregate take one row a bit.
     """
-    rows = reads.select(F.col(filter_id).cast("string").alias("filter_id"), "seq")
+    name = F.col(filter_id) if isinstance(filter_id, str) else filter_id
+    rows = reads.select(name.cast("string").alias("filter_id"), "seq")
     if spec.kernel and combine == "pages":
-        got = rows.mapInArrow(kernel.page_builder(spec), "filter_id string, rep int, page_no bigint, bits binary")
-        return got.groupBy(*KEYS).agg(F.bitmap_or_agg("bits").alias("bits"))
+        got = rows.mapInArrow(kernel.page_builder(spec), "filter_id string, rep int, page_no bigint, dense boolean, bits binary")
+        return got.repartition(*KEYS).sortWithinPartitions(*KEYS).mapInArrow(kernel.page_merger, "filter_id string, rep int, page_no bigint, bits binary")
     bits = anchored.gram_positions(rows, spec, ["filter_id"]).select("filter_id", "rep", "bit")
     if combine == "offsets":
         grouped = bits.groupBy("filter_id", "rep", pages.page_of(F.col("bit")).alias("page_no")).agg(F.collect_set(pages.offset_of(F.col("bit"))).alias("offsets"))
@@ -50,8 +51,13 @@ def group_probes(queries: DataFrame, spec: IndexSpec, with_grams: bool = False)
     return grouped.agg(F.collect_set("o").alias("offsets"))
 
 
+def one_set(index: DataFrame) -> DataFrame:
+    """(rep, page_no, bits) of the filter of all sets of an index: pages joined by OR."""
+    return pages.union(index.select("rep", "page_no", "bits"), keys=("rep", "page_no"))
+
+
 def _with_pages(probes: DataFrame, index: DataFrame, spec: IndexSpec, broadcast: bool | None) -> DataFrame:
-    """Probes with the bits of their page, null where no page is stored. index has one filter."""
+    """Probes with the bits of their page, null where no page is stored. index: one row a (rep, page_no)."""
     side = index.select("rep", "page_no", "bits")
     if broadcast is None:
         broadcast = spec.pages <= BROADCAST_PAGES
@@ -64,10 +70,15 @@ def _answered(queries: DataFrame, hits: DataFrame, spec: IndexSpec) -> DataFrame
     return queries.select("query_id").join(hits, "query_id", "left").select("query_id", F.when(F.col("hit").isNotNull(), F.col("hit")).otherwise(empty).alias("hit"))
 
 
-def contains(index: DataFrame, queries: DataFrame, spec: IndexSpec, broadcast: bool | None = None) -> DataFrame:
-    """(query_id, hit): whether every bit of every gram of the query is set (at least theta of its grams, if below 1)."""
+def contains(index: DataFrame, queries: DataFrame, spec: IndexSpec, broadcast: bool | None = None, single: bool = False) -> DataFrame:
+    """(query_id, hit): whether every bit of every gram of the query is set (at least theta of its grams, if below 1).
+
+    An index of several filters answers for the union of their sets; `single` says that it has one, which spares
+    joining the pages.
+    """
+    index = index if single else one_set(index)
     if spec.theta < 1:
-        found = coverage(index, queries, spec, broadcast)
+        found = coverage(index, queries, spec, broadcast, single=True)
         return _answered(queries, found.where("n_grams > 0").select("query_id", (F.col("coverage") >= spec.theta).alias("hit")), spec)
     if spec.exit == "rounds":
         return _in_rounds(index, queries, spec, broadcast)
@@ -95,7 +106,7 @@ def _in_rounds(index: DataFrame, queries: DataFrame, spec: IndexSpec, broadcast:
 
 
 def _in_kernel(index: DataFrame, queries: DataFrame, spec: IndexSpec) -> DataFrame:
-    """The first zero bit of a page ends the work on that page's probe rows."""
+    """Pages meet their probe rows in one task, which tests whole rows against the page's bits at once."""
     import numpy as np
     import pandas as pd
 
@@ -104,31 +115,25 @@ def _in_kernel(index: DataFrame, queries: DataFrame, spec: IndexSpec) -> DataFra
             return pd.DataFrame({"query_id": pd.Series([], dtype="int64"), "hit": pd.Series([], dtype=bool)})
         if not len(page):
             return pd.DataFrame({"query_id": mine["query_id"], "hit": False})
-        raw, out = page["bits"].iloc[0], []
-        for offsets in mine["offsets"]:
-            hit = True
-            for o in np.asarray(offsets):
-                if not raw[o >> 3] >> (o & 7) & 1:
-                    hit = False
-                    break
-            out.append(hit)
-        return pd.DataFrame({"query_id": mine["query_id"], "hit": out})
+        bits = np.unpackbits(np.frombuffer(page["bits"].iloc[0], np.uint8), bitorder="little").astype(bool)
+        return pd.DataFrame({"query_id": mine["query_id"], "hit": [bool(bits[np.asarray(o)].all()) for o in mine["offsets"]]})
 
     probes = group_probes(queries, spec).groupBy("rep", "page_no")
     tested = probes.cogroup(index.select("rep", "page_no", "bits").groupBy("rep", "page_no")).applyInPandas(probe, "query_id bigint, hit boolean")
     return _answered(queries, tested.groupBy("query_id").agg(F.bool_and("hit").alias("hit")), spec)
 
 
-def probe_grams(index: DataFrame, queries: DataFrame, spec: IndexSpec, broadcast: bool | None = None) -> DataFrame:
-    """(query_id, pos, hit) of every gram of every query."""
+def probe_grams(index: DataFrame, queries: DataFrame, spec: IndexSpec, broadcast: bool | None = None, single: bool = False) -> DataFrame:
+    """(query_id, pos, hit) of every gram of every query, in the union of the index's sets."""
+    index = index if single else one_set(index)
     tested = _with_pages(group_probes(queries, spec, with_grams=True), index, spec, broadcast)
     each = tested.select("query_id", F.explode(F.transform(F.arrays_zip("offsets", "grams"), lambda x: F.struct(x["grams"].alias("pos"), F.coalesce(pages.bit_at(F.col("bits"), x["offsets"]), F.lit(False)).alias("hit")))).alias("g"))
     return each.groupBy("query_id", F.col("g.pos").alias("pos")).agg(F.bool_and("g.hit").alias("hit"))
 
 
-def coverage(index: DataFrame, queries: DataFrame, spec: IndexSpec, broadcast: bool | None = None) -> DataFrame:
+def coverage(index: DataFrame, queries: DataFrame, spec: IndexSpec, broadcast: bool | None = None, single: bool = False) -> DataFrame:
     """(query_id, n_grams, n_hit, coverage) of every query; a query without grams has coverage 1."""
-    found = probe_grams(index, queries, spec, broadcast).groupBy("query_id").agg(F.count(F.lit(1)).alias("n_grams"), F.sum(F.col("hit").cast("long")).alias("n_hit"))
+    found = probe_grams(index, queries, spec, broadcast, single).groupBy("query_id").agg(F.count(F.lit(1)).alias("n_grams"), F.sum(F.col("hit").cast("long")).alias("n_hit"))
     rows = queries.select("query_id").join(found, "query_id", "left").na.fill(0, ["n_grams", "n_hit"])
     return rows.withColumn("coverage", F.when(F.col("n_grams") > 0, F.col("n_hit") / F.col("n_grams")).otherwise(1.0))
 

@@ -252,9 +252,9 @@ def topk_per_group(t):
 
 for _name, _op in (("union", "UNION"), ("union_all", "UNION ALL"), ("intersect", "INTERSECT"), ("intersect_all", "INTERSECT ALL"), ("except", "EXCEPT"), ("except_all", "EXCEPT ALL")):
 
-    @rel(f"SELECT s_nationkey AS k FROM supplier {_op} SELECT c_nationkey FROM customer WHERE c_acctbal > 5000", name=_name)
+    @rel(f"SELECT s_nationkey AS k FROM supplier {_op} SELECT c_nationkey FROM customer WHERE c_custkey <= 8", name=_name)
     def _set(t, name=_name):
-        a, b = t("supplier").select(F.col("s_nationkey").alias("k")), t("customer").where("c_acctbal > 5000").select(F.col("c_nationkey").alias("k"))
+        a, b = t("supplier").select(F.col("s_nationkey").alias("k")), t("customer").where("c_custkey <= 8").select(F.col("c_nationkey").alias("k"))
         return {"union": lambda: a.union(b).distinct(), "union_all": lambda: a.union(b), "intersect": lambda: a.intersect(b), "intersect_all": lambda: a.intersectAll(b), "except": lambda: a.subtract(b), "except_all": lambda: a.exceptAll(b)}[name]()
 
 
@@ -320,7 +320,7 @@ def cosine(t):
 
 sql_twin("scalar_subquery", "SELECT doc_id FROM documents WHERE n_chars > (SELECT avg(n_chars) FROM documents)")
 sql_twin("exists", "SELECT c_custkey FROM customer WHERE EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey AND o_totalprice > 200000)")
-sql_twin("not_in", "SELECT n_name FROM nation WHERE n_nationkey NOT IN (SELECT s_nationkey FROM supplier)")
+sql_twin("not_in", "SELECT n_name FROM nation WHERE n_nationkey NOT IN (SELECT s_nationkey FROM supplier WHERE s_acctbal > 5000)")
 sql_twin("correlated", "SELECT o_orderkey FROM orders o WHERE o_totalprice > (SELECT 1.5 * avg(i.o_totalprice) FROM orders i WHERE i.o_custkey = o.o_custkey)")
 sql_twin("cte", "WITH big AS (SELECT source, sum(n_chars) AS c FROM documents GROUP BY source), top AS (SELECT max(c) AS m FROM big) SELECT source, CAST(c AS BIGINT) AS c FROM big, top WHERE c >= 0.5 * m")
 

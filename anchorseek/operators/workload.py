@@ -9,8 +9,8 @@ from ..functions.hashing import md5_value
 
 
 def query_id(seq_id="seq_id", read_no="read_no"):
-    """A number of a read: its sequence's id and its place there."""
-    return F.col(seq_id) * F.lit(100_000).cast("long") + F.col(read_no)
+    """A number of a read: its sequence's id (below 2^39) and its place there (below 2^24)."""
+    return F.col(seq_id) * F.lit(1 << 24).cast("long") + F.col(read_no)
 
 
 def poison(reads: DataFrame, k: int = 31, max_len: int = 80, seed: int = 1, alphabet: str = "ACGT") -> DataFrame:

@@ -11,14 +11,16 @@ PAGE_BITS = 32_768
 PAGE_BYTES = PAGE_BITS // 8
 
 HASHES = ("uniform", "sketch", "anchored")
-FAMILIES = ("xxhash64", "murmur3", "md5", "modprime", "tabulated")
-BACKENDS = ("naive", "sql", "window", "arrow", "segment_tree")
+FAMILIES = ("xxhash64", "murmur3", "md5", "modprime")
+BACKENDS = ("naive", "sql", "arrow", "segment_tree")
 
 
 @dataclass(frozen=True)
 class IndexSpec:
     """k, t: gram and subgram length; eta functions on m bits; L: range of the offset of anchored hashing.
 
+    Grams are sketched by `minwise`; other families place their keys by `anchored.placed`. backend `naive` hashes all
+    subgrams of each gram anew, `sql` slides minima in expressions, `arrow` in numpy, `segment_tree` over a tree.
     layout `partitioned` gives each function m // eta bits, `shared` gives all functions all bits. align
     `page` snaps anchors to multiples of L, so that a window of L bits never straddles two pages.
     """
@@ -53,7 +55,7 @@ class IndexSpec:
             raise ValueError("1 <= m <= 2^62")
         if not 1 <= self.L <= self.range:
             raise ValueError("1 <= L <= bits of one function")
-        for name, allowed in (("hash", HASHES), ("family", FAMILIES), ("backend", BACKENDS), ("layout", ("shared", "partitioned")), ("align", ("free", "page")), ("exit", ("none", "rounds", "kernel")), ("densify", ("rotate", "random")), ("alphabet", ("dna", "any")), ("empty_query", ("match", "null", "error")), ("lsh", ("minwise", "sign_projection", "stable_projection"))):
+        for name, allowed in (("hash", HASHES), ("family", FAMILIES), ("backend", BACKENDS), ("layout", ("shared", "partitioned")), ("align", ("free", "page")), ("exit", ("none", "rounds", "kernel")), ("densify", ("rotate", "random")), ("alphabet", ("dna", "any")), ("empty_query", ("match", "null", "error")), ("lsh", ("minwise",))):
             if getattr(self, name) not in allowed:
                 raise ValueError(f"{name} is one of {allowed}")
         if not 0 < self.theta <= 1:

@@ -2,20 +2,17 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 from pyspark.sql import functions as F
 
 from ..operators.relational import seconds
+from ..sources import index_store
 from . import event_stream
 
 QUERIES, SQL = {}, {}
 
 
 def _root(spark) -> str:
-    base = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="anchorseek-stream-")
-    return f"{base.rstrip('/')}/anchorseek/{uuid.uuid4().hex}"
+    return index_store.scratch(spark, "stream")
 
 
 def drained(spark, stream, mode: str = "append"):

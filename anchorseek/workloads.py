@@ -92,7 +92,7 @@ def _uniq_keys(spec, frame, keys):
 
 
 READ_STEP = 230 - K + 1
-POISON = f"""rd AS (SELECT doc_id, source, r AS read_no, substr(s, (r * {READ_STEP} + 1)::BIGINT, 230) AS s, (doc_id * 100000 + r)::BIGINT AS query_id
+POISON = f"""rd AS (SELECT doc_id, source, r AS read_no, substr(s, (r * {READ_STEP} + 1)::BIGINT, 230) AS s, (doc_id * 16777216 + r)::BIGINT AS query_id
   FROM (SELECT *, unnest(range(0, greatest(ceil((len(s) - {K - 1}) / {READ_STEP}.0)::BIGINT, 1))) AS r FROM seqs)),
 p1 AS (SELECT *, {K + 1} + ({_h(11, "query_id")} % (least(len(s), 80) - {K})) AS n FROM rd WHERE len(s) > {K}),
 p2 AS (SELECT *, {_h(12, "query_id")} % (len(s) - n + 1) AS a, {_h(13, "query_id")} % n AS poison_pos FROM p1),
@@ -200,6 +200,7 @@ _position_query("anchored_positions", SPEC)
 _position_query("anchored_shared_layout", SPEC.with_(layout="shared"))
 _position_query("anchored_t_eq_k", SPEC.with_(t=K, eta=1))
 _position_query("anchored_L1", SPEC.with_(L=1, eta=1))
+_position_query("anchored_naive", SPEC.with_(eta=1, m=1 << 22, backend="naive"))
 
 
 @register("modprime_positions", "WITH " + GRAMS + """, c AS (SELECT list_reduce(list_transform(string_split(g, ''), lambda x: (instr('ACGT', x) - 1)::BIGINT), lambda a, b: a * 4 + b) AS v FROM grams),
@@ -502,12 +503,40 @@ def fpr_by_affected_grams(spark, d):
     return measures.fpr_by(filters.contains(_index(spark, d, SPEC), q, SPEC), baselines.exact_mt(reads(spark, d), q, K), p, "n_affected")
 
 
-@register("false_negatives", "SELECT NULL::BIGINT AS query_id WHERE false")
+MEMBERS = "WITH " + SEQS + ",\n" + POISON + " SELECT kind, count(*)::BIGINT AS members, 0::BIGINT AS missed FROM pq CROSS JOIN (VALUES {kinds}) v(kind) GROUP BY kind"
+
+
+def _missed(answers, members, kind, keys=("query_id",)):
+    """Members, and those of them that an index does not find."""
+    seen = members.join(answers.where("hit").select(*keys).distinct().withColumn("_f", F.lit(1)), list(keys), "left")
+    return seen.agg(F.count(F.lit(1)).alias("members"), F.sum(F.col("_f").isNull().cast("long")).alias("missed")).select(F.lit(kind).alias("kind"), "members", "missed")
+
+
+@register("false_negatives", MEMBERS.replace("{kinds}", "('uniform'), ('sketch'), ('anchored')"))
 def false_negatives(spark, d):
-    """Unchanged pieces that the filter does not find: none."""
+    """Unchanged pieces, and how many of them each filter does not find: none."""
     twins = workload.clean_twins(poisoned(spark, d)).select("query_id", "seq")
-    got = filters.contains(filters.build(reads(spark, d), FAST), twins, FAST)
-    return measures.missed(got, twins.select("query_id", F.lit(True).alias("hit"))).select("query_id")
+    out = None
+    for h in ("uniform", "sketch", "anchored"):
+        spec = FAST.with_(hash=h)
+        got = _missed(filters.contains(filters.build(reads(spark, d), spec), twins, spec), twins.select("query_id"), h)
+        out = got if out is None else out.unionByName(got)
+    return out
+
+
+@register("facade_members", MEMBERS.replace("{kinds}", "('plain'), ('matrix'), ('grid')"))
+def facade_members(spark, d):
+    """Unchanged pieces asked of the three kinds of index by their short way, over reads of many files."""
+    from .index import Index
+
+    twins = workload.clean_twins(poisoned(spark, d))
+    rows, out = reads(spark, d, "source"), None
+    for kind in ("plain", "matrix", "grid"):
+        answers = Index(FAST.with_(eta=2, m=1 << 22), kind).fit(rows).search(twins.select("query_id", "seq"))
+        members = twins.select("query_id", F.col("origin_file").alias("file_id")) if kind != "plain" else twins.select("query_id")
+        got = _missed(answers, members, kind, ("query_id",) if kind == "plain" else ("query_id", "file_id"))
+        out = got if out is None else out.unionByName(got)
+    return out
 
 
 @register("fpr_msmt", _matrix_sql(WIDE) + ", known AS (SELECT DISTINCT source AS file_id, substr(s, p, 31) AS g FROM (SELECT *, " + _at(K) + " AS p FROM seqs)), dq AS (SELECT DISTINCT query_id, g FROM qg), nd AS (SELECT query_id, count(*) AS n FROM dq GROUP BY 1), hv AS (SELECT query_id, file_id, count(*) AS n FROM dq JOIN known USING (g) GROUP BY ALL), x AS (SELECT m.file_id, m.hit FROM msmt m JOIN nd USING (query_id) LEFT JOIN hv ON hv.query_id = m.query_id AND hv.file_id = m.file_id WHERE coalesce(hv.n, 0) <> nd.n), per AS (SELECT file_id, count(*) AS n, count(*) FILTER (WHERE hit) AS f FROM x GROUP BY 1) SELECT count(*)::BIGINT AS files, avg(f / n) AS macro_fpr, sum(f) / sum(n) AS pooled_fpr FROM per")
