@@ -515,11 +515,11 @@ def _missed(answers, members, kind, keys=("query_id",)):
 @register("false_negatives", MEMBERS.replace("{kinds}", "('uniform'), ('sketch'), ('anchored')"))
 def false_negatives(spark, d):
     """Unchanged pieces, and how many of them each filter does not find: none."""
-    twins = workload.clean_twins(poisoned(spark, d)).select("query_id", "seq")
-    out = None
+    twins = workload.clean_twins(poisoned(spark, d)).select("query_id", "seq").cache()
+    rows, out = reads(spark, d).cache(), None
     for h in ("uniform", "sketch", "anchored"):
         spec = FAST.with_(hash=h)
-        got = _missed(filters.contains(filters.build(reads(spark, d), spec), twins, spec), twins.select("query_id"), h)
+        got = _missed(filters.contains(filters.build(rows, spec), twins, spec), twins.select("query_id"), h)
         out = got if out is None else out.unionByName(got)
     return out
 
@@ -529,8 +529,8 @@ def facade_members(spark, d):
     """Unchanged pieces asked of the three kinds of index by their short way, over reads of many files."""
     from .index import Index
 
-    twins = workload.clean_twins(poisoned(spark, d))
-    rows, out = reads(spark, d, "source"), None
+    twins = workload.clean_twins(poisoned(spark, d)).cache()
+    rows, out = reads(spark, d, "source").cache(), None
     for kind in ("plain", "matrix", "grid"):
         answers = Index(FAST.with_(eta=2, m=1 << 22), kind).fit(rows).search(twins.select("query_id", "seq"))
         members = twins.select("query_id", F.col("origin_file").alias("file_id")) if kind != "plain" else twins.select("query_id")
