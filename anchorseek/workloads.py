@@ -566,7 +566,12 @@ def far_pair_zero_rate(spark, d):
     return measures.far_pair_zero_rate(docs(spark, d, "source"), K, T)
 
 
-@register("similar_gram_counts")
+@register("similar_gram_counts", "WITH " + SEQS + ", " + BENCH_SEQS + f""", sub AS (SELECT doc_id, p AS place, len(s) AS n, substr(s, p, {T}) AS sub FROM (SELECT *, {_at(T)} AS p FROM seqs WHERE len(s) >= {K})),
+qg AS (SELECT item_id, p AS pos, substr(s, p, {K}) AS g FROM (SELECT *, {_at(K)} AS p FROM (SELECT item_id, q AS s FROM bs))),
+qsub AS (SELECT DISTINCT item_id, pos, substr(g, i, {T}) AS sub FROM (SELECT *, unnest(range(1, {K - T + 2})) AS i FROM qg)),
+met AS (SELECT DISTINCT item_id, pos, doc_id, unnest(range(greatest(place - {K - T}, 1), least(place, n - {K - 1}) + 1)) AS at_gram FROM qsub JOIN sub USING (sub)),
+per AS (SELECT item_id, pos, count(*) AS c FROM met GROUP BY ALL)
+SELECT item_id AS query_id, max(c)::BIGINT AS most_similar, {theory.similar_bound(K, T)}::INTEGER AS bound FROM per GROUP BY item_id""")
 def similar_gram_counts(spark, d):
     """Grams that share a subgram with a gram of a benchmark item, at most, beside the bound of the lemma."""
     items = table(spark, d, "benchmark").select(F.col("item_id").alias("query_id"), views.dna(F.col("text")).alias("seq"))
@@ -637,7 +642,7 @@ def cache_miss_rates(spark, d):
     return out.groupBy("hash").agg(F.sum("accesses").alias("accesses"), (F.sum("l1_misses") / F.sum("accesses")).alias("l1_rate"), (F.sum("last_misses") / F.sum("accesses")).alias("last_rate"))
 
 
-@register("assumption_table")
+@register("assumption_table", "WITH " + SEQS + ",\n" + FAR.replace("[1, 2, 3, 4]", "range(1, 17)") + ", z AS (SELECT source AS file_id, count(*)::BIGINT AS pairs, avg((NOT list_has_any(x, y))::INTEGER) AS zero_rate FROM f4 GROUP BY source), n AS (SELECT source AS file_id, sum(len(s))::BIGINT AS symbols FROM seqs GROUP BY source) SELECT file_id, pairs, zero_rate, symbols FROM z JOIN n USING (file_id)")
 def assumption_table(spark, d):
     """Files of different size: share of far pairs without a common subgram."""
     rows = docs(spark, d, "source")
@@ -658,7 +663,10 @@ def bound_table(spark, d):
     return spark.createDataFrame([(m, n, e, theory.fpr_anchored_bound(m, n, e, 4096, 31, 256), theory.fpr_anchored_limit(e, 4096, 256)) for m, n, e in FORMULA_POINTS], "m long, n long, eta int, bound double, limit_ double")
 
 
-@register("hash_cost_table")
+@register("hash_cost_table", f"""WITH p AS (SELECT t, eta, {K} - t + 1 AS w, ceil(log2({K} - t + 1)) AS deep FROM (VALUES (12), (16), (20)) a(t), (VALUES (1), (4)) b(eta)),
+r AS (SELECT t, eta, 'uniform' AS road, eta AS hashes, 0 AS compares FROM p UNION ALL SELECT t, eta, 'naive', eta * (w + 1), eta * (w - 1) FROM p
+UNION ALL SELECT t, eta, 'rolling', 2 * eta, eta * deep FROM p UNION ALL SELECT t, eta, 'one_permutation', eta + 1, eta * deep FROM p)
+SELECT t::INTEGER AS t, eta::INTEGER AS eta, road, hashes::DOUBLE AS hashes, compares::DOUBLE AS compares FROM r""")
 def hash_cost_table(spark, d):
     return spark.createDataFrame([(t, e, road, float(c["hashes"]), float(c["compares"])) for t in (12, 16, 20) for e in (1, 4) for road, c in theory.hash_ops(K, t, e).items()], "t int, eta int, road string, hashes double, compares double")
 
