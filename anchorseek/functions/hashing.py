@@ -51,6 +51,16 @@ def modprime(key, seed: int, m: int):
     return F.pmod(one(seed) * F.lit(1 << 31).cast("long") + one(seed + 7919), F.lit(m).cast("long"))
 
 
+def modprime_longs(values: np.ndarray, seed: int, m: int) -> np.ndarray:
+    """modprime for an array of longs."""
+
+    def one(s):
+        a1, a2, b = modprime_draw(s)
+        return ((a1 * (values & PRIME)) % PRIME + (a2 * (values >> 31)) % PRIME + b) % PRIME
+
+    return one(seed) % m if m <= PRIME else ((one(seed) << 31) + one(seed + 7919)) % m
+
+
 def tabulated(spark, universe, m: int, seed: int):
     """(key, h): a purely random function on a small universe, as a table to join with."""
     r = random.Random(seed)

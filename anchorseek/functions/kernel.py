@@ -14,7 +14,7 @@ import pyarrow as pa
 import pyarrow.compute  # noqa: F401
 
 from ..plans.spec import PAGE_BITS, PAGE_BYTES, IndexSpec
-from .hashing import in_range, xx64_seeded
+from .hashing import in_range, modprime_longs, xx64_seeded
 from .sketch import BORROW, EMPTY, MASK, _shuffled
 
 #: Symbols handled at once, and bits (8 bytes each) that one task keeps before it hands them on.
@@ -81,13 +81,22 @@ def tree_min(h: np.ndarray, width: int) -> np.ndarray:
     return out
 
 
+def _wide(keys: np.ndarray, seed: int, spec: IndexSpec) -> np.ndarray:
+    """A wide non-negative hash, as sketch.raw_hash gives it."""
+    return modprime_longs(keys, seed, 1 << 61) if spec.family == "modprime" else xx64_seeded(keys, seed) & MASK
+
+
+def _placed(keys: np.ndarray, seed: int, m: int, spec: IndexSpec) -> np.ndarray:
+    return modprime_longs(keys, seed, m) if spec.family == "modprime" else in_range(xx64_seeded(keys, seed), m)
+
+
 def sketches(codes: np.ndarray, spec: IndexSpec) -> list[np.ndarray]:
     """Sketch values of every place, for each function."""
     lowest = tree_min if spec.backend == "segment_tree" else sliding_min
     keys = packed(codes, spec.t)
     if not (spec.oph and spec.eta > 1):
-        return [lowest(xx64_seeded(keys, spec.seeds(j)[0]) & MASK, spec.width) for j in range(spec.eta)]
-    h = xx64_seeded(keys, spec.seeds(0)[0]) & MASK
+        return [lowest(_wide(keys, spec.seeds(j)[0], spec), spec.width) for j in range(spec.eta)]
+    h = _wide(keys, spec.seeds(0)[0], spec)
     bins, values = h % spec.eta, h // spec.eta
     minima = [lowest(np.where(bins == b, values, EMPTY), spec.width) for b in range(spec.eta)]
     out = []
@@ -109,14 +118,14 @@ def positions(codes: np.ndarray, spec: IndexSpec) -> list[np.ndarray]:
     for j in range(spec.eta):
         _, s1, s2 = spec.seeds(j)
         if spec.hash == "uniform":
-            out.append(in_range(xx64_seeded(grams, s2), spec.range))
+            out.append(_placed(grams, s2, spec.range, spec))
         elif spec.hash == "sketch":
-            out.append(in_range(xx64_seeded(values[j], s1), spec.range))
+            out.append(_placed(values[j], s1, spec.range, spec))
         else:
-            anchor = in_range(xx64_seeded(values[j], s1), spec.anchors)
+            anchor = _placed(values[j], s1, spec.anchors, spec)
             if spec.align == "page":
                 anchor = anchor // spec.L * spec.L
-            out.append(anchor + in_range(xx64_seeded(grams, s2), spec.L))
+            out.append(anchor + _placed(grams, s2, spec.L, spec))
     return out
 
 

@@ -236,17 +236,51 @@ def rolling_sketch_doubling(spark, d):
     return _sketch_summary(rows)
 
 
+#: The default road, Arrow kernel and one-permutation bins, with hashes that any SQL engine computes.
+KERNEL = FAST.with_(family="modprime")
+
+
+def _mod(key, seed, m):
+    """modprime in SQL."""
+
+    def one(s):
+        a1, a2, b = hashing.modprime_draw(s)
+        return f"(({a1}::BIGINT * (({key}) & 2147483647)) % 2147483647 + ({a2}::BIGINT * (({key}) >> 31)) % 2147483647 + {b}::BIGINT) % 2147483647"
+
+    return f"(({one(seed)}) % {m})" if m <= hashing.PRIME else f"((({one(seed)}) * 2147483648 + ({one(seed + 7919)})) % {m})"
+
+
+def _bins_sql(spec):
+    """CTEs that end in places(rep, bit) under one-permutation sketches of modprime hashes."""
+    number = lambda text: f"list_reduce(list_transform(string_split({text}, ''), lambda x: (instr('ACGT', x) - 1)::BIGINT), lambda a, b: a * 4 + b)"
+    lowest = ", ".join(f"min(CASE WHEN h % {spec.eta} = {b} THEN h // {spec.eta} END) OVER w AS m{b}" for b in range(spec.eta))
+    filled = ", ".join("coalesce(" + ", ".join(f"m{(b + s) % spec.eta} + {s * sketch.BORROW}" for s in range(spec.eta)) + f") AS s{b}" for b in range(spec.eta))
+    arms = " UNION ALL ".join(f"SELECT {spec.rep_of(j)} AS rep, {_mod(f's{j}', spec.seeds(j)[1], spec.anchors)} + {_mod('g', spec.seeds(j)[2], spec.L)} AS bit FROM sk JOIN gr USING (doc_id, i)" for j in range(spec.eta))
+    return f"""sub AS (SELECT doc_id, p AS i, {number(f"substr(s, p, {spec.t})")} AS v FROM (SELECT *, {_at(spec.t)} AS p FROM seqs)),
+hs AS (SELECT doc_id, i, {_mod('v', spec.seeds(0)[0], 1 << 61)} AS h FROM sub),
+mn AS (SELECT doc_id, i, count(*) OVER w AS c, {lowest} FROM hs WINDOW w AS (PARTITION BY doc_id ORDER BY i ROWS BETWEEN CURRENT ROW AND {spec.width - 1} FOLLOWING)),
+sk AS (SELECT doc_id, i, {filled} FROM mn WHERE c = {spec.width}),
+gr AS (SELECT doc_id, p AS i, {number(f"substr(s, p, {spec.k})")} AS g FROM (SELECT *, {_at(spec.k)} AS p FROM seqs)),
+places AS ({arms})"""
+
+
 def _kernel_check(backend):
     def query(spark, d):
-        spec = FAST.with_(backend=backend)
-        return _summary(anchored.gram_positions(reads(spark, d), spec))
+        return _summary(anchored.gram_positions(reads(spark, d), KERNEL.with_(backend=backend)))
 
     return query
 
 
-register("rolling_sketch_kernel")(_kernel_check("arrow"))
-register("rolling_sketch_segment_tree")(_kernel_check("segment_tree"))
-register("oph_sketch_positions")(_kernel_check("sql"))
+BINS_SQL = "WITH " + SEQS + ",\n" + _bins_sql(KERNEL) + " " + SUMMARY
+register("rolling_sketch_kernel", BINS_SQL)(_kernel_check("arrow"))
+register("rolling_sketch_segment_tree", BINS_SQL)(_kernel_check("segment_tree"))
+register("oph_sketch_positions", BINS_SQL)(_kernel_check("sql"))
+
+
+@register("kernel_filter_pages", "WITH " + SEQS + ",\n" + _bins_sql(KERNEL) + " SELECT rep, bit // 32768 AS page_no, count(DISTINCT bit)::BIGINT AS n_bits FROM places GROUP BY ALL")
+def kernel_filter_pages(spark, d):
+    """Pages that the kernel builds by density, and the bits set in each."""
+    return filters.build(reads(spark, d), KERNEL).select("rep", "page_no", F.bitmap_count("bits").alias("n_bits"))
 
 
 @register("minwise_exact_perm", r"""WITH t AS (SELECT conv_id, turn, list_distinct(list_filter(regexp_split_to_array(lower(text), '\s+'), lambda x: x <> '')) AS w FROM conversations),
