@@ -156,6 +156,14 @@ def _slices(batch: pa.RecordBatch, name: str) -> Iterator[pa.RecordBatch]:
         yield batch.slice(first)
 
 
+def distinct(values: np.ndarray) -> np.ndarray:
+    """Sorted distinct values, by sorting: numpy's own way goes through a hash table, which is many times slower."""
+    values = np.sort(values)
+    first = np.ones(len(values), bool)
+    np.not_equal(values[1:], values[:-1], out=first[1:])
+    return values[first]
+
+
 def page_builder(spec: IndexSpec):
     """Batches of (filter_id, seq) -> (filter_id, rep, page_no, dense, bits): the distinct bits of a task by page.
 
@@ -171,7 +179,7 @@ def page_builder(spec: IndexSpec):
         size = 0
 
         def joined() -> np.ndarray:
-            return kept[0] if len(kept) == 1 else np.unique(np.concatenate(kept))
+            return kept[0] if len(kept) == 1 else distinct(np.concatenate(kept))
 
         def hand_on(codes: np.ndarray):
             page = codes >> 15
@@ -204,7 +212,7 @@ def page_builder(spec: IndexSpec):
                 place = np.array([numbers.setdefault(str(n), len(numbers)) for n in told.dictionary.to_pylist()], np.int64)
                 of = place[told.indices.to_numpy()][owner] * reps
                 for j, pos in enumerate(positions(codes, spec)):
-                    kept.append(np.unique(((of + spec.rep_of(j)) * span << 15) + pos[at]))
+                    kept.append(distinct(((of + spec.rep_of(j)) * span << 15) + pos[at]))
                     size += len(kept[-1])
                     if size > TASK_BITS:
                         kept = [joined()]
@@ -314,4 +322,4 @@ def trace_builder(spec: IndexSpec, keys: list[str]):
     return run
 
 
-__all__ = ["PAGE_BYTES", "bitmap", "page_builder", "page_merger", "packed", "positions", "probe_builder", "sketches", "sliding_min", "symbols", "trace_builder", "tree_min", "valid_places"]
+__all__ = ["PAGE_BYTES", "bitmap", "distinct", "page_builder", "page_merger", "packed", "positions", "probe_builder", "sketches", "sliding_min", "symbols", "trace_builder", "tree_min", "valid_places"]

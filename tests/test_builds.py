@@ -102,3 +102,9 @@ def test_parameters_without_effect_are_refused():
     for bad in ({"family": "tabulated"}, {"backend": "window"}, {"lsh": "sign_projection"}):
         with pytest.raises(ValueError):
             IndexSpec(**bad)
+
+
+@pytest.mark.parametrize("n", [0, 1, 2, 1000])
+def test_distinct_values_are_sorted(n):
+    x = np.random.default_rng(n).integers(0, 300, n)
+    assert kernel.distinct(x).tolist() == sorted(set(x.tolist()))
