@@ -25,6 +25,15 @@ def exact_msmt(reads: DataFrame, queries: DataFrame, k: int) -> DataFrame:
     return grid.join(have, ["query_id", "file_id"], "left").select("query_id", "file_id", (F.coalesce("have", F.lit(0)) == F.coalesce("need", F.lit(0))).alias("hit"))
 
 
+def exact_pairs(reads: DataFrame, queries: DataFrame, k: int) -> DataFrame:
+    """(query_id, file_id) of the files that hold all grams of a query, by exact grams; queries without grams are absent."""
+    wanted = grams.gram_set(queries, ["query_id"], "seq", k)
+    known = grams.gram_set(reads, ["file_id"], "seq", k)
+    need = wanted.groupBy("query_id").agg(F.count(F.lit(1)).alias("need"))
+    have = wanted.join(known, "gram").groupBy("query_id", "file_id").agg(F.count(F.lit(1)).alias("have"))
+    return have.join(need, "query_id").where("have = need").select("query_id", "file_id")
+
+
 def exact_grams(reads: DataFrame, queries: DataFrame, k: int) -> DataFrame:
     """(query_id, pos, is_member) of every gram of every query."""
     known = grams.gram_set(reads, [], "seq", k).withColumn("_known", F.lit(True))

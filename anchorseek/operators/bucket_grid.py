@@ -11,7 +11,7 @@ import math
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions import hashing, views
+from ..functions import grams, hashing, views
 from ..plans.spec import IndexSpec
 from . import file_matrix, filters
 
@@ -52,14 +52,22 @@ def bucket_hits(index: BucketGrid, queries: DataFrame) -> DataFrame:
 
 def search(index: BucketGrid, queries: DataFrame) -> DataFrame:
     """(query_id, file_id, hit) for every query and file."""
+    return file_matrix.answers(queries, index.files, file_hits(index, queries), index.spec)
+
+
+def file_hits(index: BucketGrid, queries: DataFrame) -> DataFrame:
+    """(query_id, file_id) of the files whose buckets hold the query in every repetition."""
     met = bucket_hits(index, queries).join(F.broadcast(index.buckets), ["grid_rep", "bucket"])
-    found = met.groupBy("query_id", "file_id").agg(F.countDistinct("grid_rep").alias("n")).where(F.col("n") == index.R).select("query_id", "file_id")
-    return file_matrix.answers(queries, index.files, found, index.spec)
+    return met.groupBy("query_id", "file_id").agg(F.countDistinct("grid_rep").alias("n")).where(F.col("n") == index.R).select("query_id", "file_id")
 
 
 def refine(candidates: DataFrame, queries: DataFrame, reads: DataFrame, k: int) -> DataFrame:
-    """Candidates (query_id, file_id, hit) with hits checked on exact grams."""
-    from . import baselines
-
-    exact = baselines.exact_msmt(reads, queries, k).withColumnRenamed("hit", "_exact")
-    return candidates.join(exact, ["query_id", "file_id"], "left").select("query_id", "file_id", (F.col("hit") & F.coalesce("_exact", F.lit(False))).alias("hit"))
+    """Candidates (query_id, file_id, hit) with hits checked on exact grams.
+
+    Only pairs that hit are looked at: their grams against the grams of their files. A null hit stays null.
+    """
+    pairs = candidates.where("hit").select("query_id", "file_id")
+    wanted = grams.gram_set(queries.join(pairs.select("query_id").distinct(), "query_id", "left_semi"), ["query_id"], "seq", k).join(pairs, "query_id")
+    known = grams.gram_set(reads.join(pairs.select("file_id").distinct(), "file_id", "left_semi"), ["file_id"], "seq", k)
+    absent = wanted.join(known, ["file_id", "gram"], "left_anti").select("query_id", "file_id").distinct().withColumn("_absent", F.lit(True))
+    return candidates.join(absent, ["query_id", "file_id"], "left").select("query_id", "file_id", (F.col("hit") & F.col("_absent").isNull()).alias("hit"))

@@ -44,6 +44,11 @@ def _probe_bits(queries: DataFrame, spec: IndexSpec) -> DataFrame:
 
 def search(index: FileMatrix, queries: DataFrame) -> DataFrame:
     """(query_id, file_id, hit) for every query and file. A query without grams matches, or as the spec says."""
+    return answers(queries, index.files, hits(index, queries), index.spec)
+
+
+def hits(index: FileMatrix, queries: DataFrame) -> DataFrame:
+    """(query_id, file_id) of the files that hold the query; queries without grams are absent."""
     spec = index.spec
     if index.layout == "files":
         found = filters.whole_hits(index.rows, queries, spec).withColumnRenamed("filter_id", "file_id")
@@ -58,7 +63,7 @@ def search(index: FileMatrix, queries: DataFrame) -> DataFrame:
         met = probes.join(index.rows, ["rep", "bit"]).groupBy("query_id", "file_block").agg(F.bitmap_and_agg("files").alias("files"), F.count(F.lit(1)).alias("have"))
         held = met.join(need, "query_id").where("have = need")  # a missing row is a zero bitmap
         found = held.join(F.broadcast(index.files.withColumn("file_block", F.shiftright("file_ord", 15))), "file_block").where(pages.bit_at(F.col("files"), F.col("file_ord").bitwiseAND(F.lit(32767)).cast("int"))).select("query_id", "file_id")
-    return answers(queries, index.files, found, spec)
+    return found
 
 
 def answers(queries: DataFrame, files: DataFrame, found: DataFrame, spec: IndexSpec) -> DataFrame:

@@ -2,15 +2,15 @@
 
 from __future__ import annotations
 
-from . import workloads
+from . import experiments, workloads
 from .operators import relational
 from .streaming import queries as streams
 from .workloads import flagship  # noqa: F401
 
 
 def queries():
-    return {**workloads.QUERIES, **relational.QUERIES, **streams.QUERIES}
+    return {**workloads.QUERIES, **experiments.QUERIES, **relational.QUERIES, **streams.QUERIES}
 
 
 def oracle_sql():
-    return {**workloads.SQL, **relational.SQL, **streams.SQL}
+    return {**workloads.SQL, **experiments.SQL, **relational.SQL, **streams.SQL}
