@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions import grams
+from ..functions import grams, native
 
 
 def exact_mt(reads: DataFrame, queries: DataFrame, k: int) -> DataFrame:
@@ -47,10 +47,24 @@ def substring_scan(seqs: DataFrame, queries: DataFrame) -> DataFrame:
     return queries.select("query_id").join(met, "query_id", "left").select("query_id", F.col("_h").isNotNull().alias("hit"))
 
 
-def native_bloom(reads: DataFrame, queries: DataFrame, k: int) -> DataFrame:
-    """The exact answer by a join that Spark may prefilter with its own Bloom filter (a runtime filter)."""
+def native_filter(reads: DataFrame, k: int, items: int = 4_000_000, bits: int = 1 << 26) -> DataFrame:
+    """Spark's own Bloom filter of all grams of the set: one row, of `bits` bits at most, sized for `items` grams."""
+    return native.bloom_filter(grams.explode_grams(reads.select("seq"), "seq", k), F.xxhash64("gram"), items, bits)
+
+
+def native_mt(index: DataFrame, queries: DataFrame, k: int) -> DataFrame:
+    """(query_id, hit): whether native_filter's filter may hold all grams of the query. Without grams: true."""
+    wanted = grams.explode_grams(queries.select("query_id", "seq"), "seq", k)
+    may = F.coalesce(native.might_contain(index, F.xxhash64("gram")), F.lit(False))
+    answers = wanted.groupBy("query_id").agg(F.bool_and(may).alias("_all"))
+    return queries.select("query_id").join(answers, "query_id", "left").select("query_id", F.coalesce("_all", F.lit(True)).alias("hit"))
+
+
+def native_bloom(reads: DataFrame, queries: DataFrame, k: int, items: int = 4_000_000, bits: int = 1 << 26) -> DataFrame:
+    """The exact answer: grams that Spark's own Bloom filter does not hold never reach the join that decides."""
     known = grams.gram_set(reads, [], "seq", k)
     wanted = grams.gram_set(queries, ["query_id"], "seq", k)
     need = wanted.groupBy("query_id").agg(F.count(F.lit(1)).alias("need"))
-    have = wanted.join(known, "gram", "left_semi").groupBy("query_id").agg(F.count(F.lit(1)).alias("have"))
+    likely = wanted.where(native.might_contain(native_filter(reads, k, items, bits), F.xxhash64("gram")))
+    have = likely.join(known, "gram", "left_semi").groupBy("query_id").agg(F.count(F.lit(1)).alias("have"))
     return queries.select("query_id").join(need, "query_id", "left").join(have, "query_id", "left").select("query_id", (F.coalesce("need", F.lit(0)) == F.coalesce("have", F.lit(0))).alias("hit"))

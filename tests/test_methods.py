@@ -268,3 +268,18 @@ def test_plans(reads, asked):
     sql = spec.with_(backend="sql", family="md5", eta=1)
     text = anchored.gram_positions(reads, sql)._jdf.queryExecution().optimizedPlan().toString()
     assert text.count("md5(") == 3  # subgrams, anchors, offsets: each written once, kept once
+
+
+def test_native_filter(spark, reads, asked):
+    index = baselines.native_filter(reads, 31, 1_000_000, 1 << 24)
+    exact = {r.query_id: r.hit for r in baselines.exact_mt(reads, asked, 31).collect()}
+    got = {r.query_id: r.hit for r in baselines.native_mt(index, asked, 31).collect()}
+    assert got.keys() == exact.keys() and all(got[q] for q, hit in exact.items() if hit)
+    joined = baselines.native_bloom(reads, asked, 31, 1_000_000, 1 << 24)
+    assert {r.query_id: r.hit for r in joined.collect()} == exact
+    plan = joined._jdf.queryExecution().executedPlan().toString()
+    assert "bloom_filter_agg" in plan and "might_contain" in plan
+    none = baselines.native_mt(baselines.native_filter(reads.limit(0), 31), asked.limit(3), 31)
+    assert not any(r.hit for r in none.collect())
+    with pytest.raises(ValueError):
+        baselines.native_filter(reads, 31, bits=1 << 27)
