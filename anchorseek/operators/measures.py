@@ -72,7 +72,8 @@ def similar_count(reads: DataFrame, queries: DataFrame, k: int, t: int) -> DataF
     A place of a subgram in the data lies in up to k - t + 1 grams; places are counted once per query gram
     through the starts of grams that hold them.
     """
-    data = reads.select("seq_id", "read_no", F.length("seq").alias("n"), F.posexplode(grams.gram_array(F.col("seq"), t)).alias("at", "sub"))
+    long_enough = reads.where(F.length("seq") >= k)  # a shorter one has no gram, and sequence() below would count down
+    data = long_enough.select("seq_id", "read_no", F.length("seq").alias("n"), F.posexplode(grams.gram_array(F.col("seq"), t)).alias("at", "sub"))
     q = grams.explode_grams(queries.select("query_id", "seq"), "seq", k).select("query_id", "pos", F.explode(F.array_distinct(grams.gram_array(F.col("gram"), t))).alias("sub"))
     met = q.join(data, "sub").select("query_id", "pos", "seq_id", "read_no", F.explode(F.sequence(F.greatest(F.col("at") - (k - t), F.lit(0)), F.least(F.col("at"), F.col("n") - k))).alias("gram_at"))
     per = met.distinct().groupBy("query_id", "pos").agg(F.count(F.lit(1)).alias("c"))
