@@ -8,7 +8,7 @@ import time
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions import grams
+from ..functions import grams, kernel
 from ..plans.spec import PAGE_BITS
 
 
@@ -95,6 +95,14 @@ def locality(trace: DataFrame, by=("query_id",), bits: int = PAGE_BITS) -> DataF
     return total.withColumn("blocks_per_access", F.col("distinct_blocks") / F.col("accesses")).withColumn("changes_per_access", F.col("changes") / F.col("accesses"))
 
 
+def probe_locality(queries: DataFrame, spec, bits: int = PAGE_BITS) -> DataFrame:
+    """locality() of the probes of queries (seq), a query a row, counted where the positions are made: no access is
+    shuffled. Needs the Arrow kernel."""
+    got = queries.select("seq").mapInArrow(kernel.locality_builder(spec, bits), "accesses bigint, distinct_blocks bigint, changes bigint")
+    total = got.agg(*[F.sum(c).alias(c) for c in got.columns])
+    return total.withColumn("blocks_per_access", F.col("distinct_blocks") / F.col("accesses")).withColumn("changes_per_access", F.col("changes") / F.col("accesses"))
+
+
 def index_size(index: DataFrame, m: int, filters: int) -> DataFrame:
     """(stored_pages, stored_bytes, nominal_bytes) of filter pages."""
     return index.agg(F.count(F.lit(1)).alias("stored_pages"), F.coalesce(F.sum(F.length("bits")), F.lit(0)).cast("long").alias("stored_bytes")).withColumn("nominal_bytes", F.lit(m * filters // 8).cast("long"))

@@ -6,33 +6,48 @@ from collections import OrderedDict
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..functions import kernel
+
 LINE_BITS = 512
 
 
-def simulate(lines, sizes: tuple[int, ...], ways: int | None = None) -> list[int]:
-    """Misses of each level for a sequence of line numbers; a level is asked when the one above missed.
+class Cache:
+    """Levels under LRU; a level is asked when the one above missed.
 
     sizes: lines each level holds. ways: lines of a set, the whole level if None.
     """
-    levels = []
-    for size in sizes:
-        per = size if ways is None else min(ways, size)
-        levels.append(([OrderedDict() for _ in range(max(1, size // per))], per))
-    misses = [0] * len(sizes)
-    for line in lines:
-        for i, (sets, per) in enumerate(levels):
-            held = sets[line % len(sets)]
-            if line in held:
-                held.move_to_end(line)
-                break
-            misses[i] += 1
-            held[line] = None
-            if len(held) > per:
-                held.popitem(last=False)
-    return misses
+
+    def __init__(self, sizes: tuple[int, ...], ways: int | None = None):
+        self.levels = []
+        for size in sizes:
+            per = size if ways is None else min(ways, size)
+            self.levels.append(([OrderedDict() for _ in range(max(1, size // per))], per))
+        self.misses = [0] * len(sizes)
+
+    def run(self, lines) -> None:
+        """Access a sequence of line numbers, after what was accessed before."""
+        misses, levels = self.misses, self.levels
+        for line in lines:
+            for i, (sets, per) in enumerate(levels):
+                held = sets[line % len(sets)]
+                if line in held:
+                    held.move_to_end(line)
+                    break
+                misses[i] += 1
+                held[line] = None
+                if len(held) > per:
+                    held.popitem(last=False)
+
+
+def simulate(lines, sizes: tuple[int, ...], ways: int | None = None) -> list[int]:
+    """Misses of each level for a sequence of line numbers."""
+    cache = Cache(sizes, ways)
+    cache.run(lines)
+    return cache.misses
 
 
 def miss_rates(trace: DataFrame, by: list[str], order: list[str], sizes: tuple[int, int], line_bits: int = LINE_BITS, ways: int | None = None) -> DataFrame:
@@ -51,3 +66,40 @@ def miss_rates(trace: DataFrame, by: list[str], order: list[str], sizes: tuple[i
 
     got = trace.select(*dict.fromkeys([*by, *order, "rep", "bit"])).groupBy(*by).applyInPandas(run, f"{kinds}, accesses bigint, l1_misses bigint, last_misses bigint")
     return got.withColumn("l1_rate", F.col("l1_misses") / F.col("accesses")).withColumn("last_rate", F.col("last_misses") / F.col("accesses"))
+
+
+def gram_miss_rates(seqs: DataFrame, spec, by: str, order: list[str], sizes: tuple[int, int], line_bits: int = LINE_BITS, ways: int | None = None) -> DataFrame:
+    """miss_rates() of the accesses of all grams of sequences (by, order, seq), in the order of the sequences, grams and
+    functions. What is shuffled and sorted are the sequences; their accesses are made and simulated slice by slice,
+    so neither disk nor memory holds a trace. Needs the Arrow kernel.
+    """
+
+    def run(batches):
+        name, cache, accesses = None, None, 0
+
+        def row():
+            return pa.RecordBatch.from_pydict({by: [name], "accesses": [accesses], "l1_misses": cache.misses[:1], "last_misses": cache.misses[1:]}, schema=schema)
+
+        schema = pa.schema([(by, pa.string()), ("accesses", pa.int64()), ("l1_misses", pa.int64()), ("last_misses", pa.int64())])
+        for batch in batches:
+            for part in kernel._slices(batch, "seq"):
+                codes, offsets = kernel.symbols(part.column("seq"))
+                at, owner = kernel.valid_places(codes, offsets, spec.k)
+                if not len(at):
+                    continue
+                lines = np.stack([(np.int64(spec.rep_of(j)) << 52) | (p[at] // line_bits) for j, p in enumerate(kernel.positions(codes, spec))], axis=1)
+                names = part.column(by).to_pylist()
+                edge = np.flatnonzero(np.concatenate([[True], owner[1:] != owner[:-1]]))
+                for lo, hi in zip(edge, np.append(edge[1:], len(owner))):
+                    if cache is None or names[owner[lo]] != name:
+                        if cache is not None:
+                            yield row()
+                        name, cache, accesses = names[owner[lo]], Cache(sizes, ways), 0
+                    cache.run(lines[lo:hi].ravel().tolist())
+                    accesses += int(hi - lo) * spec.eta
+        if cache is not None:
+            yield row()
+
+    sorted_ = seqs.select(F.col(by).cast("string").alias(by), *order, "seq").repartition(by).sortWithinPartitions(by, *order)
+    got = sorted_.mapInArrow(run, f"`{by}` string, accesses bigint, l1_misses bigint, last_misses bigint")
+    return got.withColumn("l1_rate", F.col("l1_misses") / F.col("accesses")).withColumn("last_rate", F.col("last_misses") / F.col("accesses"))
