@@ -42,8 +42,14 @@ def missed(answers: DataFrame, truth: DataFrame, keys=("query_id",)) -> DataFram
     return truth.where("hit").join(answers.where("hit"), list(keys), "left_anti")
 
 
-def jaccard_by_gap(reads: DataFrame, k: int, t: int, gaps=(1, 2, 4, 8, 15, 16, 31)) -> DataFrame:
-    """(gap, pairs, mean_jaccard): similarity of the subgram sets of grams a gap apart in a read."""
+def jaccard_by_gap(reads: DataFrame, k: int, t: int, gaps=(1, 2, 4, 8, 15, 16, 31), alphabet: str = "any") -> DataFrame:
+    """(gap, pairs, mean_jaccard): similarity of the subgram sets of grams a gap apart in a read.
+
+    alphabet `dna` says that all reads are over ACGT; with k up to 31 they then go through the Arrow kernel.
+    """
+    if alphabet == "dna" and k <= 31:
+        got = reads.select("seq").mapInArrow(kernel.jaccard_builder(k, t, tuple(gaps)), "gap int, pairs bigint, total double")
+        return got.groupBy("gap").agg(F.sum("pairs").alias("pairs"), (F.sum("total") / F.sum("pairs")).alias("mean_jaccard"))
     lists = reads.select(F.transform(grams.gram_array(F.col("seq"), k), lambda g: F.array_distinct(grams.gram_array(g, t))).alias("s"))
     pairs = lists.select("s", F.explode(F.array(*[F.lit(g) for g in gaps])).alias("gap")).where(F.size("s") > F.col("gap"))
     each = pairs.select("gap", F.explode(F.transform(F.slice("s", F.lit(1), F.size("s") - F.col("gap")), lambda x, i: grams.jaccard(x, F.get("s", i + F.col("gap"))))).alias("j"))
