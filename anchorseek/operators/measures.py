@@ -8,7 +8,7 @@ import time
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions import grams, kernel
+from ..functions import grams, kernel, runs
 from ..plans.spec import PAGE_BITS
 
 
@@ -122,6 +122,17 @@ def collision_rate(df: DataFrame, key: str, value) -> DataFrame:
     return got.select("keys", pairs.alias("pairs"), "colliding", (F.col("colliding") / pairs).alias("rate"))
 
 
+def gram_collision_rate(reads: DataFrame, k: int, seed: int, m: int, parts: int = 512) -> DataFrame:
+    """collision_rate of the distinct grams of reads (seq) over ACGT, k up to 31, under md5 values in [0, m): grams travel
+    in runs, and what leaves a task is a counter a value, whatever the number of its grams."""
+    known = reads.select(F.lit(0).cast("long").alias("id"), "seq").mapInArrow(runs.builder(k, 1, parts), runs.SCHEMA)
+    counts = known.repartition("part").sortWithinPartitions("part").mapInArrow(runs.counter(k, seed, m), runs.COUNTS)
+    blocks = counts.repartition("block").sortWithinPartitions("block").mapInArrow(runs.collisions, "keys bigint, colliding bigint")
+    got = blocks.agg(F.sum("keys").alias("keys"), F.sum("colliding").alias("colliding"))
+    pairs = F.expr("keys * (keys - 1) div 2")
+    return got.select("keys", pairs.alias("pairs"), "colliding", (F.col("colliding") / pairs).alias("rate"))
+
+
 def sensitivity(pairs: DataFrame, distance, same, bands: int = 10, top: float = 2.0) -> DataFrame:
     """(band, pairs, collision): share of pairs that collide, by band of distance."""
     band = F.least(F.floor(distance / F.lit(top / bands)), F.lit(bands - 1)).cast("int")
