@@ -127,10 +127,8 @@ def hash_time_t(spark, d):
 @register("index_miss_rates")
 def index_miss_rates(spark, d):
     """Simulated two-level cache over each file's insertions, for the three hashes: 32 KB and 512 KB, 2^25 bits."""
-    rows, out = reads(spark, d, "source"), None
-    for h in ("sketch", "uniform", "anchored"):
-        got = cachesim.gram_miss_rates(rows, FAST.with_(hash=h, m=1 << 25), "file_id", ["seq_id", "read_no"], (512, 8192)).withColumn("hash", F.lit(h))
-        out = got if out is None else out.unionByName(got)
+    specs = {h: FAST.with_(hash=h, m=1 << 25) for h in ("sketch", "uniform", "anchored")}
+    out = cachesim.gram_miss_rates(reads(spark, d, "source"), specs, "file_id", ["seq_id", "read_no"], (512, 8192)).withColumnRenamed("spec", "hash")
     return out.groupBy("hash").agg(F.sum("accesses").alias("accesses"), (F.sum("l1_misses") / F.sum("accesses")).alias("l1_rate"), (F.sum("last_misses") / F.sum("accesses")).alias("last_rate"))
 
 
