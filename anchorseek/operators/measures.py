@@ -18,6 +18,14 @@ def fpr_mt(answers: DataFrame, truth: DataFrame) -> DataFrame:
     return rows.agg(F.count(F.lit(1)).alias("negatives"), F.coalesce(F.sum(F.col("_a").cast("long")), F.lit(0)).alias("false_hits"), F.avg(F.col("_a").cast("double")).alias("fpr"))
 
 
+def fpr_mt_each(answers: DataFrame, truth: DataFrame, n: int) -> DataFrame:
+    """(number, negatives, false_hits, fpr): fpr_mt for each of the n answers that a row (query_id, hits) has."""
+    rows = answers.select("query_id", "hits").join(truth.where(~F.col("hit")).select("query_id"), "query_id")
+    hit = [F.element_at("hits", i + 1) for i in range(n)]
+    got = rows.agg(F.count(F.lit(1)).alias("negatives"), *[F.coalesce(F.sum(h.cast("long")), F.lit(0)).alias(f"f{i}") for i, h in enumerate(hit)], *[F.avg(h.cast("double")).alias(f"r{i}") for i, h in enumerate(hit)])
+    return got.select("negatives", F.inline(F.array(*[F.struct(F.lit(i).alias("number"), F.col(f"f{i}").alias("false_hits"), F.col(f"r{i}").alias("fpr")) for i in range(n)]))).select("number", "negatives", "false_hits", "fpr")
+
+
 def fpr_by(answers: DataFrame, truth: DataFrame, queries: DataFrame, group: str) -> DataFrame:
     """fpr_mt for each value of a column of the queries."""
     rows = answers.select("query_id", F.col("hit").alias("_a")).join(truth.select("query_id", "hit"), "query_id").join(queries.select("query_id", group), "query_id").where(~F.col("hit"))
@@ -104,8 +112,18 @@ def locality(trace: DataFrame, by=("query_id",), bits: int = PAGE_BITS) -> DataF
 def probe_locality(queries: DataFrame, spec, bits: int = PAGE_BITS) -> DataFrame:
     """locality() of the probes of queries (seq), a query a row, counted where the positions are made: no access is
     shuffled. Needs the Arrow kernel."""
-    got = queries.select("seq").mapInArrow(kernel.locality_builder(spec, bits), "accesses bigint, distinct_blocks bigint, changes bigint")
-    total = got.agg(*[F.sum(c).alias(c) for c in got.columns])
+    return _summed(queries, [spec], [bits], [])
+
+
+def probe_localities(queries: DataFrame, specs: list, blocks: list[int]) -> DataFrame:
+    """(number, block, ...): probe_locality for the number of each spec and each size of a block, in one pass over the queries."""
+    return _summed(queries, specs, blocks, ["number", "block"])
+
+
+def _summed(queries: DataFrame, specs: list, blocks: list[int], by: list[str]) -> DataFrame:
+    got = queries.select("seq").mapInArrow(kernel.locality_builder(specs, blocks), "number int, block int, accesses bigint, distinct_blocks bigint, changes bigint")
+    counted = ["accesses", "distinct_blocks", "changes"]
+    total = got.groupBy(*by).agg(*[F.sum(F.when(F.col("accesses") > 0, F.col(c))).alias(c) for c in counted])  # no accesses: null
     return total.withColumn("blocks_per_access", F.col("distinct_blocks") / F.col("accesses")).withColumn("changes_per_access", F.col("changes") / F.col("accesses"))
 
 
